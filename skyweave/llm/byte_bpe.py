@@ -38,7 +38,7 @@ def ranks(path: str) -> dict[bytes, int]:
     import pyarrow.fs  # noqa: F401
 
     fs, p = C.local_path(path)
-    with fs.open_input_stream(p) as f:
+    with fs.open_input_stream(p, compression=None) as f:
         return {base64.b64decode(a): int(b) for a, b in map(bytes.split, f.read().splitlines())}
 
 
