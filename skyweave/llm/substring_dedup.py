@@ -173,7 +173,7 @@ def _finder(batches):
         yield C.batch_of(_RUNS, doc_id=d[lo : lo + 500_000], start=s[lo : lo + 500_000], n=m[lo : lo + 500_000])
 
 
-def repeated_windows(docs: DataFrame, width: int = 20, block_bytes: int = 12 << 20) -> DataFrame:
+def repeated_windows(docs: DataFrame, width: int = 20, block_bytes: int = 6 << 20) -> DataFrame:
     """(doc_id, start, n): runs of n consecutive window starts whose windows occur earlier in the corpus."""
     spark = docs.sparkSession
     buckets = C.partition_keys(spark, C.shuffle_width(spark))
