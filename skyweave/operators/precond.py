@@ -45,12 +45,6 @@ def deflation(coarse: Coarse):
     return lambda r: r - coarse.az @ coarse.solve(r)
 
 
-def deflation_prec(bd, coarse: Coarse):
-    """The projector as the only second level: the coarse part of the solution is left out, so the residual keeps what lies in Z."""
-    r_ = deflation(coarse)
-    return lambda r: bd(r_(r))
-
-
 def two_level(bd, coarse: Coarse, variant: str = "def1"):
     """def1: BD R + Z E^-1 Z'. def2: R' BD + Z E^-1 Z', which needs two coarse solves per application."""
     if variant == "def1":

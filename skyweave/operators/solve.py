@@ -55,7 +55,7 @@ def build(op: NormalOperator, prec: str, rank: int | None = None, eps_tol: float
         raise ValueError(f"unknown preconditioner {prec!r}")
     coarse = precond.Coarse(z, op.apply_many(z, sparse=prec == "apriori"))
     if prec == "deflation":
-        return precond.deflation_prec(bd, coarse), coarse
+        return precond.identity(), coarse
     return precond.two_level(bd, coarse, variant), coarse
 
 
@@ -68,8 +68,10 @@ def make_map(tod: DataFrame, model, nstokes: int = 1, prec: str = "bd", tol: flo
     t = time.perf_counter()
     if solver == "gmres":
         s = krylov.gmres(op.apply, m, b, tol)[0]
-    elif prec == "deflation":  # the projected system; the coarse part is added at the end
-        s = krylov.cg(op.apply, m, b, precond.def2_start(b, coarse), tol, max_iter, strict=strict)
+    elif prec == "deflation":  # CG on the projected system R A x = R b alone; the coarse part is added at the end
+        r = precond.deflation(coarse)
+        s = krylov.cg(lambda v: r(op.apply(v)), m, r(b), None, tol, max_iter, strict=strict)
+        s.x = precond.def2_start(b, coarse, s.x)
     else:
         s = krylov.cg(op.apply, m, b, precond.def2_start(b, coarse) if variant == "def2" and coarse else None, tol, max_iter, strict=strict)
     return Run(prec, s, coarse.z.shape[1] if coarse else 0, built, time.perf_counter() - t, op, m, coarse, coarse.rank_dropped if coarse else 0)

@@ -13,6 +13,8 @@ from skyweave.plans import strategy
 from skyweave.sources.tables import require_columns
 
 BLOCK = "interval_id long, chunk long, t0 long, core_lo int, core_hi int, noise_id int, upix array<long>, lpix array<int>, phi array<double>, d array<double>"
+#: Bytes of all partial maps of a product that may be summed on the driver.
+SMALL = 32 << 20
 _NAMES = ["interval_id", "chunk", "t0", "core_lo", "core_hi", "noise_id", "upix", "lpix", "phi", "d"]
 
 
@@ -77,6 +79,7 @@ class NormalOperator:
         self.blocks = pack(tod, model.halo, length).persist(StorageLevel.MEMORY_AND_DISK)
         seen = self.blocks.select(F.explode("upix").alias("pix")).distinct()
         n = seen.count()
+        self.tasks = self.blocks.rdd.getNumPartitions()
         self.plan = strategy.choose(n, nstokes, budget=budget)
         if self.plan.kind != "broadcast":
             raise ValueError(f"{self.plan.explain()}: use DistributedOperator")
@@ -84,6 +87,14 @@ class NormalOperator:
         self.n = len(self.pixels) * nstokes
         self.products = 0
 
+    def _summed(self, run, size: int) -> np.ndarray:
+        """Sum of the tasks' partial maps: by pixel in a shuffle, or on the driver where all of them together are small."""
+        parts = self.blocks.mapInArrow(run, "k long, v double")
+        if self.tasks * size * 16 > SMALL:
+            parts = parts.groupBy("k").agg(F.sum("v").alias("v"))
+        got = parts.toArrow()
+        return np.bincount(got.column("k").to_numpy(), got.column("v").to_numpy(), size)
+
     def _run(self, columns: np.ndarray | None, sparse: bool = False) -> np.ndarray:
         """(n, r) -> (n, r); None stands for the data stream."""
         s, model, width = self.s, self.model, 1 if columns is None else columns.shape[1]
@@ -118,10 +129,8 @@ class NormalOperator:
             k = np.repeat(hit * width, width) + np.tile(np.arange(width), len(hit))
             yield pa.record_batch([pa.array(k, pa.int64()), pa.array(total[hit].ravel())], names=["k", "v"])
 
-        got = self.blocks.mapInArrow(run, "k long, v double").groupBy("k").agg(F.sum("v").alias("v")).toArrow()
+        out = self._summed(run, n * s * width)
         shared.destroy()
-        out = np.zeros(n * s * width)
-        out[got.column("k").to_numpy()] = got.column("v").to_numpy()
         self.products += width
         return out.reshape(n * s, width)
 
@@ -153,10 +162,7 @@ class NormalOperator:
             hit = np.flatnonzero(flat)
             yield pa.record_batch([pa.array(hit, pa.int64()), pa.array(flat[hit])], names=["k", "v"])
 
-        got = self.blocks.mapInArrow(run, "k long, v double").groupBy("k").agg(F.sum("v").alias("v")).toArrow()
-        out = np.zeros(len(pixels) * s * s)
-        out[got.column("k").to_numpy()] = got.column("v").to_numpy()
-        return out.reshape(-1, s, s)
+        return self._summed(run, len(pixels) * s * s).reshape(-1, s, s)
 
     def hits(self) -> tuple[np.ndarray, np.ndarray]:
         """(interval ids, (n_pix, K) hits)."""

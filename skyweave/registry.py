@@ -2,10 +2,512 @@
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
+from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from skyweave import oracles as O
+from skyweave.functions import expr as X
+from skyweave.functions import kernels as K
+from skyweave.operators import krylov, precond
+from skyweave.operators import pointing as P
+from skyweave.operators import solve as S
+from skyweave.operators import system as Y
+from skyweave.sources import workloads as WL
+from skyweave.sources.tables import load
+
+TIGHT = 1e-12
+Q: dict = {}
+SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def add(fn):
+        Q[name] = fn
+        if sql:
+            SQL[name] = sql
+        return fn
+
+    return add
+
+
+def r6(c, n: int = 6):
+    return F.round(c, n) + F.lit(0.0)
+
+
+def model_w0():
+    return K.Stationary({0: K.kernel(0.05, 128), 1: K.kernel(0.1, 128)})
+
+
+def kernel_rows(spark, kernels: dict[int, np.ndarray]) -> DataFrame:
+    return spark.createDataFrame([(k, i, float(v)) for k, w in kernels.items() for i, v in enumerate(w)], "noise_id int, lag long, w double")
+
+
+def rounded(m: DataFrame, n: int = 6) -> DataFrame:
+    return m.select("pix", *(r6(F.col(c), n).alias(c) for c in m.columns if c != "pix"))
+
+
+# ---- maps of the event stream: one answer, many solvers ----
+
+def _w0(**how):
+    return lambda spark, d: rounded(S.make_map(WL.tod_w0(spark, d), model_w0(), tol=TIGHT, **how).map())
+
+
+for _name, _how in {
+    "flagship_map_w0": {}, "map_w0_bd": {}, "map_w0_none": {"prec": "none"}, "map_w0_apriori": {"prec": "apriori"}, "map_w0_apriori_r1": {"prec": "apriori", "rank": 1},
+    "map_w0_aposteriori": {"prec": "aposteriori"}, "map_w0_def2": {"prec": "apriori", "variant": "def2"}, "map_w0_deflation": {"prec": "deflation", "rank": 5}, "map_w0_gmres": {"solver": "gmres"}, "map_w0_halo_split": {"length": 150},
+}.items():
+    query(_name, O.MAP_W0)(_w0(**_how))
+
+
+@query("map_w0_direct", O.MAP_W0)
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    return rounded(op.table(S.direct(op)))
+
+
+@query("map_w0_distributed", O.MAP_W0)
+def _(spark, d):
+    return rounded(S.distributed_cg(Y.DistributedOperator(WL.tod_w0(spark, d), model_w0()), tol=1e-11)[0])
+
+
+@query("map_w0_pol", O.MAP_W0_POL)
+def _(spark, d):
+    return rounded(S.make_map(WL.tod_w0(spark, d, True), model_w0(), 3, tol=TIGHT).map())
+
+
+@query("map_w4_exact", O.small_map(O.W4, 0.1, 8))
+def _(spark, d):
+    return rounded(S.make_map(WL.tod_w4(spark, d), K.Stationary({0: K.kernel(0.1, 8)}), tol=TIGHT).map())
+
+
+@query("map_w5_short", O.small_map(O.W5, 0.1, 64))
+def _(spark, d):
+    return rounded(S.make_map(WL.tod_w5(spark, d), K.Stationary({0: K.kernel(0.1, 64)}), tol=TIGHT).map())
+
+
+_GRAM = """g AS (SELECT i, j, sum(CAST(embedding[i] AS DOUBLE) * CAST(embedding[j] AS DOUBLE)) / (SELECT count(*) FROM embeddings) + CASE WHEN i = j THEN 0.01 ELSE 0 END AS v FROM embeddings, range(1, 65) a(i), range(1, 65) b(j) GROUP BY i, j)"""
+
+
+@query("map_w7_spd", f"WITH RECURSIVE {O.solved(_GRAM + ', cells AS (SELECT i AS p, j AS q, v FROM g), bv AS (SELECT i AS p, sum(CAST(embedding[i] AS DOUBLE) * label) AS v FROM embeddings, range(1, 65) a(i) GROUP BY i)')} SELECT CAST(p AS BIGINT) AS k, round(x, 6) + 0.0 AS v FROM sol")
+def _(spark, d):
+    """A generic positive system: Gram matrix of the embeddings by one native aggregation, then CG."""
+    e = load(spark, d, "embeddings").select(F.transform("embedding", lambda x: x.cast("double")).alias("x"), "label")
+    cells = e.select(F.posexplode("x").alias("i", "a"), "x", "label")
+    rows = cells.groupBy("i").agg(F.sum(F.col("a") * F.col("label")).alias("b"), *(F.sum(F.col("a") * F.col("x")[j]).alias(f"g{j}") for j in range(64)), F.count("*").alias("n")).orderBy("i").collect()  # 64 rows
+    g = np.array([[r[f"g{j}"] for j in range(64)] for r in rows]) / rows[0]["n"] + 0.01 * np.eye(64)
+    s = krylov.cg(lambda v: g @ v, precond.identity(), np.array([r["b"] for r in rows]), tol=1e-13)
+    return spark.createDataFrame([(i + 1, float(v)) for i, v in enumerate(s.x)], "k long, v double").select("k", r6(F.col("v")).alias("v"))
+
+
+@query("unbiased_noise_free", f"WITH {O.W0} SELECT DISTINCT pix, round(10 + 3 * sin(pix * 0.37) + 2 * cos(pix * 0.11), 6) + 0.0 AS i FROM tod")
+def _(spark, d):
+    tod = WL.tod_w0(spark, d).withColumn("d", WL.sky(F.col("pix")))
+    return rounded(S.make_map(tod, model_w0(), prec="apriori", tol=TIGHT).map())
+
+
+# ---- geometry ----
+
+for _w, _tod, _cte in (("w0", WL.tod_w0, O.W0), ("w1", WL.tod_w1, O.W1), ("w2", WL.tod_w2, O.W2), ("w3", WL.tod_w3, O.W3)):
+    query(f"hit_map_{_w}", f"WITH {_cte} SELECT CAST(pix AS BIGINT) AS pix, count(*) AS hits FROM tod GROUP BY pix")(lambda s, d, f=_tod: P.hit_map(f(s, d)))
+    query(f"tod_index_{_w}", f"WITH {_cte} SELECT CAST(interval_id AS BIGINT) AS interval_id, CAST(t AS BIGINT) AS t, CAST(pix AS BIGINT) AS pix, CAST(d AS DOUBLE) AS d FROM tod")(lambda s, d, f=_tod: f(s, d).select("interval_id", "t", "pix", "d"))
+    query(f"white_coadd_{_w}", f"WITH {_cte} SELECT CAST(pix AS BIGINT) AS pix, round(avg(d) + 1e-7, 4) + 0.0 AS i FROM tod GROUP BY pix")(lambda s, d, f=_tod: P.coadd(f(s, d)).select("pix", r6(F.col("i") + 1e-7, 4).alias("i")))
+    query(f"scan_stats_{_w}", f"WITH {_cte}, h AS (SELECT pix, count(*) AS hits FROM tod GROUP BY pix) SELECT count(*) AS n_pix, CAST(sum(hits) AS BIGINT) AS n_t, min(hits) AS least, max(hits) AS most, round(avg(hits), 6) AS mean, round(stddev_pop(hits), 6) AS spread FROM h")(lambda s, d, f=_tod: P.scan_stats(f(s, d)))
+for _w, _tod, _cte in (("w0", WL.tod_w0, O.W0), ("w3", WL.tod_w3, O.W3)):
+    query(f"hits_by_interval_{_w}", f"WITH {_cte} SELECT CAST(pix AS BIGINT) AS pix, CAST(interval_id AS BIGINT) AS interval_id, count(*) AS hits FROM tod GROUP BY ALL")(lambda s, d, f=_tod: P.hits_by_interval(f(s, d)))
+    query(f"pixel_multiplicity_{_w}", f"WITH {_cte} SELECT CAST(pix AS BIGINT) AS pix, count(DISTINCT interval_id) AS mult FROM tod GROUP BY pix")(lambda s, d, f=_tod: P.multiplicity(f(s, d)))
+    query(f"comm_bytes_{_w}", f"WITH {_cte} SELECT CAST(interval_id AS BIGINT) AS interval_id, count(DISTINCT pix) * 8 AS bytes FROM tod GROUP BY interval_id")(lambda s, d, f=_tod: f(s, d).select("interval_id", "pix").distinct().groupBy("interval_id").agg((F.count("*") * 8).alias("bytes")))
+
+_STEP = {"polariser_fast_w1": (O.W1, "t % 4", lambda s, d: WL.tod_w1(s, d, "fast")), "polariser_medium_w1": (O.W1, "sweep % 4", lambda s, d: WL.tod_w1(s, d, "medium")), "polariser_medium_w2": (O.W2, "year % 4", lambda s, d: WL.tod_w2(s, d, polariser="medium")), "polariser_medium_w3": (O.W3, "year % 4", lambda s, d: WL.tod_w3(s, d, "medium")), "polariser_circle_w3": (O.W3, "interval_id % 4", lambda s, d: WL.tod_w3(s, d, "circle")), "polariser_fast_w0": (O.W0P, "g % 4", lambda s, d: WL.tod_w0(s, d, True))}
+for _name, (_cte, _sql, _f) in _STEP.items():
+    query(_name, f"WITH {_cte} SELECT CAST(pix AS BIGINT) AS pix, CAST({_sql} AS BIGINT) AS step, count(*) AS n FROM tod GROUP BY ALL")(lambda s, d, f=_f: P.attack_angles(f(s, d)))
+query("polariser_slow_w3", f"WITH {O.W3} SELECT CAST(interval_id + n * pass AS BIGINT) AS interval_id, CAST(pix AS BIGINT) AS pix, CAST(pass AS BIGINT) AS step, count(*) AS n FROM tod, nc, range(4) r(pass) GROUP BY ALL")(lambda s, d: WL.tod_w3(s, d, "slow").groupBy("interval_id", "pix", F.round(F.col("phi") * 4 / math.pi).cast("long").alias("step")).agg(F.count("*").alias("n")))
+
+# ---- pointing ----
+
+query("stokes_weights_w0", f"WITH {O.W0P} SELECT interval_id, t, round(cos(2 * phi), 6) + 0.0 AS c, round(sin(2 * phi), 6) + 0.0 AS s FROM tod")(lambda s, d: WL.tod_w0(s, d, True).withColumn("r", X.stokes_weights("phi")).select("interval_id", "t", r6(F.col("r")[1]).alias("c"), r6(F.col("r")[2]).alias("s")))
+_SKY_SQL = "10 + 3 * sin(pix * 0.37) + 2 * cos(pix * 0.11)"
+
+
+@query("expand_w0", f"WITH {O.W0P} SELECT interval_id, t, round({_SKY_SQL} + 0.5 * pix * cos(2 * phi) - sin(2 * phi), 6) + 0.0 AS y FROM tod")
+def _(spark, d):
+    tod = WL.tod_w0(spark, d, True)
+    m = tod.select("pix").distinct().select("pix", WL.sky(F.col("pix")).alias("i"), (0.5 * F.col("pix")).alias("q"), F.lit(-1.0).alias("u"))
+    return P.expand(tod, m, 3).select("interval_id", "t", r6(F.col("y")).alias("y"))
+
+
+query("accumulate_w0_int", f"WITH {O.W0} SELECT pix, round(sum(d), 4) + 0.0 AS i FROM tod GROUP BY pix")(lambda s, d: rounded(P.accumulate(WL.tod_w0(s, d), "d"), 4))
+query("accumulate_w0_pol", f"WITH {O.W0P} SELECT pix, round(sum(d), 4) + 0.0 AS i, round(sum(d * cos(2 * phi)), 4) + 0.0 AS q, round(sum(d * sin(2 * phi)), 4) + 0.0 AS u FROM tod GROUP BY pix")(lambda s, d: rounded(P.accumulate(WL.tod_w0(s, d, True), "d", 3), 4))
+_CUT = "ok AS (SELECT pix, count(DISTINCT step) >= 3 OR (count(DISTINCT step) >= 2 AND false) AS keep FROM (SELECT pix, {step} AS step FROM tod) GROUP BY pix)"
+for _w, _cte, _step, _f in (("w2", O.W2, "year % 4", lambda s, d: WL.tod_w2(s, d, polariser="medium")), ("w3", O.W3, "interval_id % 4", lambda s, d: WL.tod_w3(s, d, "circle"))):
+    # with angles at multiples of 45 degrees a block is well-conditioned exactly when three of the four steps occur
+    query(f"pixel_cut_{_w}", f"WITH {_cte}, {_CUT.format(step=_step)} SELECT CAST(tod.pix AS BIGINT) AS pix, count(*) AS n FROM tod JOIN ok ON ok.pix = tod.pix WHERE keep GROUP BY tod.pix")(lambda s, d, f=_f: P.pixel_cut(f(s, d))[0].groupBy("pix").agg(F.count("*").alias("n")))
+    query(f"pixel_cut_anti_{_w}", f"WITH {_cte}, {_CUT.format(step=_step)} SELECT CAST(pix AS BIGINT) AS pix FROM ok WHERE NOT keep")(lambda s, d, f=_f: P.pixel_cut(f(s, d))[1].select("pix"))
+
+
+@query("asof_pointing", "SELECT o.o_orderkey, max(e.event_id) AS event_id FROM orders o LEFT JOIN events e ON e.user_id = o.o_custkey AND e.event_id <= o.o_orderkey GROUP BY o.o_orderkey")
+def _(spark, d):
+    e = load(spark, d, "events").select(F.col("user_id").alias("key"), F.col("event_id").alias("at"), "event_id")
+    o = load(spark, d, "orders").select(F.col("o_custkey").alias("key"), F.col("o_orderkey").alias("at"), "o_orderkey")
+    return P.attach_asof(o, e, "key", "at", ["event_id"]).select("o_orderkey", "event_id")
+
+
+@query("interval_assign", "WITH p AS (SELECT i AS interval_id, i * 700 AS lo, i * 700 + 499 AS hi FROM range(100) r(i)) SELECT event_id, interval_id FROM events JOIN p ON event_id BETWEEN lo AND hi")
+def _(spark, d):
+    p = spark.range(100).select(F.col("id").alias("interval_id"), (F.col("id") * 700).alias("lo"), (F.col("id") * 700 + 499).alias("hi"))
+    return P.interval_assign(load(spark, d, "events").select("event_id"), p, "event_id", 700).select("event_id", "interval_id")
+
+
+query("band_pairs_w0", f"WITH {O.W0} SELECT a.pix, b.pix AS pix2, CAST(abs(a.t - b.t) AS BIGINT) AS lag, count(*) AS n FROM tod a JOIN tod b ON a.interval_id = b.interval_id AND b.t BETWEEN a.t - 16 AND a.t + 16 GROUP BY ALL")(lambda s, d: P.band_pairs(WL.tod_w0(s, d), 16).groupBy("pix", "pix2", F.col("lag").cast("long").alias("lag")).agg(F.count("*").alias("n")))
+query("overlap_intersect", f"WITH {O.W3} SELECT CAST(pix AS BIGINT) AS pix FROM tod WHERE interval_id = 0 INTERSECT SELECT CAST(pix AS BIGINT) FROM tod WHERE interval_id = 1")(lambda s, d: P.overlap(WL.tod_w3(s, d), 0, 1))
+query("topk_hits", f"WITH {O.W0} SELECT pix, count(*) AS hits FROM tod GROUP BY pix ORDER BY hits DESC, pix LIMIT 10")(lambda s, d: P.hit_map(WL.tod_w0(s, d)).orderBy(F.desc("hits"), "pix").limit(10))
+
+# ---- noise ----
+
+_GRID = "SELECT m / 1024.0 AS f FROM range(513) r(m)"
+query("psd_table", "SELECT m, round(1 + (0.1 / (m / 1024.0))**2, 6) + 0.0 AS p FROM range(1, 513) r(m)")(lambda s, d: s.range(1, 513).select(F.col("id").alias("m"), r6(X.psd(F.col("id") / 1024)).alias("p")))
+query("inverse_psd_table", "SELECT m, round((m / 1024.0)**2 / ((m / 1024.0)**2 + 0.01), 6) + 0.0 AS p FROM range(513) r(m)")(lambda s, d: s.range(513).select(F.col("id").alias("m"), r6(X.inverse_psd(F.col("id") / 1024)).alias("p")))
+for _kind, _win in (("apodized", "exp(-2 * (lag / 128.0)**2)"), ("hardcut", "1.0"), ("table", None)):
+    _sql = f"WITH {O.KERN0} SELECT CAST(noise_id AS INTEGER) AS noise_id, lag, round(w{'' if _kind == 'apodized' else ' / exp(-2 * (lag / 128.0)**2)'}, 9) + 0.0 AS w FROM kern"
+    query(f"kernel_{_kind}", _sql)(lambda s, d, k=_kind: kernel_rows(s, {0: K.kernel(0.05, 128, kind="gauss" if k == "apodized" else "cut"), 1: K.kernel(0.1, 128, kind="gauss" if k == "apodized" else "cut")}).select("noise_id", "lag", r6(F.col("w"), 9).alias("w")))
+
+
+@query("apodized_spectrum", f"WITH {O.kernel({0: 0.02}, 100)} SELECT m, round(sum(w * cos(2 * pi() * ((m * lag) % 1024) / 1024) * CASE WHEN lag = 0 THEN 1 ELSE 2 END), 6) + 0.0 AS v FROM kern, range(513) r(m) GROUP BY m")
+def _(spark, d):
+    v = K.apodized_spectrum(K.kernel(0.02, 100), 1024)
+    return spark.createDataFrame([(i, float(x)) for i, x in enumerate(v)], "m long, v double").select("m", r6(F.col("v")).alias("v"))
+
+
+query("deflection_freq", "SELECT l, round(1 / (pi() * l), 9) AS f FROM (VALUES (10000), (2000), (500), (100)) v(l)")(lambda s, d: s.createDataFrame([(l, K.deflection_frequency(l)) for l in (10000, 2000, 500, 100)], "l int, f double").select("l", F.round("f", 9).alias("f")))
+
+
+@query("apodisation_study")
+def _(spark, d):
+    """First rows and lowest spectrum values over band widths; the printed growing window is rejected."""
+    rows = []
+    for lam in (10000, 2000, 500, 100):
+        w = K.kernel(0.02, lam, grid_n=32768)
+        v = K.apodized_spectrum(w, 32768)
+        grow = K.kernel(0.02, lam, grid_n=32768, kind="cut") * np.exp(2.0 * (np.arange(lam + 1) / lam) ** 2)
+        rows.append((lam, K.deflection_frequency(lam), float(w[0]), float(v.min()), float(K.apodized_spectrum(grow, 32768).min())))
+    return spark.createDataFrame(rows, "lambda int, f_defl double, w0 double, lowest double, lowest_if_growing double")
+
+
+_YSQL = f"WITH {O.W0}, {O.KERN0}, {O.Y0} SELECT interval_id, CAST(t AS BIGINT) AS t, round(y, 5) + 0.0 AS y FROM y0"
+query("noise_weight_lagjoin_w0", _YSQL)(lambda s, d: Y.weight_lag_join(WL.tod_w0(s, d), kernel_rows(s, model_w0().kernels)).select("interval_id", "t", r6(F.col("y"), 5).alias("y")))
+query("noise_weight_fir_w0", _YSQL)(lambda s, d: Y.weight_fir(WL.tod_w0(s, d), kernel_rows(s, model_w0().kernels), 128).select("interval_id", "t", r6(F.col("y"), 5).alias("y")))
+query("noise_weight_fft_w0", _YSQL)(lambda s, d: Y.weight_fft(WL.tod_w0(s, d), model_w0(), 100).select("interval_id", "t", r6(F.col("y"), 5).alias("y")))
+
+
+@query("fourier_weight_w5", f"""WITH {O.W5}, n AS (SELECT interval_id, count(*) AS n FROM tod GROUP BY 1), ip AS (SELECT interval_id, n, m, (least(m, n - m) / CAST(n AS DOUBLE))**2 / ((least(m, n - m) / CAST(n AS DOUBLE))**2 + 0.01) AS p FROM n, range(n.n) r(m)),
+h AS (SELECT interval_id, n, k, sum(p * cos(2 * pi() * m * k / n) / n) AS w FROM ip, range(ip.n) s(k) GROUP BY interval_id, n, k)
+SELECT a.interval_id, CAST(a.t AS BIGINT) AS t, round(sum(w * b.d), 5) + 0.0 AS y FROM tod a JOIN tod b USING (interval_id) JOIN h ON h.interval_id = a.interval_id AND h.k = abs(a.t - b.t) GROUP BY ALL""")
+def _(spark, d):
+    return Y.weight_fft(WL.tod_w5(spark, d), K.Circulant({0: 0.1})).select("interval_id", "t", r6(F.col("y"), 5).alias("y"))
+
+
+@query("moving_fir", f"WITH {O.W0} SELECT interval_id, CAST(t AS BIGINT) AS t, round(avg(d) OVER (PARTITION BY interval_id ORDER BY t ROWS BETWEEN 3 PRECEDING AND 3 FOLLOWING), 5) + 0.0 AS y FROM tod")
+def _(spark, d):
+    return WL.tod_w0(spark, d).select("interval_id", "t", r6(F.avg("d").over(W.partitionBy("interval_id").orderBy("t").rowsBetween(-3, 3)), 5).alias("y"))
+
+
+# ---- the system ----
+
+query("rhs_w0", f"WITH {O.W0}, {O.KERN0}, {O.Y0} SELECT pix, round(sum(y), 5) + 0.0 AS i FROM y0 GROUP BY pix")(lambda s, d: rounded((op := Y.NormalOperator(WL.tod_w0(s, d), model_w0())).table(op.rhs()), 5))
+query("system_matrix_w0", f"WITH {O.W0}, {O.KERN0}, {O.A0} SELECT p, q, round(v, 6) + 0.0 AS v FROM am")(lambda s, d: Y.explicit(WL.tod_w0(s, d), kernel_rows(s, model_w0().kernels), 128).select("p", "q", r6(F.col("v")).alias("v")))
+
+
+@query("operator_apply_w0", f"WITH {O.W0}, {O.KERN0}, {O.A0}, h AS (SELECT pix, count(*) AS n FROM tod GROUP BY pix) SELECT p AS pix, round(sum(v), 5) + 0.0 AS ones, round(sum(v * n), 4) + 0.0 AS hits FROM am JOIN h ON h.pix = q GROUP BY p")
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    z = op.apply_many(np.stack((np.ones(op.n), op.hits()[1].sum(axis=1)), axis=1))
+    return spark.createDataFrame([(int(p), float(a), float(b)) for p, (a, b) in zip(op.pixels, z)], "pix long, ones double, hits double").select("pix", r6(F.col("ones"), 5).alias("ones"), r6(F.col("hits"), 4).alias("hits"))
+
+
+@query("operator_apply_distributed_w0", f"WITH {O.W0}, {O.KERN0}, {O.A0} SELECT p AS pix, round(sum(v), 5) + 0.0 AS ones FROM am GROUP BY p")
+def _(spark, d):
+    op = Y.DistributedOperator(WL.tod_w0(spark, d), model_w0())
+    return op.apply(op.lists.select("pix").distinct().withColumn("v0", F.lit(1.0))).select("pix", r6(F.col("v0"), 5).alias("ones"))
+
+
+_BD = "c11, c12, c13, c22, c23, c33"
+query("bd_blocks_int", f"WITH {O.W0}, {O.KERN0} SELECT pix, round(sum(w), 6) AS c11 FROM tod JOIN kern ON kern.noise_id = tod.noise_id AND lag = 0 GROUP BY pix")(lambda s, d: P.stokes_blocks(WL.tod_w0(s, d), F.create_map(*(F.lit(x) for k, v in model_w0().kernels.items() for x in (k, float(v[0]))))[F.col("noise_id")]).select("pix", F.round("c11", 6).alias("c11")))
+query("bd_blocks_pol", f"WITH {O.W0P}, {O.BD3} SELECT pix, {', '.join(f'round({c}, 6) + 0.0 AS {c}' for c in _BD.split(', '))} FROM bl")(lambda s, d: rounded(P.stokes_blocks(WL.tod_w0(s, d, True))))
+_DET = "(c11*(c22*c33-c23*c23)-c12*(c12*c33-c13*c23)+c13*(c12*c23-c13*c22))"
+query("bd_inverse_pol", f"WITH {O.W0P}, {O.BD3} SELECT pix, round((c22*c33-c23*c23)/{_DET}, 6) + 0.0 AS k11, round((c13*c23-c12*c33)/{_DET}, 6) + 0.0 AS k12, round((c11*c22-c12*c12)/{_DET}, 6) + 0.0 AS k33 FROM bl")(lambda s, d: rounded(P.stokes_blocks(WL.tod_w0(s, d, True)).select("pix", *(x.alias(n) for n, x in zip(("k11", "k12", "k13", "k22", "k23", "k33"), X.inv3_sym(*_BD.split(", ")))))).select("pix", "k11", "k12", "k33"))
+query("coadd_pol", f"WITH {O.W0P}, {O.BD3}, r AS (SELECT pix, sum(d) AS i, sum(d * cos(2 * phi)) AS q, sum(d * sin(2 * phi)) AS u FROM tod GROUP BY pix) SELECT pix, round(((c22*c33-c23*c23)*i + (c13*c23-c12*c33)*q + (c12*c23-c13*c22)*u)/{_DET}, 4) + 0.0 AS i FROM bl JOIN r USING (pix)")(lambda s, d: rounded(P.coadd(WL.tod_w0(s, d, True), 3), 4).select("pix", "i"))
+
+# ---- coarse spaces ----
+
+
+def _zs(tod: DataFrame) -> DataFrame:
+    return P.hits_by_interval(tod).withColumn("z", F.col("hits") / F.sum("hits").over(W.partitionBy("pix")))
+
+
+query("zs_intensity", f"WITH {O.W0}, {O.PZ} SELECT pix, interval_id AS col, round(z, 9) AS v FROM zs")(lambda s, d: _zs(WL.tod_w0(s, d)).select("pix", F.col("interval_id").alias("col"), F.round("z", 9).alias("v")))
+query("zs_polarised", f"WITH {O.W0}, {O.PZ} SELECT pix, CAST(s AS INTEGER) AS stokes, interval_id AS col, CASE WHEN s = 0 THEN round(z, 9) ELSE 0.0 END AS v FROM zs, range(3) r(s)")(lambda s, d: _zs(WL.tod_w0(s, d, True)).select("pix", F.explode(F.array(*map(F.lit, range(3)))).alias("stokes"), F.col("interval_id").alias("col"), "z").withColumn("v", F.when(F.col("stokes") == 0, F.round("z", 9)).otherwise(0.0)).drop("z"))
+query("zs_merged_r10", f"WITH {O.W0}, {O.PZ} SELECT pix, CAST(interval_id * 10 // 30 AS BIGINT) AS col, round(sum(z), 9) AS v FROM zs GROUP BY ALL")(lambda s, d: _zs(WL.tod_w0(s, d)).groupBy("pix", F.floor(F.col("interval_id") * 10 / 30).alias("col")).agg(F.round(F.sum("z"), 9).alias("v")))
+query("zs_rowsum", f"WITH {O.W3}, {O.PZ} SELECT CAST(pix AS BIGINT) AS pix, round(sum(z), 9) AS v FROM zs GROUP BY pix")(lambda s, d: _zs(WL.tod_w3(s, d)).groupBy("pix").agg(F.round(F.sum("z"), 9).alias("v")))
+_AZ = f"{O.W0}, {O.KERN0}, {O.A0}, {O.PZ}, z5 AS (SELECT pix, interval_id * 5 // 30 AS c, sum(z) AS z FROM zs GROUP BY ALL), az AS (SELECT p AS pix, c, sum(v * z) AS v FROM am JOIN z5 ON z5.pix = am.q GROUP BY ALL)"
+
+
+def _coarse5(spark, d):
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    z = precond.merge_columns(precond.a_priori(op.hits()[1]), 5)
+    return op, precond.Coarse(z, op.apply_many(z, sparse=True))
+
+
+@query("az_w0", f"WITH {_AZ} SELECT pix, CAST(c AS BIGINT) AS col, round(v, 6) + 0.0 AS v FROM az")
+def _(spark, d):
+    op, c = _coarse5(spark, d)
+    return spark.createDataFrame([(int(p), j, float(c.az[i, j])) for i, p in enumerate(op.pixels) for j in range(5)], "pix long, col long, v double").select("pix", "col", r6(F.col("v")).alias("v"))
+
+
+@query("coarse_e_w0", f"WITH {_AZ} SELECT CAST(z5.c AS BIGINT) AS i, CAST(az.c AS BIGINT) AS j, round(sum(z * v), 6) + 0.0 AS v FROM z5 JOIN az USING (pix) GROUP BY ALL")
+def _(spark, d):
+    _, c = _coarse5(spark, d)
+    return spark.createDataFrame([(i, j, float(c.e[i, j])) for i in range(5) for j in range(5)], "i long, j long, v double").select("i", "j", r6(F.col("v")).alias("v"))
+
+
+query("ones_image", f"WITH {O.W0}, {O.KERN0}, {O.A0} SELECT p AS pix, round(sum(v), 5) + 0.0 AS i FROM am GROUP BY p")(lambda s, d: rounded((op := Y.NormalOperator(WL.tod_w0(s, d), model_w0())).table(op.apply(np.ones(op.n))), 5))
+_ZERO = f"WITH {O.W0} SELECT DISTINCT pix, CAST(c AS BIGINT) AS col, 0.0 AS v FROM tod, range(5) r(c)"
+
+
+def _cells(spark, op, m):
+    return spark.createDataFrame([(int(p), j, float(m[i, j])) for i, p in enumerate(op.pixels) for j in range(m.shape[1])], "pix long, col long, v double").select("pix", "col", r6(F.col("v")).alias("v"))
+
+
+@query("deflation_raz_zero", _ZERO)
+def _(spark, d):
+    op, c = _coarse5(spark, d)
+    return _cells(spark, op, precond.deflation(c)(c.az))
+
+
+for _variant in ("def1",):
+    @query(f"two_level_identity_{_variant}", f"WITH {_AZ} SELECT pix, CAST(c AS BIGINT) AS col, round(coalesce(z, 0), 6) + 0.0 AS v FROM (SELECT pix, c FROM (SELECT DISTINCT pix FROM tod), range(5) r(c)) LEFT JOIN z5 USING (pix, c)")
+    def _(spark, d, variant=_variant):
+        """The two-level preconditioner maps A Z to Z."""
+        op, c = _coarse5(spark, d)
+        f = precond.two_level(precond.BlockDiagonal(op.diagonal_blocks()), c, variant)
+        return _cells(spark, op, np.stack([f(v) for v in c.az.T], axis=1))
+
+
+# ---- measures and experiments ----
+
+query("kappa_bound", "SELECT k AS kappa, j, round(2 * ((sqrt(k) - 1) / (sqrt(k) + 1))**j, 9) AS bound FROM (VALUES (10.0), (100.0), (1000.0)) v(k), range(0, 50, 5) r(j)")(lambda s, d: s.createDataFrame([(10.0,), (100.0,), (1000.0,)], "kappa double").select("kappa", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(45).cast("long"), F.lit(5).cast("long"))).alias("j")).select("kappa", "j", F.round(X.cg_bound("kappa", "j"), 9).alias("bound")))
+query("cost_model", f"WITH {O.W0}, n AS (SELECT interval_id, count(*) AS n FROM tod GROUP BY 1) SELECT round(sum(n * (1 + log2(128))), 3) AS banded, round(sum(n * (1 + log2(n))), 3) AS whole FROM n")(lambda s, d: WL.tod_w0(s, d).groupBy("interval_id").count().agg(F.round(F.sum(F.col("count") * (1 + F.log2(F.lit(128)))), 3).alias("banded"), F.round(F.sum(F.col("count") * (1 + F.log2("count"))), 3).alias("whole")))
+_REBIN = "SELECT n_regionkey, n_nationkey, round(sum(o_totalprice), 2) AS total, count(*) AS n FROM orders JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey GROUP BY "
+
+
+def _rebin(spark, d):
+    n = load(spark, d, "nation").select("n_nationkey", "n_regionkey")
+    return WL.tod_w6(spark, d).join(n, F.col("pix") == F.col("n_nationkey"))
+
+
+_AGG = (F.round(F.sum("d"), 2).alias("total"), F.count("*").alias("n"))
+query("map_rebin_rollup", _REBIN + "ROLLUP (n_regionkey, n_nationkey)")(lambda s, d: _rebin(s, d).rollup("n_regionkey", "n_nationkey").agg(*(F.round(F.sum("d"), 2).alias("total"), F.count("*").alias("n"))))
+query("map_rebin_cube", _REBIN + "CUBE (n_regionkey, n_nationkey)")(lambda s, d: _rebin(s, d).cube("n_regionkey", "n_nationkey").agg(F.round(F.sum("d"), 2).alias("total"), F.count("*").alias("n")))
+
+
+@query("map_rebin_grouping_sets", _REBIN + "GROUPING SETS ((n_regionkey), (n_nationkey), ())")
+def _(spark, d):
+    _rebin(spark, d).createOrReplaceTempView("_rebin")
+    return spark.sql("SELECT n_regionkey, n_nationkey, round(sum(d), 2) AS total, count(*) AS n FROM _rebin GROUP BY GROUPING SETS ((n_regionkey), (n_nationkey), ())")
+
+
+@query("map_full_outer_diff", f"WITH {O.W0}, a AS (SELECT pix, avg(d) AS v FROM tod WHERE interval_id < 2 GROUP BY pix), b AS (SELECT pix, avg(d) AS v FROM tod WHERE interval_id BETWEEN 2 AND 3 GROUP BY pix) SELECT coalesce(a.pix, b.pix) AS pix, round(coalesce(a.v, 0) - coalesce(b.v, 0), 5) + 0.0 AS diff FROM a FULL JOIN b ON a.pix = b.pix")
+def _(spark, d):
+    tod = WL.tod_w0(spark, d)
+    a, b = (tod.where(F.col("interval_id").between(*r)).groupBy("pix").agg(F.avg("d").alias(n)) for r, n in (((0, 1), "a"), ((2, 3), "b")))
+    return a.join(b, "pix", "full_outer").select("pix", r6(F.coalesce("a", F.lit(0.0)) - F.coalesce("b", F.lit(0.0)), 5).alias("diff"))
+
+
+_TIMES = "prec string, coarse_dim int, iterations int, rel_residual double, true_residual double, build_s double, solve_s double"
+
+
+def _table(spark, runs, extra: str = ""):
+    return spark.createDataFrame([(*(x for x in key), r.prec, r.coarse_dim, r.solution.iterations, r.solution.history[-1][1], r.solution.true_residual, r.build_s, r.solve_s) for key, r in runs], extra + _TIMES)
+
+
+def _both(op, n_max: int = 400, eps: float = 0.2, **apriori):
+    b = op.rhs()
+    return [S.make_map(None, None, prec=p, op=op, b=b, max_iter=n_max, strict=False, eps_tol=eps, **(apriori if p == "apriori" else {})) for p in ("bd", "apriori", "aposteriori")]
+
+
+@query("history_w0")
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    out = [r.history() for r in _both(op)]
+    return out[0].unionByName(out[1]).unionByName(out[2])
+
+
+@query("convergence_by_circles")
+def _(spark, d):
+    """Iterations of the three preconditioners on big circles, by polariser and number of circles."""
+    runs = []
+    model = K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)})
+    for pol, n in (("none", 8), ("none", 64), ("fast", 16)):
+        tod = WL.tod_w3(spark, d, pol, n)
+        s = 1 if pol == "none" else 3
+        if s == 3:
+            tod = P.pixel_cut(tod)[0]
+        op = Y.NormalOperator(tod, model, s)
+        runs += [((pol, n), r) for r in _both(op)]
+        op.close()
+    return _table(spark, runs, "polariser string, circles int, ")
+
+
+@query("knee_sweep_w1")
+def _(spark, d):
+    runs, tod = [], WL.tod_w1(spark, d)
+    for fk in (0.005, 0.1):
+        op = Y.NormalOperator(tod, K.Stationary({0: K.kernel(fk, 1024, grid_n=262144)}), 1)
+        runs += [((fk,), r) for r in _both(op, eps=0.3)]
+        op.close()
+    return _table(spark, runs, "fknee double, ")
+
+
+@query("coarse_rank_apriori_w3")
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w3(spark, d), K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)}), 1)
+    b = op.rhs()
+    return _table(spark, [((r,), S.make_map(None, None, prec="apriori", rank=r, op=op, b=b, strict=False, max_iter=300)) for r in (1, 10, 100)], "rank int, ")
+
+
+@query("coarse_rank_aposteriori_w2")
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w2(spark, d, intervals="circle"), K.Stationary({0: K.kernel(0.02, 256)}), 1)
+    b = op.rhs()
+    return _table(spark, [((e,), S.make_map(None, None, prec="aposteriori", eps_tol=e, op=op, b=b, strict=False, max_iter=400)) for e in (0.05, 0.3)], "eps double, ")
+
+
+@query("band_sweep_w2")
+def _(spark, d):
+    runs, tod = [], WL.tod_w2(spark, d)
+    for lam in (32, 1024):
+        op = Y.NormalOperator(tod, K.Stationary({0: K.kernel(0.1, lam, grid_n=65536)}), 1)
+        b = op.rhs()
+        runs += [((lam,), S.make_map(None, None, prec=p, op=op, b=b, strict=False, max_iter=400, eps_tol=0.3)) for p in ("bd", "apriori")]
+        op.close()
+    return _table(spark, runs, "band int, ")
+
+
+@query("spectrum_w0")
+def _(spark, d):
+    """Ends of the spectra of A, BD A and both two-level forms, with condition numbers."""
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    a = S.dense(op)
+    bd = precond.BlockDiagonal(op.diagonal_blocks())
+    z = precond.a_priori(op.hits()[1])
+    c = precond.Coarse(z, a @ z)
+    rows = []
+    for name, f in (("A", None), ("BD", bd), ("2L_def1", precond.two_level(bd, c)), ("2L_def2", precond.two_level(bd, c, "def2"))):
+        v = S.spectrum(a, f)
+        rows += [(name, i, float(x), S.condition_number(v)) for i, x in [*enumerate(v[:20]), *list(enumerate(v))[-20:]]]
+    return spark.createDataFrame(rows, "prec string, rank int, lambda double, kappa double")
+
+
+@query("ritz_w0")
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    bd = precond.BlockDiagonal(op.diagonal_blocks())
+    _, w, h = krylov.gmres(op.apply, bd, op.rhs(), 1e-8, 100)
+    r = krylov.ritz(w, h)
+    s = krylov.cg(op.apply, bd, op.rhs(), tol=1e-8, keep_basis=True)
+    c = krylov.ritz_from_cg(s)
+    return spark.createDataFrame([("arnoldi", i, float(v.real), float(e)) for i, (v, e) in enumerate(zip(r.values, r.error))] + [("cg", i, float(v), float(e)) for i, (v, e) in enumerate(zip(c.values, c.error))], "source string, rank int, value double, error double")
+
+
+@query("speedups_w3")
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w3(spark, d), K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)}), 1)
+    runs = _both(op)
+    return spark.createDataFrame([(r.prec, n, *map(float, S.speedups(runs[0], r, n).values())) for r in runs[1:] for n in (1, 10, 100)], "prec string, n_rhs int, speedup_solve double, speedup_total double, speedup_amortised double, speedup_iterations double")
+
+
+@query("breakdown_w3")
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w3(spark, d), K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)}), 1)
+    m, c = S.build(op, "apriori", 10)
+    t = S.breakdown(op, c, precond.BlockDiagonal(op.diagonal_blocks()))
+    return spark.createDataFrame([(k, float(v)) for k, v in t.items()], "step string, seconds double")
+
+
+@query("many_rhs_w0")
+def _(spark, d):
+    """Eight noise realisations in one batched solve."""
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    m, _ = S.build(op, "apriori", 10)
+    bs = op.apply_many(np.random.default_rng(3).standard_normal((op.n, 8)))
+    _, took = S.solve_many(op, m, bs)
+    return spark.createDataFrame([(i, int(n)) for i, n in enumerate(took)], "rhs int, iterations int")
+
+
+@query("map_quality_by_band")
+def _(spark, d):
+    """Error of maps against the true sky by band width, with correlated noise, and of plain co-addition."""
+    base = WL.tod_w0(spark, d)
+    white = X.hash_gauss(11, F.col("interval_id"), F.col("t"))
+    drift = F.sum(X.hash_gauss(23, F.col("interval_id"), F.col("t"))).over(W.partitionBy("interval_id").orderBy("t")) * 0.5
+    tod = base.withColumn("d", WL.sky(F.col("pix")) + white + drift)
+    rows = []
+    for lam in (4, 16, 64, 128):
+        r = S.make_map(tod, K.Stationary({0: K.kernel(0.05, lam), 1: K.kernel(0.1, lam)}))
+        truth = 10 + 3 * np.sin(r.op.pixels * 0.37) + 2 * np.cos(r.op.pixels * 0.11)
+        rows.append((f"band_{lam}", S.map_rms(r.solution.x, truth), S.bias(r.solution.x, truth)))
+    x = P.coadd(tod).orderBy("pix").toArrow().column("i").to_numpy()
+    return spark.createDataFrame([*rows, ("coadd", S.map_rms(x, truth), S.bias(x, truth))], "method string, rms double, bias double")
+
+
+@query("template_marginalised_w0")
+def _(spark, d):
+    """Offsets and slopes of every interval projected out of the weights."""
+    def templates(n):
+        return np.stack((np.ones(n), np.linspace(-1, 1, n)))
+
+    tod = WL.tod_w0(spark, d).withColumn("d", WL.sky(F.col("pix")) + 50 * F.col("interval_id") + 0.1 * F.col("t"))
+    r = S.make_map(tod, K.TemplateMarginalised(model_w0(), templates), strict=False, max_iter=200)
+    truth = 10 + 3 * np.sin(r.op.pixels * 0.37) + 2 * np.cos(r.op.pixels * 0.11)
+    return spark.createDataFrame([(S.map_rms(r.solution.x, truth), r.solution.iterations)], "rms double, iterations int")
+
+
+@query("mode_filter_w0")
+def _(spark, d):
+    """Modes below a cut dropped in A and b alike leave a noise-free sky unbiased up to its offset."""
+    tod = WL.tod_w0(spark, d).withColumn("d", WL.sky(F.col("pix")))
+    rows = []
+    for cut in (0.0, 0.01):
+        m = K.Stationary({k: K.kernel(f, 128, f_cut=cut, kind="gauss") for k, f in ((0, 0.05), (1, 0.1))}, check=False)
+        r = S.make_map(tod, m, strict=False, max_iter=200)
+        truth = 10 + 3 * np.sin(r.op.pixels * 0.37) + 2 * np.cos(r.op.pixels * 0.11)
+        rows.append((cut, S.map_rms(r.solution.x, truth), r.solution.iterations))
+    return spark.createDataFrame(rows, "f_cut double, rms double, iterations int")
+
+
+def _stream(name, sql):
+    def add(fn):
+        return query(name, sql)(lambda s, d: fn(s, d))
+
+    return add
+
+
+query("stream_hitmap", "SELECT user_id AS pix, count(*) AS hits FROM events GROUP BY user_id")(lambda s, d: _streams().hit_map(s, d))
+query("stream_coadd", "SELECT user_id AS pix, count(*) AS hits, round(avg(value), 4) + 0.0 AS i FROM events GROUP BY user_id")(lambda s, d: _streams().coadd(s, d))
+query("stream_daily", "SELECT date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS day, count(*) AS n FROM events GROUP BY 1")(lambda s, d: _streams().daily(s, d))
+
+
+def _streams():
+    from skyweave.streaming import maps
+
+    return maps
+
 
 def queries() -> dict:
-    return {}
+    return dict(Q)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(SQL)
