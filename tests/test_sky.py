@@ -162,6 +162,6 @@ def test_query_equals_sql(spark, name):
     got = entry.queries()[name](spark, SF).toPandas()
     cols = sorted(want.columns)
     assert sorted(got.columns) == cols and len(got) == len(want)
-    key = lambda f: sorted(tuple(None if x != x or x is None else round(float(x), 4) for x in r) for r in f[cols].astype(object).where(f[cols].notna(), None).values.tolist())
+    key = lambda f: list(tuple(None if x != x or x is None else round(float(x), 4) for x in r) for r in f[cols].astype(object).where(f[cols].notna(), None).values.tolist())
     a, b = (sorted(k, key=str) for k in (key(got), key(want)))
     assert all((x is None and y is None) or abs(x - y) < 2e-3 for r, s in zip(a, b) for x, y in zip(r, s))
