@@ -28,117 +28,115 @@ WIDEST, LONGEST = 10, 40
 _SALT = C.U64(0x2545F4914F6CDD1D)
 
 
+def _extend(h: np.ndarray, code: np.ndarray) -> np.ndarray:
+    """Hashes of substrings, one code point longer."""
+    h = (h + code + C.U64(1)) * _SALT
+    return h ^ (h >> C.U64(29))
+
+
 @lru_cache(2)
 def _lookup(path: str):
-    """Sorted hashes of the pieces by length, and their ids; pieces of letters and marks only, lower-cased."""
+    """Per length: sorted hashes of the lower-case pieces, their ids, and a bit map of the hashes' top bits; and the vocabulary's size."""
     names, _, types = P.vocabulary(path)
     by: dict[int, dict[int, int]] = {}
     for i, (p, t) in enumerate(zip(names, types)):
         if t == 1 and 1 <= len(p) <= WIDEST and p == p.lower():
-            by.setdefault(len(p), {})[int(_hashes(np.array([[ord(c) for c in p]], np.uint32), len(p))[0, 0])] = i
+            h = np.zeros(1, C.U64)
+            for c in p:
+                h = _extend(h, np.array([ord(c)], C.U64))
+            by.setdefault(len(p), {})[int(h[0])] = i
     out = {}
     for n, d in by.items():
         h = np.array(sorted(d), C.U64)
-        out[n] = h, np.array([d[int(x)] for x in h], np.int64)
+        bits = np.zeros(1 << 20, bool)
+        bits[h >> C.U64(44)] = True
+        out[n] = h, np.array([d[int(x)] for x in h], np.int64), bits
     return out, len(names)
 
 
-def _hashes(codes: np.ndarray, n: int) -> np.ndarray:
-    """Hash of every n consecutive code points of each row."""
-    w = codes.shape[1] - n + 1
-    h = np.zeros((len(codes), w), C.U64)
-    for k in range(n):
-        h = (h + codes[:, k : k + w].astype(C.U64) + C.U64(1)) * _SALT
-        h ^= h >> C.U64(29)
-    return h
-
-
-def _tables(codes: np.ndarray, path: str) -> tuple[list, int]:
-    """[(n, ids)]: for each piece length, the piece id at every (word, start), or -1; single characters fall back to the unknown
-    piece, whose id is the vocabulary's size."""
+def _tables(codes: np.ndarray, path: str) -> list:
+    """[(n, ids)]: for each piece length, the piece id at every (start, word), or -1; single characters fall back to the unknown
+    piece, whose id is the vocabulary's size. ``codes`` is (code point, word)."""
     found, size = _lookup(path)
-    out = []
-    for n in range(1, min(WIDEST, codes.shape[1]) + 1):
+    out, wide = [], codes.astype(C.U64)
+    h = np.zeros(codes.shape, C.U64)
+    for n in range(1, min(WIDEST, len(codes)) + 1):
+        h = _extend(h[: len(codes) - n + 1], wide[n - 1 :])
+        ids = np.full(h.shape, size if n == 1 else -1, np.int64)
         if n in found:
-            h = _hashes(codes, n)
-            keys, who = found[n]
-            at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
-            ids = np.where(keys[at] == h, who[at], -1)
-        else:
-            ids = np.full((len(codes), codes.shape[1] - n + 1), -1, np.int64)
-        if n == 1:
-            ids = np.where(ids < 0, size, ids)
+            keys, who, bits = found[n]
+            flat = h.ravel()
+            maybe = np.flatnonzero(bits[flat >> C.U64(44)])
+            own = flat[maybe]
+            at = np.minimum(np.searchsorted(keys, own), len(keys) - 1)
+            ok = keys[at] == own
+            ids.ravel()[maybe[ok]] = who[at[ok]]
         out.append((n, ids))
-    return out, size
+    return out
 
 
 def _marked(words: list[str]) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """Words by length: their positions, and code points with the word mark in front."""
+    """Words by length: their positions, and code points with the word mark in front as (code point, word)."""
     by: dict[int, list[int]] = {}
     for i, w in enumerate(words):
         by.setdefault(len(w) + 1, []).append(i)
     out = {}
     for n, at in by.items():
         flat = np.frombuffer("".join(["▁" + words[i] for i in at]).encode("utf-32-le"), np.uint32)
-        out[n] = np.array(at), flat.reshape(-1, n)
+        out[n] = np.array(at), np.ascontiguousarray(flat.reshape(-1, n).T)
     return out
 
 
 def likelihoods(words: list[str], logp: np.ndarray, path: str) -> np.ndarray:
     """Log of the sum over segmentations, per word and language; logp is (languages, pieces + 1)."""
-    prob = np.exp(logp)
+    prob = np.ascontiguousarray(np.exp(logp).T)
     out = np.zeros((len(words), len(logp)))
     for n, (at, codes) in _marked(words).items():
         for lo in range(0, len(at), 8192):
-            part = codes[lo : lo + 8192]
-            tables, _ = _tables(part, path)
-            alpha = np.zeros((n + 1, len(logp), len(part)))
+            part = codes[:, lo : lo + 8192]
+            tables = _tables(part, path)
+            alpha = np.zeros((n + 1, part.shape[1], len(logp)))
             alpha[0] = 1
             for end in range(1, n + 1):
                 for k, ids in tables:
                     if k > end:
                         break
-                    i = ids[:, end - k]
+                    i = ids[end - k]
                     if k == 1:
-                        alpha[end] += alpha[end - 1] * prob[:, i]
+                        alpha[end] += alpha[end - 1] * prob[i]
                     elif (hit := np.flatnonzero(i >= 0)).size:
-                        alpha[end][:, hit] += alpha[end - k][:, hit] * prob[:, i[hit]]
-            out[at[lo : lo + 8192]] = np.log(np.maximum(alpha[n], 1e-300)).T
+                        alpha[end, hit] += alpha[end - k, hit] * prob[i[hit]]
+            out[at[lo : lo + 8192]] = np.log(np.maximum(alpha[n], 1e-300))
     return out
 
 
 def expected(words: list[str], times: np.ndarray, path: str) -> np.ndarray:
     """Expected piece counts of the words under uniform pieces (forward-backward over all segmentations)."""
-    found, size = _lookup(path)
+    size = _lookup(path)[1]
     p = 1.0 / size
     total = np.zeros(size + 1)
     for n, (at, codes) in _marked(words).items():
         for lo in range(0, len(at), 8192):
-            part, t = codes[lo : lo + 8192], times[at[lo : lo + 8192]]
-            tables, _ = _tables(part, path)
-            a, b = np.zeros((n + 1, len(part))), np.zeros((n + 1, len(part)))
+            part, t = codes[:, lo : lo + 8192], times[at[lo : lo + 8192]]
+            tables = [(k, start, hit, ids[start][hit]) for k, ids in _tables(part, path) for start in range(n - k + 1) if (hit := np.flatnonzero(ids[start] >= 0)).size]
+            a, b = np.zeros((n + 1, part.shape[1])), np.zeros((n + 1, part.shape[1]))
             a[0] = b[n] = 1
-            for end in range(1, n + 1):
-                for k, ids in tables:
-                    if k <= end:
-                        a[end] += np.where(ids[:, end - k] >= 0, a[end - k] * p, 0)
-            for start in range(n - 1, -1, -1):
-                for k, ids in tables:
-                    if start + k <= n:
-                        b[start] += np.where(ids[:, start] >= 0, b[start + k] * p, 0)
-            z = np.maximum(a[n], 1e-300)
-            for k, ids in tables:
-                for start in range(n - k + 1):
-                    i = ids[:, start]
-                    hit = i >= 0
-                    total += np.bincount(i[hit], (a[start] * p * b[start + k] / z * t)[hit], size + 1)
+            for k, start, hit, _ in sorted(tables, key=lambda x: x[1]):
+                a[start + k, hit] += a[start, hit] * p
+            for k, start, hit, _ in sorted(tables, key=lambda x: -x[1]):
+                b[start, hit] += b[start + k, hit] * p
+            scale = t * p / np.maximum(a[n], 1e-300)
+            total += np.bincount(np.concatenate([i for *_, i in tables]), np.concatenate([a[start, hit] * b[start + k, hit] * scale[hit] for k, start, hit, _ in tables]), size + 1)
     return total
 
 
-@lru_cache(1 << 17)
 def word_parts(raw: bytes) -> tuple[str, ...]:
     """Letters of a white-space word, lower-cased, in parts of bounded length."""
-    w = "".join([c for c in raw.decode("utf-8", "replace").lower() if c.isalpha()])
+    w = raw.decode("utf-8", "replace").lower()
+    if not w.isalpha():
+        w = "".join([c for c in w if c.isalpha()])
+    if len(w) <= LONGEST:
+        return (w,) if w else ()
     return tuple(w[i : i + LONGEST] for i in range(0, len(w), LONGEST))
 
 
@@ -214,9 +212,13 @@ def predict(docs: DataFrame, model: Model, *keep: str) -> DataFrame:
             at = {p: i for i, p in enumerate(flat)}
             while len(memo) + len(new) > len(rows):
                 rows = np.concatenate((rows, np.zeros_like(rows)))
-            for w, ps in zip(new, parts):
-                i = memo[w] = len(memo)
-                rows[i] = got[[at[p] for p in ps]].sum(axis=0) if ps else 0
+            first = len(memo)
+            memo.update(zip(new, range(first, first + len(new))))
+            one = np.array([at[ps[0]] if ps else -1 for ps in parts], np.int64)
+            rows[first : first + len(new)] = np.where(one[:, None] >= 0, got[one] if len(got) else 0, 0)
+            for j, ps in enumerate(parts):
+                for p in ps[1:]:
+                    rows[first + j] += got[at[p]]
 
         for batch in batches:
             pred, score = [], []
