@@ -71,6 +71,8 @@ def measured(docs: DataFrame) -> DataFrame:
     })
 
 
+#: Groups (of some 200 bytes each) whose estimates may be broadcast.
+MOST_GROUPS = 50_000
 _MOMENTS = [f"m{i}" for i in range(DIMS)] + [f"c{i}{j}" for i in range(DIMS) for j in range(i, DIMS)]
 
 
@@ -108,16 +110,24 @@ def distance() -> Column:
     return out
 
 
+def _meet(rows: DataFrame, groups: DataFrame, keys: list[str], small: bool) -> DataFrame:
+    """Rows with their group's values: broadcast while the groups were counted to be few, so a hot group stays spread; else a join."""
+    if not keys:
+        return rows.crossJoin(F.broadcast(groups))  # one row
+    return rows.join(F.broadcast(groups) if small else groups, keys)
+
+
 def robust(rows: DataFrame, keys: list[str], share: float = 0.75, steps: int = 4) -> DataFrame:
     """Per group: n, centre and inverse covariance of the most concentrated ``share`` of its rows found by ``steps`` concentration
     steps from a start at the coordinate-wise medians."""
     med = rows.groupBy(*keys).agg(F.count("*").alias("n"), *(F.percentile_approx(f"x{i}", 0.5, 1000).alias(f"m{i}") for i in range(DIMS)), *((F.lit(0.0) if i != j else F.lit(FLOOR[i] ** 2)).alias(f"c{i}{j}") for i in range(DIMS) for j in range(i, DIMS)))
     now = C.cut(_inverted(med, keys, 1.0))
+    small = not keys or now.limit(MOST_GROUPS + 1).count() <= MOST_GROUPS
     for _ in range(steps):
-        near = rows.join(now, keys) if keys else rows.crossJoin(F.broadcast(now))
+        near = _meet(rows, now, keys, small)
         near = near.withColumn("d2", distance())
         most = near.groupBy(*keys).agg(F.percentile_approx("d2", share, 1000).alias("most"))
-        kept = near.join(most, keys) if keys else near.crossJoin(F.broadcast(most))
+        kept = _meet(near, most, keys, small)
         # consistency factor of a 75 % core of four normal dimensions
         now = C.cut(_inverted(kept.where("d2 <= most").groupBy(*keys).agg(*_moments()), keys, 1.9))
     return now
