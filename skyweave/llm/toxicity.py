@@ -11,6 +11,7 @@ labels of a document count as often as they occur; extra columns are kept by ``r
 from __future__ import annotations
 
 import re
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -77,15 +78,17 @@ def _useful(doc, word, owner, feat, y, least_z: float) -> np.ndarray:
     """1.0 at the features of positive association with label 1."""
     per = np.bincount(owner, minlength=word.max() + 1)
     head = np.cumsum(per) - per
-    pairs = np.unique(doc.astype(np.int64) << 32 | word)
-    d, w = pairs >> 32, pairs & 0xFFFFFFFF
-    n = per[w]
-    f = feat[np.repeat(head[w] - (np.cumsum(n) - n), n) + np.arange(n.sum())]
-    both = np.unique(np.repeat(d, n) << 32 | f)
-    d, f = both >> 32, both & 0xFFFFFFFF
+    in1, in0 = np.zeros(1 << BITS), np.zeros(1 << BITS)
+    cut = np.searchsorted(doc, np.arange(0, len(y) + 256, 256))
+    for lo, hi in zip(cut[:-1], cut[1:]):  # some documents at a time, so that memory stays small
+        w = word[lo:hi]
+        n = per[w]
+        f = feat[np.repeat(head[w] - (np.cumsum(n) - n), n) + np.arange(n.sum())]
+        both = np.unique(np.repeat(doc[lo:hi].astype(np.int64), n) << 32 | f)
+        d, f = both >> 32, both & 0xFFFFFFFF
+        in1 += np.bincount(f[y[d] > 0], minlength=1 << BITS)
+        in0 += np.bincount(f[y[d] == 0], minlength=1 << BITS)
     n1, n0 = y.sum(), len(y) - y.sum()
-    in1 = np.bincount(f[y[d] > 0], minlength=1 << BITS)
-    in0 = np.bincount(f[y[d] == 0], minlength=1 << BITS)
     p = (in1 + in0 + 1) / (n1 + n0 + 2)
     z = (in1 / n1 - in0 / n0) / np.sqrt(p * (1 - p) * (1 / n1 + 1 / n0))
     return ((z > least_z) & (in1 >= 4)).astype(float)
@@ -113,26 +116,32 @@ def fit(rows: list[tuple[bytes | None, int]], counts: tuple[int, int] | None = N
     if not words:
         return Model()
     word = np.concatenate(words)
-    sent = np.repeat(np.arange(len(sent_len)), sent_len)
-    doc = np.repeat(np.arange(len(doc_len)), doc_len)
-    y = np.array(label, float)
-    feats = [features(w) for w in vocab]
-    owner, feat = np.repeat(np.arange(len(vocab)), [len(f) for f in feats]), np.concatenate(feats)
+    words.clear()
+    sent = np.repeat(np.arange(len(sent_len), dtype=np.int32), sent_len)
+    doc = np.repeat(np.arange(len(doc_len), dtype=np.int32), doc_len)
+    y, n_words = np.array(label, float), len(vocab)
+    flat, sizes = array("i"), array("b")
+    for w in vocab:
+        f = features(w)
+        flat.extend(f)
+        sizes.append(len(f))
+    owner, feat = np.repeat(np.arange(len(vocab), dtype=np.int32), np.frombuffer(sizes, np.int8)), np.frombuffer(flat, np.int32)
     have = np.array([len(y) - y.sum(), y.sum()])
     real = np.array(counts if counts else have, float)
     cost = np.where(y > 0, real[1] / have[1], real[0] / have[0]) * len(y) / real.sum()
     useful = _useful(doc[sent], word, owner, feat, y, least_z)
+    vocab.clear()
     w, b = np.zeros(1 << BITS), -5.0
     m, v, mb, vb = np.zeros_like(w), np.zeros_like(w), 0.0, 0.0
     for t in range(1, rounds + 1):
-        ww = np.bincount(owner, w[feat], len(vocab))
+        ww = np.bincount(owner, w[feat], n_words)
         z = np.clip(b + np.bincount(sent, ww[word], len(sent_len)), -30, 30)
         p = 1 / (1 + np.exp(-z))
         keep = np.bincount(doc, np.log1p(-np.minimum(p, 1 - 1e-9)), len(doc_len))
         hit = np.maximum(-np.expm1(keep), 1e-9)
         # d(log likelihood)/dz: -p for a clean document, p * (1 - P) / P for a toxic one
         gz = np.where(y[doc] > 0, p * ((1 - hit) / hit)[doc], -p) * cost[doc] / len(y)
-        gw = np.bincount(word, gz[sent], len(vocab))
+        gw = np.bincount(word, gz[sent], n_words)
         g = (np.bincount(feat, gw[owner], 1 << BITS) - ridge * w) * useful
         gb = gz.sum()
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
@@ -143,7 +152,7 @@ def fit(rows: list[tuple[bytes | None, int]], counts: tuple[int, int] | None = N
     return Model(w, b)
 
 
-def train(docs: DataFrame, labels: DataFrame, most_rows: int = 3000, exclude=None) -> Model:
+def train(docs: DataFrame, labels: DataFrame, most_rows: int = 2000, exclude=None) -> Model:
     """Fit on at most ``most_rows`` documents of each label, the first by hash; ``exclude`` names rows not to learn from."""
     lab = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where("toxic in (0, 1) and doc_id is not null")
     if exclude is not None:
