@@ -30,41 +30,52 @@ UNITS = frozenset("km m cm mm mi miles mile ft feet inch inches kg g mg lb lbs o
 _OUTER = re.compile(r"^[\W_]+|[\W_]+$")
 
 
+def _read(raw: str) -> tuple[str, bool, bool, bool]:
+    """A word without outer punctuation in lower case; whether it is a number, is written like a name, and ends a sentence."""
+    number = bool(NUMBER.match(raw))
+    bare = raw if number else _OUTER.sub("", raw)
+    return bare.lower(), number, bool(bare) and not number and bare[0].isupper() and not bare.isupper(), raw[-1] in ".!?:"
+
+
+_known = C.Memo(_read)
+_token_hash = C.Memo(lambda t: C.word_hash.fn(t.encode()))
+
+
 def template(text: bytes | None) -> tuple[list[str], list[str]]:
     """Template tokens and the values behind them (the token itself where there is no slot)."""
-    tokens, values, start, number = [], [], True, False
-    for raw in (text or b"").decode("utf-8", "replace").split():
-        bare = _OUTER.sub("", raw) if not NUMBER.match(raw) else raw
-        if not bare:
-            start = raw[-1] in ".!?"
-            continue
-        low = bare.lower()
-        if NUMBER.match(bare):
-            token = "<number>"
-        elif number and low in UNITS:
-            token = "<unit>"
-        elif not start and bare[0].isupper() and not bare.isupper():
-            token = "<name>"
-        else:
-            token = low
-        tokens.append(token)
-        values.append(low)
-        number = token == "<number>"
-        start = raw[-1] in ".!?\n:"
+    tokens, values, start, after = [], [], True, False
+    for low, number, name, ends in map(_known.__getitem__, (text or b"").decode("utf-8", "replace").split()):
+        if low:
+            values.append(low)
+            if number:
+                tokens.append("<number>")
+            elif name and not start:
+                tokens.append("<name>")
+            elif after and low in UNITS:
+                tokens.append("<unit>")
+            else:
+                tokens.append(low)
+            after = number
+        start = ends
     return tokens, values
 
 
+_SLOTS = np.array([_token_hash[t] for t in ("<number>", "<unit>", "<name>")], C.U64)
+
+
 def windows(tokens: list[str], width: int) -> np.ndarray:
     """Template hash of each window; 0 where a window is placeholders alone."""
-    h = C.hashed([t.encode() for t in tokens])
+    h = np.fromiter(map(_token_hash.__getitem__, tokens), C.U64, len(tokens))
     if len(h) < width:
         width = len(h)
     if not width:
         return np.empty(0, C.U64)
     out = C.rolling(h, width)
-    slot = np.array([t[0] == "<" for t in tokens])
-    full = np.convolve(slot, np.ones(width, int), "valid") == width
-    return np.where(full, C.U64(0), out)
+    slot = np.isin(h, _SLOTS)
+    if slot.sum() < width:
+        return out
+    full = np.concatenate(([0], np.cumsum(slot)))
+    return np.where(full[width:] - full[:-width] == width, C.U64(0), out)
 
 
 def consistent(item: list[str], item_at: int, doc: list[str], doc_at: int, slots: list[str], n: int) -> bool:
