@@ -307,7 +307,6 @@ def _rebin(spark, d):
     return WL.tod_w6(spark, d).join(n, F.col("pix") == F.col("n_nationkey"))
 
 
-_AGG = (F.round(F.sum("d"), 2).alias("total"), F.count("*").alias("n"))
 query("map_rebin_rollup", _REBIN + "ROLLUP (n_regionkey, n_nationkey)")(lambda s, d: _rebin(s, d).rollup("n_regionkey", "n_nationkey").agg(*(F.round(F.sum("d"), 2).alias("total"), F.count("*").alias("n"))))
 query("map_rebin_cube", _REBIN + "CUBE (n_regionkey, n_nationkey)")(lambda s, d: _rebin(s, d).cube("n_regionkey", "n_nationkey").agg(F.round(F.sum("d"), 2).alias("total"), F.count("*").alias("n")))
 
