@@ -38,18 +38,34 @@ def inv3_sym(a, b, c, d, e, f) -> list[Column]:
     return [x / det for x in (d * f - e * e, c * e - b * f, b * e - c * d, a * f - c * c, b * c - a * e, a * d - b * b)]
 
 
+def let(value: Column, fn) -> Column:
+    """fn(value) with ``value`` evaluated once: pushed through projections and filters it is still one expression."""
+    return F.element_at(F.transform(F.array(value), fn), 1)
+
+
 def rcond3_sym(a, b, c, d, e, f) -> Column:
     """Smallest over largest eigenvalue of the symmetric 3x3 matrix (closed trigonometric form)."""
-    a, b, c, d, e, f = map(col, (a, b, c, d, e, f))
-    q = (a + d + f) / 3
-    p = F.sqrt(((a - q) * (a - q) + (d - q) * (d - q) + (f - q) * (f - q) + 2 * (b * b + c * c + e * e)) / 6)
-    safe = F.when(p == 0, F.lit(1.0)).otherwise(p)
-    A, D, G = (a - q) / safe, (d - q) / safe, (f - q) / safe
-    B, C, E = b / safe, c / safe, e / safe
-    half = (A * (D * G - E * E) - B * (B * G - C * E) + C * (B * E - C * D)) / 2
-    angle = F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), half))) / 3
-    high, low = q + 2 * p * F.cos(angle), q + 2 * p * F.cos(angle + 2 * math.pi / 3)
-    return F.when(high <= 0, F.lit(0.0)).otherwise(F.greatest(low, F.lit(0.0)) / high)
+    def spread(m):
+        q = (m["a"] + m["d"] + m["f"]) / 3
+        A, D, G = m["a"] - q, m["d"] - q, m["f"] - q
+        p = F.sqrt((A * A + D * D + G * G + 2 * (m["b"] * m["b"] + m["c"] * m["c"] + m["e"] * m["e"])) / 6)
+        return m.withField("q", q).withField("p", p)
+
+    def angle(m):
+        s = F.when(m["p"] == 0, F.lit(1.0)).otherwise(m["p"])
+        A, D, G = (m["a"] - m["q"]) / s, (m["d"] - m["q"]) / s, (m["f"] - m["q"]) / s
+        B, C, E = m["b"] / s, m["c"] / s, m["e"] / s
+        half = (A * (D * G - E * E) - B * (B * G - C * E) + C * (B * E - C * D)) / 2
+        return F.struct(m["q"].alias("q"), m["p"].alias("p"), (F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), half))) / 3).alias("t"))
+
+    def ends(m):
+        return F.struct((m["q"] + 2 * m["p"] * F.cos(m["t"])).alias("high"), (m["q"] + 2 * m["p"] * F.cos(m["t"] + 2 * math.pi / 3)).alias("low"))
+
+    def ratio(m):
+        return F.when(m["high"] <= 0, F.lit(0.0)).otherwise(F.greatest(m["low"], F.lit(0.0)) / m["high"])
+
+    block = F.struct(*(col(x).cast("double").alias(k) for x, k in zip((a, b, c, d, e, f), "abcdef")))
+    return let(let(let(let(block, spread), angle), ends), ratio)
 
 
 def hash_gauss(seed: int, *columns) -> Column:
