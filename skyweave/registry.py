@@ -12,11 +12,13 @@ from pyspark.sql import functions as F
 from skyweave import oracles as O
 from skyweave.functions import expr as X
 from skyweave.functions import kernels as K
+from skyweave.functions import tables
 from skyweave.operators import krylov, precond
 from skyweave.operators import pointing as P
 from skyweave.operators import solve as S
 from skyweave.operators import system as Y
 from skyweave.sources import workloads as WL
+from skyweave.sources.scan import scan
 from skyweave.sources.tables import load
 
 TIGHT = 1e-12
@@ -343,12 +345,11 @@ def _(spark, d):
     return out[0].unionByName(out[1]).unionByName(out[2])
 
 
-@query("convergence_by_circles")
-def _(spark, d):
+def _convergence(spark, d, cases):
     """Iterations of the three preconditioners on big circles, by polariser and number of circles."""
     runs = []
     model = K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)})
-    for pol, n in (("none", 8), ("none", 64), ("fast", 16)):
+    for pol, n in cases:
         tod = WL.tod_w3(spark, d, pol, n)
         s = 1 if pol == "none" else 3
         if s == 3:
@@ -359,10 +360,15 @@ def _(spark, d):
     return _table(spark, runs, "polariser string, circles int, ")
 
 
+query("convergence_by_circles")(lambda s, d: _convergence(s, d, (("none", 8), ("none", 64), ("fast", 16))))
+query("convergence_medium")(lambda s, d: _convergence(s, d, (("medium", 8), ("medium", 32))))
+query("convergence_slow")(lambda s, d: _convergence(s, d, (("slow", 8),)))
+
+
 @query("knee_sweep_w1")
 def _(spark, d):
     runs, tod = [], WL.tod_w1(spark, d)
-    for fk in (0.005, 0.1):
+    for fk in (0.005, 0.02, 0.1):
         op = Y.NormalOperator(tod, K.Stationary({0: K.kernel(fk, 1024, grid_n=262144)}), 1)
         runs += [((fk,), r) for r in _both(op, eps=0.3)]
         op.close()
@@ -373,20 +379,20 @@ def _(spark, d):
 def _(spark, d):
     op = Y.NormalOperator(WL.tod_w3(spark, d), K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)}), 1)
     b = op.rhs()
-    return _table(spark, [((r,), S.make_map(None, None, prec="apriori", rank=r, op=op, b=b, strict=False, max_iter=300)) for r in (1, 10, 100)], "rank int, ")
+    return _table(spark, [((r,), S.make_map(None, None, prec="apriori", rank=r, op=op, b=b, strict=False, max_iter=300)) for r in (1, 10, 50, 100)], "rank int, ")
 
 
 @query("coarse_rank_aposteriori_w2")
 def _(spark, d):
     op = Y.NormalOperator(WL.tod_w2(spark, d, intervals="circle"), K.Stationary({0: K.kernel(0.02, 256)}), 1)
     b = op.rhs()
-    return _table(spark, [((e,), S.make_map(None, None, prec="aposteriori", eps_tol=e, op=op, b=b, strict=False, max_iter=400)) for e in (0.05, 0.3)], "eps double, ")
+    return _table(spark, [((e,), S.make_map(None, None, prec="aposteriori", eps_tol=e, op=op, b=b, strict=False, max_iter=400)) for e in (0.05, 0.2, 0.3)], "eps double, ")
 
 
 @query("band_sweep_w2")
 def _(spark, d):
     runs, tod = [], WL.tod_w2(spark, d)
-    for lam in (32, 1024):
+    for lam in (32, 128, 1024):
         op = Y.NormalOperator(tod, K.Stationary({0: K.kernel(0.1, lam, grid_n=65536)}), 1)
         b = op.rhs()
         runs += [((lam,), S.make_map(None, None, prec=p, op=op, b=b, strict=False, max_iter=400, eps_tol=0.3)) for p in ("bd", "apriori")]
@@ -486,6 +492,24 @@ def _(spark, d):
     return spark.createDataFrame(rows, "f_cut double, rms double, iterations int")
 
 
+# ---- generated scans and table-valued functions ----
+
+_SCAN = f"SELECT i AS interval_id, CAST(t AS BIGINT) AS t, {O.circle('(t % 365) * (2 * pi() / 365)', 'i * (2 * pi() / 7)', 30.0, 32, 64)} AS pix FROM range(7) a(i), range(3 * 365) b(t)"
+query("scan_source", _SCAN)(lambda s, d: scan(s, circles=7, rescans=3, samples=365, chunk=400).select("interval_id", "t", "pix"))
+
+
+@query("udtf_kernel_lags", f"WITH {O.KERN0} SELECT CAST(noise_id AS INTEGER) AS noise_id, lag, round(w, 9) + 0.0 AS w FROM kern")
+def _(spark, d):
+    tables.register(spark)
+    spark.createDataFrame([(0, 0.05), (1, 0.1)], "noise_id int, fknee double").createOrReplaceTempView("_noise")
+    return spark.sql("SELECT noise_id, lag, round(w, 9) + 0.0D AS w FROM _noise, LATERAL kernel_lags(fknee, 1.0D, 128, 1024)")
+
+
+@query("udtf_small_map_w4", O.small_map(O.W4, 0.1, 8))
+def _(spark, d):
+    return rounded(tables.small_map(WL.tod_w4(spark, d).asTable().withSinglePartition(), F.lit(0.1), F.lit(8)))
+
+
 def _stream(name, sql):
     def add(fn):
         return query(name, sql)(lambda s, d: fn(s, d))
@@ -498,6 +522,12 @@ query("stream_coadd", "SELECT user_id AS pix, count(*) AS hits, round(avg(value)
 query("stream_daily", "SELECT date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS day, count(*) AS n FROM events GROUP BY 1")(lambda s, d: _streams().daily(s, d))
 
 
+query("stream_sessions", """WITH a AS (SELECT user_id AS pix, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 2 HOUR THEN 0 ELSE 1 END AS first FROM events),
+b AS (SELECT pix, ts, sum(first) OVER (PARTITION BY pix ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM a)
+SELECT pix, epoch_us(min(ts)) AS start_us, count(*) AS n FROM b GROUP BY pix, k HAVING max(ts) + INTERVAL 3 HOUR <= (SELECT max(ts) FROM events)""")(lambda s, d: _streams().sessions(s, d))
+query("stream_near_pointing", "SELECT a.event_id AS sample_id, b.event_id AS pointing_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts BETWEEN a.ts - INTERVAL 10 MINUTE AND a.ts + INTERVAL 10 MINUTE")(lambda s, d: _streams().near_pairs(s, d))
+
+
 def _streams():
     from skyweave.streaming import maps
 

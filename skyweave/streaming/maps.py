@@ -62,3 +62,37 @@ def daily(spark, sf_dir) -> DataFrame:
     w.writeStream.outputMode("update").foreachBatch(add).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
     rows = spark.read.parquet(f"{folder}/rows").groupBy("start").agg(F.max_by("n", "at").alias("n"))
     return rows.select(F.datediff(F.to_date("start"), F.lit("2024-01-01").cast("date")).cast("long").alias("day"), "n")
+
+
+def _appended(out: DataFrame, folder: str, schema: str) -> DataFrame:
+    """Run an append-mode stream to its present end, each batch's rows under its id, and read them back."""
+    def add(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/rows/batch={batch_id}")
+
+    out.writeStream.outputMode("append").foreachBatch(add).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    return out.sparkSession.read.schema(schema + ", batch int").parquet(f"{folder}/rows").drop("batch")
+
+
+def session_pieces(stream: DataFrame, gap: str = "2 hours", late: str = "1 hour") -> DataFrame:
+    """Pieces of a key's samples without a gap, closed by the watermark: (pix, start, stop, n); state is the open pieces alone."""
+    w = stream.withWatermark("ts", late).groupBy("pix", F.session_window("ts", gap)).agg(F.count("*").alias("n"))
+    return w.select("pix", F.col("session_window.start").alias("start"), F.col("session_window.end").alias("stop"), "n")
+
+
+def attach_near(samples: DataFrame, pointing: DataFrame, delta: str = "10 minutes", late: str = "1 hour") -> DataFrame:
+    """Stream-stream join of samples (pix, ts, sample_id) with pointing records (p_pix, p_ts, pointing_id) of the same key within
+    ``delta`` either way; both watermarks and the time range bound the state."""
+    a, b = samples.withWatermark("ts", late), pointing.withWatermark("p_ts", late)
+    return a.join(b, (F.col("pix") == F.col("p_pix")) & F.expr(f"p_ts BETWEEN ts - INTERVAL {delta} AND ts + INTERVAL {delta}"))
+
+
+def sessions(spark, sf_dir) -> DataFrame:
+    out = session_pieces(events(spark, sf_dir).select(F.col("user_id").alias("pix"), "ts"))
+    return _appended(out, _folder(spark, "sessions"), "pix long, start timestamp, stop timestamp, n long").select("pix", F.unix_micros("start").alias("start_us"), "n")
+
+
+def near_pairs(spark, sf_dir) -> DataFrame:
+    e = events(spark, sf_dir)
+    s = e.where("event_type = 'view'").select(F.col("user_id").alias("pix"), "ts", F.col("event_id").alias("sample_id"))
+    p = events(spark, sf_dir).where("event_type = 'click'").select(F.col("user_id").alias("p_pix"), F.col("ts").alias("p_ts"), F.col("event_id").alias("pointing_id"))
+    return _appended(attach_near(s, p).select("sample_id", "pointing_id"), _folder(spark, "near"), "sample_id long, pointing_id long")

@@ -150,7 +150,7 @@ def test_failures(spark):
     assert s.converged and s.iterations == 0
 
 
-SMALL = ["flagship_map_w0", "map_w0_apriori", "hit_map_w0", "hit_map_w2", "tod_index_w1", "noise_weight_lagjoin_w0", "noise_weight_fir_w0", "noise_weight_fft_w0", "rhs_w0", "system_matrix_w0", "az_w0", "bd_inverse_pol", "coadd_pol", "zs_merged_r10", "asof_pointing", "interval_assign", "pixel_cut_anti_w3", "map_rebin_cube", "stream_coadd", "stream_daily", "kernel_apodized", "unbiased_noise_free"]
+SMALL = ["flagship_map_w0", "map_w0_apriori", "hit_map_w0", "hit_map_w2", "tod_index_w1", "noise_weight_lagjoin_w0", "noise_weight_fir_w0", "noise_weight_fft_w0", "rhs_w0", "system_matrix_w0", "az_w0", "bd_inverse_pol", "coadd_pol", "zs_merged_r10", "asof_pointing", "interval_assign", "pixel_cut_anti_w3", "map_rebin_cube", "stream_coadd", "stream_daily", "kernel_apodized", "unbiased_noise_free", "scan_source", "udtf_kernel_lags", "udtf_small_map_w4", "stream_sessions", "stream_near_pointing"]
 
 
 @pytest.mark.parametrize("name", SMALL)
@@ -165,3 +165,31 @@ def test_query_equals_sql(spark, name):
     key = lambda f: list(tuple(None if x != x or x is None else round(float(x), 4) for x in r) for r in f[cols].astype(object).where(f[cols].notna(), None).values.tolist())
     a, b = (sorted(k, key=str) for k in (key(got), key(want)))
     assert all((x is None and y is None) or abs(x - y) < 2e-3 for r, s in zip(a, b) for x, y in zip(r, s))
+
+
+def test_scan_source(spark):
+    from skyweave.sources.scan import scan
+
+    whole, cut = (scan(spark, circles=2, rescans=2, samples=50, chunk=c) for c in (1000, 30))
+    assert cut.rdd.getNumPartitions() == 8 and sorted(map(tuple, cut.collect())) == sorted(map(tuple, whole.collect()))
+    assert whole.groupBy("interval_id").count().where("count <> 100").count() == 0
+    with pytest.raises(ValueError):
+        scan(spark, circle=2)
+
+
+def test_small_map_partitions(spark):
+    from skyweave.functions import tables
+
+    rows = [(k, 0, t, t % 3, float(k + t % 3)) for k in (1, 2) for t in range(30)]
+    df = spark.createDataFrame(rows, "key int, interval_id long, t long, pix long, d double")
+    got = tables.small_map(df.asTable().partitionBy("key"), *map(spark_lit, (0.0, 0))).collect()
+    assert sorted((r.pix, round(r.i, 9)) for r in got) == [(0, 1), (0, 2), (1, 2), (1, 3), (2, 3), (2, 4)]
+    gaps = df.where("key = 1 and t <> 5")
+    with pytest.raises(Exception, match="gaps"):
+        tables.small_map(gaps.asTable().withSinglePartition(), *map(spark_lit, (0.1, 4))).collect()
+
+
+def spark_lit(x):
+    from pyspark.sql import functions as F
+
+    return F.lit(x)
