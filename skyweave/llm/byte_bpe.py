@@ -198,10 +198,10 @@ def _assembled(docs: DataFrame, path: str, tail, schema: str, block_bytes: int)
     spark = docs.sparkSession
     buckets = C.partition_keys(spark, C.shuffle_width(spark))
     keyed = C.keyed_docs(docs)
-    words = keyed.mapInArrow(_words(path, buckets, block_bytes), _SCHEMA).repartition(len(buckets), "bucket").mapInArrow(_encode(path), _SCHEMA)
-    skeleton = keyed.mapInArrow(_skeleton(path, block_bytes), _SCHEMA)
+    words = keyed.mapInArrow(C.task(_words(path, buckets, block_bytes)), _SCHEMA).repartition(len(buckets), "bucket").mapInArrow(C.task(_encode(path)), _SCHEMA)
+    skeleton = keyed.mapInArrow(C.task(_skeleton(path, block_bytes)), _SCHEMA)
     back = skeleton.unionByName(words).repartition(len(buckets), "block").sortWithinPartitions("block", "kind")
-    return back.mapInArrow(_assemble(path, tail), schema)
+    return back.mapInArrow(C.task(_assemble(path, tail)), schema)
 
 
 def encode(docs: DataFrame, path: str | None = None, block_bytes: int = 8 << 20) -> DataFrame:
@@ -222,7 +222,7 @@ def decode(encoded: DataFrame, path: str | None = None) -> DataFrame:
             out = [None if x is None else b"".join([t[i] for i in x]).decode("utf-8", "replace") for x in b.column(1).to_pylist()]
             yield pa.record_batch([b.column(0), pa.array(out, pa.string())], names=["doc_id", "text"])
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
+    return encoded.select("doc_id", "ids").mapInArrow(C.task(run), "doc_id long, text string")
 
 
 def digests(docs: DataFrame, path: str | None = None, block_bytes: int = 8 << 20) -> DataFrame:

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -75,7 +76,10 @@ def held_out(modulus: int, remainder: int, column: str = "doc_id") -> Column:
 
 
 def texts(batch: pa.RecordBatch, name: str = "text") -> list[bytes | None]:
-    return batch.column(batch.schema.get_field_index(name)).cast(pa.binary()).to_pylist()
+    """The column, or the field of the first column, a struct of whole rows, so that long texts travel once."""
+    at = batch.schema.get_field_index(name)
+    column = batch.column(at) if at >= 0 else batch.column(0).field(name)
+    return column.cast(pa.binary()).to_pylist()
 
 
 def ids(batch: pa.RecordBatch, name: str = "doc_id") -> np.ndarray:
@@ -96,7 +100,45 @@ class Memo(dict):
         return value
 
 
-word_hash = Memo(lambda w: xxhash.xxh3_64_intdigest(w, 7))
+_kept: list[Memo] = []
+
+
+def task_memo(fn) -> Memo:
+    """A memo of a module, emptied when a task ends."""
+    _kept.append(Memo(fn))
+    return _kept[-1]
+
+
+word_hash = task_memo(lambda w: xxhash.xxh3_64_intdigest(w, 7))
+
+
+def release() -> None:
+    """Give back what a task remembered: a Python worker outlives it and serves the stages that follow."""
+    for memo in _kept:
+        memo.clear()
+    _powers[:] = [np.ones(1, U64), np.ones(1, U64)]
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # only glibc has it
+        pass
+
+
+def task(fn: Callable, most_rows: int = 1000) -> Callable:
+    """``fn`` for mapInArrow: it gets, and sends on, at most ``most_rows`` rows at a time, and its worker keeps nothing afterwards."""
+
+    def slices(batches):
+        for batch in batches:
+            for lo in range(0, batch.num_rows, most_rows):
+                yield batch.slice(lo, most_rows)
+
+    def run(batches):
+        try:
+            yield from fn(slices(batches))
+        finally:
+            release()
+
+    return run
 
 
 def hashed(words: list[bytes]) -> np.ndarray:

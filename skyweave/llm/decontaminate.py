@@ -37,8 +37,8 @@ def _read(raw: str) -> tuple[str, bool, bool, bool]:
     return bare.lower(), number, bool(bare) and not number and bare[0].isupper() and not bare.isupper(), raw[-1] in ".!?:"
 
 
-_known = C.Memo(_read)
-_token_hash = C.Memo(lambda t: C.word_hash.fn(t.encode()))
+_known = C.task_memo(_read)
+_token_hash = C.task_memo(lambda t: C.word_hash.fn(t.encode()))
 
 
 def template(text: bytes | None) -> tuple[list[str], list[str]]:
@@ -135,7 +135,7 @@ def mark(docs: DataFrame, benchmark: DataFrame, width: int = 8, share: float = 0
     spark = docs.sparkSession
     bench = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("binary").alias("text")).where("text is not null").distinct()
     names = docs.columns
-    src = docs.select(F.struct(*names).alias("_rest"), F.col("text").cast("string").alias("text"))
+    src = docs.withColumn("text", F.col("text").cast("string")).select(F.struct(*names).alias("_rest"))
     if bench.limit(most_items + 1).count() > most_items:
         return _joined(docs, bench, width, share, run)
     items = sorted((r.item_id if r.item_id is not None else C.NULL_ID, bytes(r.text)) for r in bench.collect())
@@ -146,7 +146,7 @@ def mark(docs: DataFrame, benchmark: DataFrame, width: int = 8, share: float = 0
         for batch in batches:
             yield pa.record_batch([batch.column(0), pa.array([index.found(t, share, run) for t in C.texts(batch)], pa.list_(pa.int64()))], names=["_rest", "items"])
 
-    out = src.mapInArrow(go, f"_rest {src.schema['_rest'].dataType.simpleString()}, items array<bigint>")
+    out = src.mapInArrow(C.task(go), f"_rest {src.schema['_rest'].dataType.simpleString()}, items array<bigint>")
     return out.select(*(F.col(f"_rest.`{c}`") for c in names), "items")
 
 
@@ -154,10 +154,10 @@ def _joined(docs: DataFrame, bench: DataFrame, width: int, share: float, run: in
     """The same by a shuffled hash join of windows, for a benchmark too large to broadcast: candidate (document, item) pairs
     share a window's hash; each pair is then compared as above with the item's text joined in."""
     spark = docs.sparkSession
-    widths = [r.w for r in bench.mapInArrow(_widths(width), "w int").distinct().collect()]  # at most ``width`` values
-    b = bench.mapInArrow(_hash_rows("item_id", [width], True), "id long, h long").distinct().withColumnRenamed("id", "item_id")
+    widths = [r.w for r in bench.mapInArrow(C.task(_widths(width)), "w int").distinct().collect()]  # at most ``width`` values
+    b = bench.mapInArrow(C.task(_hash_rows("item_id", [width], True)), "id long, h long").distinct().withColumnRenamed("id", "item_id")
     keyed = C.keyed_docs(docs)
-    d = keyed.mapInArrow(_hash_rows("doc_id", widths, False), "id long, h long").distinct().withColumnRenamed("id", "doc_id")
+    d = keyed.mapInArrow(C.task(_hash_rows("doc_id", widths, False)), "id long, h long").distinct().withColumnRenamed("id", "doc_id")
     pairs = d.join(b, "h").select("doc_id", "item_id").distinct()
     texts = keyed.dropDuplicates(["doc_id"]).join(pairs, "doc_id").join(bench.select("item_id", F.col("text").alias("item")), "item_id")
 
@@ -166,7 +166,7 @@ def _joined(docs: DataFrame, bench: DataFrame, width: int, share: float, run: in
             ok = [bool(Index([(i, x)], width).found(t, share, run)) for i, x, t in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), C.texts(batch))]
             yield pa.record_batch([batch.column(0), batch.column(1), pa.array(ok)], names=["doc_id", "item_id", "hit"])
 
-    hit = texts.select("doc_id", "item_id", "item", "text").mapInArrow(go, "doc_id long, item_id long, hit boolean").where("hit").groupBy("doc_id").agg(F.sort_array(F.collect_set("item_id")).alias("items"))
+    hit = texts.select("doc_id", "item_id", "item", "text").mapInArrow(C.task(go), "doc_id long, item_id long, hit boolean").where("hit").groupBy("doc_id").agg(F.sort_array(F.collect_set("item_id")).alias("items"))
     out = docs.withColumn("_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(C.NULL_ID))).join(hit.withColumnRenamed("doc_id", "_key"), "_key", "left")
     return out.select(*docs.columns, F.coalesce("items", F.array().cast("array<bigint>")).alias("items"))
 

@@ -238,13 +238,13 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 80) -> DataF
     spark = docs.sparkSession
     parts = C.shuffle_width(spark)
     keyed = C.keyed_docs(docs)
-    described = C.cut(keyed.mapInArrow(_describe(width), "doc_id long, n long, k1 long, k2 long, sig binary"))
+    described = C.cut(keyed.mapInArrow(C.task(_describe(width)), "doc_id long, n long, k1 long, k2 long, sig binary"))
     classes = described.where("n > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.first("sig").alias("sig"))
     reps = C.cut(classes)
     buckets = C.partition_keys(spark, parts)
-    groups = reps.select("rep", "sig").mapInArrow(_key_sender(buckets), "bucket int, keys binary, reps binary").repartition(parts, "bucket").mapInArrow(_grouper, "gid long, rep long")
+    groups = reps.select("rep", "sig").mapInArrow(C.task(_key_sender(buckets), 10_000), "bucket int, keys binary, reps binary").repartition(parts, "bucket").mapInArrow(C.task(_grouper), "gid long, rep long")
     groups = groups.distinct().join(reps.select("rep", "sig"), "rep").select("gid", "rep", "sig")
-    candidates = groups.repartition(parts, "gid").sortWithinPartitions("gid", "rep").mapInArrow(_near_signatures, "u long, v long")
+    candidates = groups.repartition(parts, "gid").sortWithinPartitions("gid", "rep").mapInArrow(C.task(_near_signatures, 10_000), "u long, v long")
     clusters = C.connected(spark, candidates)
     sizes = clusters.groupBy("root").agg(F.ceil(F.count("*") / CLUSTER_BLOCK).cast("int").alias("m"))
     member = clusters.join(sizes, "root").withColumn("b", F.pmod(F.xxhash64("node"), F.col("m")).cast("int"))
@@ -252,7 +252,7 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 80) -> DataF
     tasks = member.select("node", F.explode(F.when(F.col("m") == 1, F.array(F.xxhash64("root", F.lit(0), F.lit(0)))).otherwise(F.expr("transform(filter(sequence(0, m - 1), j -> j != b), j -> xxhash64(root, least(j, b), greatest(j, b)))"))).alias("task"))
     reptexts = keyed.join(clusters.select(F.col("node").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
     sets = reptexts.join(tasks.withColumnRenamed("node", "doc_id"), "doc_id").select("task", "doc_id", "text")
-    links = sets.repartition(parts, "task").sortWithinPartitions("task", "doc_id").mapInArrow(_confirmer(width, percent), "u long, v long")
+    links = sets.repartition(parts, "task").sortWithinPartitions("task", "doc_id").mapInArrow(C.task(_confirmer(width, percent)), "u long, v long")
     roots = C.connected(spark, links)
     named = reps.select("k1", "k2", "rep").join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").select("k1", "k2", F.coalesce("root", "rep").alias("component"))
     out = described.drop("sig").join(named, ["k1", "k2"], "left").withColumn("component", F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("doc_id")))

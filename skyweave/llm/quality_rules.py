@@ -60,7 +60,7 @@ def _measure(batches):
 def measured(docs: DataFrame) -> DataFrame:
     """doc_id, lang, source, the statistics, base_failed and the transformed vector x0..x3."""
     src = docs.select("doc_id", F.coalesce(F.col("lang").cast("string"), F.lit("\0")).alias("lang"), F.coalesce(F.col("source").cast("string"), F.lit("\0")).alias("source"), F.col("text").cast("string").alias("text"))
-    m = src.mapInArrow(_measure, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, lang string, source string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_lines long")
+    m = src.mapInArrow(C.task(_measure), f"doc_id {src.schema['doc_id'].dataType.simpleString()}, lang string, source string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_lines long")
     n = F.greatest("n_words", F.lit(1))
     return m.withColumns({
         "base_failed": (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words")),

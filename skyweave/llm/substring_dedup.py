@@ -177,8 +177,8 @@ def repeated_windows(docs: DataFrame, width: int = 20, block_bytes: int = 6 << 2
     """(doc_id, start, n): runs of n consecutive window starts whose windows occur earlier in the corpus."""
     spark = docs.sparkSession
     buckets = C.partition_keys(spark, C.shuffle_width(spark))
-    sent = C.keyed_docs(docs).mapInArrow(_sender(width, buckets, block_bytes), "bucket int, anchor binary, doc binary, start binary, n binary, off binary, window binary")
-    return sent.repartition(len(buckets), "bucket").mapInArrow(_finder, "doc_id long, start long, n long")
+    sent = C.keyed_docs(docs).mapInArrow(C.task(_sender(width, buckets, block_bytes)), "bucket int, anchor binary, doc binary, start binary, n binary, off binary, window binary")
+    return sent.repartition(len(buckets), "bucket").mapInArrow(C.task(_finder), "doc_id long, start long, n long")
 
 
 def covered(n_words: int, found: list[dict] | None, width: int) -> np.ndarray:
@@ -221,7 +221,7 @@ def deduplicate(docs: DataFrame, width: int = 20) -> DataFrame:
                 out["kept_sha256"].append(hashlib.sha256(kept).hexdigest())
             yield pa.record_batch([batch.column(0), pa.array(out["text"], pa.binary()).cast(pa.string()), pa.array(out["n_words"], pa.int64()), pa.array(out["n_removed"], pa.int64()), pa.array(out["removed"], pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))), pa.array(out["kept_sha256"], pa.string())], names=["_rest", "text", "n_words", "n_removed", "removed", "kept_sha256"])
 
-    made = joined.mapInArrow(run, f"_rest {rest.simpleString()}, text string, n_words long, n_removed long, removed array<struct<start:bigint,end:bigint>>, kept_sha256 string")
+    made = joined.mapInArrow(C.task(run), f"_rest {rest.simpleString()}, text string, n_words long, n_removed long, removed array<struct<start:bigint,end:bigint>>, kept_sha256 string")
     return made.select(*(F.col(f"_rest.`{c}`") if c != "text" else F.col("text") for c in docs.columns), "n_words", "n_removed", "removed", "kept_sha256")
 
 

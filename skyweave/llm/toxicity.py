@@ -172,7 +172,8 @@ def train(docs: DataFrame, labels: DataFrame, most_rows: int = 2000, exclude=Non
 def score(docs: DataFrame, model: Model, threshold: float = 0.3, *keep: str) -> DataFrame:
     """``keep`` columns, score, predicted, and the worst sentence's byte span and score (null without sentences)."""
     shared = docs.sparkSession.sparkContext.broadcast((model.weight, model.bias))  # of a fixed size
-    src = docs.select(F.struct(*keep).alias("_rest"), F.col("text").cast("string").alias("text"))
+    rest, text = F.struct(*keep).alias("_rest"), F.col("text").cast("string").alias("text")
+    src = docs.withColumn("text", text).select(rest) if "text" in keep else docs.select(rest, text)
 
     def run(batches):
         scorer = Model(*shared.value).scorer()
@@ -186,7 +187,7 @@ def score(docs: DataFrame, model: Model, threshold: float = 0.3, *keep: str) ->
                 worst.append(None if k is None else float(p[k]))
             yield pa.record_batch([batch.column(0), pa.array(s, pa.float64()), pa.array([int(x >= threshold) for x in s], pa.int32()), pa.array(where, pa.list_(pa.int64())), pa.array(worst, pa.float64())], names=["_rest", "score", "predicted", "worst_span", "worst_score"])
 
-    out = src.mapInArrow(run, f"_rest {src.schema['_rest'].dataType.simpleString()}, score double, predicted int, worst_span array<bigint>, worst_score double")
+    out = src.mapInArrow(C.task(run), f"_rest {src.schema['_rest'].dataType.simpleString()}, score double, predicted int, worst_span array<bigint>, worst_score double")
     return out.select("_rest.*", "score", "predicted", "worst_span", "worst_score")
 
 
