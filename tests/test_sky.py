@@ -193,3 +193,22 @@ def spark_lit(x):
     from pyspark.sql import functions as F
 
     return F.lit(x)
+
+
+@pytest.mark.parametrize("name, polarisers", [("convergence_by_circles", ["none", "fast"]), ("convergence_medium", ["medium"]), ("convergence_slow", ["slow"])])
+def test_convergence_takes_every_circle(spark, monkeypatch, name, polarisers):
+    """The first point of each polariser has all rows of the table, four times for the slow one; the solves are left out."""
+    from skyweave import registry
+
+    seen = []
+    monkeypatch.setattr(registry.P, "pixel_cut", lambda tod: (tod,))
+    monkeypatch.setattr(registry.WL, "tod_w3", lambda s, d, pol, n, f=WL.tod_w3: seen.append((pol, n, f(s, d, pol, n))) or seen[-1][2])
+    monkeypatch.setattr(registry.Y, "NormalOperator", lambda *a: type("Nothing", (), {"close": lambda self: None})())
+    monkeypatch.setattr(registry, "_both", lambda op: [])
+    entry.queries()[name](spark, SF)
+    n, circles = spark.read.parquet(f"{SF}/lineitem.parquet").count(), spark.read.parquet(f"{SF}/supplier.parquet").count()
+    whole = [(pol, tod) for pol, most, tod in seen if most is None]
+    assert [pol for pol, _ in whole] == polarisers
+    for pol, tod in whole:
+        times = 4 if pol == "slow" else 1
+        assert tod.count() == n * times and tod.select("interval_id").distinct().count() == circles * times
