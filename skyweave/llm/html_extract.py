@@ -3,7 +3,7 @@
 A page is tokenised once into blocks; the outermost <article> or <main> is its main region. The blocks outside it, or all blocks of a page without one, join
 the token stream of the page's host. The streams of a host's pages are concatenated with separators that occur once, a suffix array
 with longest common prefixes finds the substrings of at least ``least`` tokens, or whole blocks, that occur in two distinct pages,
-and covered tokens are boilerplate; unique runs remain candidates. What the markup itself calls a
+and covered tokens are boilerplate; unique runs stay, outside a main region as well. What the markup itself calls a
 menu, header, footer, sidebar, notice, advert, form or comment is no main text, unique or not; inside a main region repeated passages are
 the article's own and stay. Pages of one host meet in shards: hosts with more than 1/4096 of all pages (so at most 4096
 of them) are salted by page, and a shard is worked on at most ``most_pages`` at a time in page order.
@@ -215,11 +215,8 @@ def _resolve(least: int, most_pages: int):
         for r, mine in zip(rows, covered):
             main, left, text = MAIN in r["places"], iter(mine), []
             for k, x in zip(r["places"], r["blocks"]):
-                if main:
-                    if k == MAIN:
-                        text.append(x)
-                    else:
-                        next(left)  # outside the main region: boilerplate by the array or by the markup
+                if main and k == MAIN:
+                    text.append(x)
                     continue
                 gone = next(left)
                 if k != DROP:

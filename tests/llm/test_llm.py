@@ -219,6 +219,13 @@ def test_html(spark):
     assert got[2] == "unique text number 2 of words2 and more2" and got[9] == got[10] == ""
 
 
+def test_html_unique_runs_outside_main(spark):
+    shared = "<div>common words that stand on every page of this host</div>"
+    rows = [(i, "http://h.org/x", f"<body><nav>menu{i}</nav>{shared}<article>inside {i}</article><div>a unique passage beside it number{i}</div></body>") for i in range(3)]
+    got = {r.page_id: r.text for r in html_extract.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == {i: f"inside {i}\na unique passage beside it number{i}" for i in range(3)}
+
+
 def test_decontamination(spark, odd):
     bench = spark.createDataFrame([(1, "A train leaves Paris with 120 riders and after 3 stops it has 45 riders left how many got off"), (2, ""), (3, None)], "item_id long, text string")
     docs = spark.createDataFrame([(1, "intro words. a train leaves Paris with 90 riders and after 7 stops it has 33 riders left how many got off end"), (2, "a train leaves late"), (3, None), (4, "")], "doc_id long, text string")
