@@ -5,8 +5,9 @@ the token stream of the page's host. The streams of a host's pages are concatena
 with longest common prefixes finds the substrings of at least ``least`` tokens, or whole blocks, that occur in two distinct pages,
 and covered tokens are boilerplate; unique runs stay, outside a main region as well. What the markup itself calls a
 menu, header, footer, sidebar, notice, advert, form or comment is no main text, unique or not; inside a main region repeated passages are
-the article's own and stay. Pages of one host meet in shards: hosts with more than 1/4096 of all pages (so at most 4096
-of them) are salted by page, and a shard is worked on at most ``most_pages`` at a time in page order.
+the article's own and stay. A host of more than ``most_pages`` pages is dealt in shards: its runs of ``least`` tokens and its shorter
+blocks are counted by 64-bit hash over all of its shards, and each shard gets back those that two distinct pages have, which
+cover the same tokens as one array over the host.
 
 Edge cases: null and empty pages have an empty text; pages without url share a host of their own; unclosed tags end with their
 parents; stray < is text; repeated rows are separate pages but do not make each other boilerplate if they share a page_id;
@@ -16,10 +17,12 @@ from __future__ import annotations
 
 import html as _html
 import re
+import zlib
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from . import common as C
@@ -35,6 +38,8 @@ _TAG = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)
 _ATTR = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _HIDDEN = re.compile(r"\shidden(?:[\s=]|$)|aria-hidden\s*=\s*[\"']?true|display\s*:\s*none", re.I)
 _SPACE = re.compile(r"\s+")
+#: Bits of the map that tells which runs may equal a short block.
+BITS = 26
 #: Where a block stands.
 DROP, OUTSIDE, MAIN = 0, 1, 2
 
@@ -193,25 +198,115 @@ def repeated(streams: list[list[list[str]]], pages: list[int], least: int) -> li
     return out
 
 
-def _parse(batches):
+def grams(stream: list[list[str]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of the stream's tokens; the size of each token's block and its place in it."""
+    sizes = np.array([len(b) for b in stream], np.int64)
+    h = C.hashed([t.encode("utf-8", "surrogatepass") for b in stream for t in b])
+    return h, np.repeat(sizes, sizes), np.arange(len(h)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+
+
+def runs(h: np.ndarray, size: np.ndarray, inside: np.ndarray, width: int, whole: bool) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and hashes of the runs of ``width`` tokens inside a block, or of those that are a whole block."""
+    r = C.rolling(h, width)
+    s, i = size[: len(r)], inside[: len(r)]
+    at = np.flatnonzero((s == width) & (i == 0) if whole else i + width <= s)
+    return at, r[at]
+
+
+def covered_by(known: np.ndarray, streams: list[list[list[str]]], least: int) -> list[list[np.ndarray]]:
+    """The masks of ``repeated`` by the sorted hashes of the runs of ``least`` tokens, and of shorter whole blocks, that other pages share."""
+    flat = [b for stream in streams for b in stream]
+    g = grams(flat)
+    d = np.zeros(len(g[0]) + 1, np.int64)
+    for w in range(1, least + 1) if len(known) else ():
+        at, r = runs(*g, w, w < least)
+        at = at[known[np.minimum(np.searchsorted(known, r), len(known) - 1)] == r]
+        d[at] += 1
+        d[at + w] -= 1
+    masks = iter(np.split(np.cumsum(d[:-1]) > 0, np.cumsum([len(b) for b in flat])[:-1]) if flat else ())
+    return [[next(masks) for _ in stream] for stream in streams]
+
+
+def _stream(places, texts) -> list[list[str]]:
+    """The blocks of a page that join its host's stream."""
+    return [x.split() for k, x in zip(places, texts) if k != MAIN]
+
+
+def _hosts(batches):
+    for batch in batches:
+        yield pa.record_batch([pa.array([host(u) for u in batch.column(0).to_pylist()], pa.string())], names=["host"])
+
+
+def _hot_streams(batches, shards: dict[str, int]):
+    """Ids, hosts, salts and streams of the pages, a batch at a time, of hosts that are dealt in shards."""
     for batch in batches:
-        kinds, whats, hosts = [], [], []
-        for url, t in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-            b = blocks(t)
-            kinds.append(bytes(k for k, _ in b))
-            whats.append([x for _, x in b])
-            hosts.append(host(url))
-        yield pa.record_batch([batch.column(0), batch.column(1), pa.array(hosts, pa.string()), pa.array(kinds, pa.binary()), pa.array(whats, pa.list_(pa.string()))], names=["page_id", "url", "host", "places", "blocks"])
-
-
-def _resolve(least: int, most_pages: int):
-    def work(rows):
-        streams = []
-        for r in rows:
-            main = MAIN in r["places"]
-            streams.append([x.split() for k, x in zip(r["places"], r["blocks"]) if k != MAIN] if main else [x.split() for x in r["blocks"]])
-        covered = repeated(streams, [r["page_id"] if r["page_id"] is not None else -1 - i for i, r in enumerate(rows)], least)
-        texts = []
+        names = [host(u) for u in batch.column(1).to_pylist()]
+        keep = [i for i, x in enumerate(names) if x in shards]
+        if keep:
+            batch = batch.take(pa.array(keep))
+            names = [names[i] for i in keep]
+            parsed = map(blocks, batch.column(2).to_pylist())
+            yield batch.column(0), names, [deal % shards[x] for deal, x in zip(batch.column(3).to_pylist(), names)], [_stream(*zip(*b)) if b else [] for b in parsed]
+
+
+def _short(shared, least: int):
+    """Bits, from 1, of the blocks of less than ``least`` tokens."""
+
+    def run(batches):
+        for *_, streams in _hot_streams(batches, shared.value):
+            g = grams([b for stream in streams for b in stream])
+            bits = np.concatenate([g[0][:0], *(runs(*g, w, True)[1] for w in range(1, least))]) >> C.U64(64 - BITS)
+            yield pa.record_batch([pa.array(np.unique(bits).astype(np.int64) + 1)], names=["bit"])
+
+    return run
+
+
+def _runs(shared, bitmap, least: int):
+    """Distinct runs of each page: those of ``least`` tokens and whole shorter blocks (asked), and what may equal a shorter block of another page."""
+
+    def run(batches):
+        is_short = np.frombuffer(zlib.decompress(bitmap.value), np.uint8)
+        for ids, names, salts, streams in _hot_streams(batches, shared.value):
+            g = grams([b for stream in streams for b in stream])
+            owner = np.repeat(np.arange(len(streams)), [sum(map(len, stream)) for stream in streams])
+            found = [(*runs(*g, least, False), 1)]
+            for w in range(1, least):
+                found.append((*runs(*g, w, True), 1))
+                at, r = runs(*g, w, False)
+                bit = r >> C.U64(64 - BITS)
+                may = is_short[(bit >> C.U64(3)).astype(np.int64)] >> (bit & C.U64(7)).astype(np.uint8) & 1 == 1
+                found.append((at[may], r[may], 0))
+            page, h = np.concatenate([owner[at] for at, _, _ in found]), np.concatenate([r for _, r, _ in found])
+            asked = np.concatenate([np.full(len(r), x, np.int32) for _, r, x in found])
+            order = np.lexsort((1 - asked, h, page))
+            page, h, asked = page[order], h[order], asked[order]
+            first = np.ones(len(h), bool)
+            first[1:] = (page[1:] != page[:-1]) | (h[1:] != h[:-1])
+            page, h, asked = page[first], h[first], asked[first]
+            whose = ids.take(pa.array(page))
+            yield pa.record_batch([pa.array(names, pa.string()).take(pa.array(page)), pa.array(salts, pa.int32()).take(pa.array(page)), pa.array(h.view(np.int64)), whose, whose, whose.is_null().cast(pa.int64()), pa.array(asked)], names=["host", "salt", "h", "low", "high", "alone", "asked"])
+
+    return run
+
+
+def _parse(shared):
+    def run(batches):
+        for batch in batches:
+            kinds, whats, hosts, salts = [], [], [], []
+            for url, t, deal in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3))):
+                b = blocks(t)
+                kinds.append(bytes(k for k, _ in b))
+                whats.append([x for _, x in b])
+                hosts.append(host(url))
+                salts.append(deal % shared.value.get(hosts[-1], 1))
+            yield pa.record_batch([pa.array(hosts, pa.string()), pa.array(salts, pa.int32()), batch.column(0), batch.column(1), pa.array(kinds, pa.binary()), pa.array(whats, pa.list_(pa.string()))], names=["host", "salt", "page_id", "url", "places", "blocks"])
+
+    return run
+
+
+def _resolve(shared, least: int):
+    def texts(rows, covered):
+        out = []
         for r, mine in zip(rows, covered):
             main, left, text = MAIN in r["places"], iter(mine), []
             for k, x in zip(r["places"], r["blocks"]):
@@ -223,38 +318,71 @@ def _resolve(least: int, most_pages: int):
                     kept = " ".join(t for t, g in zip(x.split(), gone) if not g) if gone.any() else x
                     if kept:
                         text.append(kept)
-            texts.append("\n".join(text))
-        return pa.record_batch([pa.array([r["page_id"] for r in rows], pa.int64()), pa.array([r["url"] for r in rows], pa.string()), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64()), pa.array([int(sum(int(g.sum()) for g in m)) for m in covered], pa.int64())], names=["page_id", "url", "text", "n_chars", "n_boilerplate"])
+            out.append("\n".join(text))
+        return pa.record_batch([pa.array([r["page_id"] for r in rows], pa.int64()), pa.array([r["url"] for r in rows], pa.string()), pa.array(out, pa.string()), pa.array([len(t) for t in out], pa.int64()), pa.array([int(sum(int(g.sum()) for g in m)) for m in covered], pa.int64())], names=["page_id", "url", "text", "n_chars", "n_boilerplate"])
+
+    def whole(rows):
+        """A host's pages by one suffix array."""
+        code: dict = {}
+        pages = [code.setdefault(("row", i) if r["page_id"] is None else r["page_id"], len(code)) for i, r in enumerate(rows)]
+        return texts(rows, repeated([_stream(r["places"], r["blocks"]) for r in rows], pages, least))
 
     def run(batches):
-        rows, key = [], None
+        rows, key, found, known = [], None, [], None
         for batch in batches:
+            ready = []
             for r in batch.to_pylist():
-                if rows and ((r["host"], r["salt"]) != key or len(rows) >= most_pages):
-                    yield work(rows)
-                    rows = []
-                key = (r["host"], r["salt"])
-                rows.append(r)
+                if (r["host"], r["salt"]) != key:
+                    if rows:
+                        yield whole(rows)
+                    if ready:
+                        yield texts(ready, covered_by(known, [_stream(x["places"], x["blocks"]) for x in ready], least))
+                    key, rows, ready, found, known = (r["host"], r["salt"]), [], [], [], None
+                if r["h"] is not None:
+                    found.append(r["h"])
+                elif r["host"] in shared.value:
+                    if known is None:  # the shard's shared runs came before its pages
+                        known = np.sort(np.array(found, np.int64).view(C.U64))
+                    ready.append(r)
+                else:
+                    rows.append(r)
+            if ready:
+                yield texts(ready, covered_by(known, [_stream(x["places"], x["blocks"]) for x in ready], least))
         if rows:
-            yield work(rows)
+            yield whole(rows)
 
     return run
 
 
+def _shared_runs(p: DataFrame, shared, least: int) -> DataFrame:
+    """(host, salt, h): the runs of each shard that two distinct pages of its host have, in whatever shards."""
+    spark = p.sparkSession
+    bits = p.mapInArrow(C.task(_short(shared, least)), "bit long")
+    bitmap = bytearray(1 << BITS - 3)
+    for r in bits.groupBy(F.bitmap_bucket_number("bit").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("bit")).alias("b")).collect():  # 2**BITS bits at most
+        bitmap[(r.k - 1) * 4096 : r.k * 4096] = r.b
+    found = p.mapInArrow(C.task(_runs(shared, spark.sparkContext.broadcast(zlib.compress(bytes(bitmap), 1)), least)), "host string, salt int, h long, low long, high long, alone long, asked int")
+    found = found.groupBy("host", "salt", "h").agg(F.min("low").alias("low"), F.max("high").alias("high"), F.sum("alone").alias("alone"), F.max("asked").alias("asked"))
+    everywhere = W.partitionBy("host", "h")  # one row a shard at most
+    found = found.withColumns({"low": F.min("low").over(everywhere), "high": F.max("high").over(everywhere), "alone": F.sum("alone").over(everywhere)})
+    return found.where("asked = 1 and (alone > 1 or alone = 1 and low is not null or low < high)").select("host", "salt", "h")
+
+
 def extract(pages: DataFrame, least: int = 8, most_pages: int = 500) -> DataFrame:
-    """(page_id, url, text, n_chars, n_boilerplate) of every page; n_boilerplate counts the tokens outside the main region that the host's other pages repeat."""
+    """(page_id, url, text, n_chars, n_boilerplate) of every page; n_boilerplate counts the tokens outside the main region that the host's other pages repeat.
+
+    Hosts of more than ``most_pages`` pages are worked on in shards, with the same result."""
     spark = pages.sparkSession
     p = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
-    by_host = F.regexp_extract(F.lower(F.trim(F.coalesce("url", F.lit("")))), r"^(?:[a-z][a-z0-9+.-]*://)?(?:[^/@]*@)?([^/?#]*)", 1)
-    counts = p.groupBy(by_host.alias("host")).count()
-    total = counts.agg(F.sum("count")).first()[0] or 0
-    # at most 4096 hosts can hold more than 1/4096 of the pages each
-    hot = {r.host: -(-r["count"] // most_pages) for r in counts.where((F.col("count") > total / 4096) & (F.col("count") > most_pages)).collect()}
-    salts = F.coalesce(F.create_map(*(F.lit(x) for kv in hot.items() for x in kv))[F.col("host")], F.lit(1)) if hot else F.lit(1)
-    parsed = p.mapInArrow(_parse, "page_id long, url string, host string, places binary, blocks array<string>")
-    parsed = parsed.withColumn("salt", F.pmod(F.xxhash64("page_id"), salts).cast("int"))
-    dealt = parsed.repartition(C.shuffle_width(spark), "host", "salt").sortWithinPartitions("host", "salt", "page_id")
-    return dealt.mapInArrow(_resolve(least, most_pages), "page_id long, url string, text string, n_chars long, n_boilerplate long")
+    counts = p.select("url").mapInArrow(C.task(_hosts), "host string").groupBy("host").count()
+    # at most one host for each most_pages pages
+    shared = spark.sparkContext.broadcast({r.host: -(-r["count"] // most_pages) for r in counts.where(F.col("count") > most_pages).collect()})
+    p = p.withColumn("deal", F.xxhash64("page_id", "html"))
+    dealt = p.mapInArrow(C.task(_parse(shared)), "host string, salt int, page_id long, url string, places binary, blocks array<string>").withColumn("h", F.lit(None).cast("long"))
+    if shared.value:
+        dealt = dealt.unionByName(_shared_runs(p, shared, least), allowMissingColumns=True)
+    dealt = dealt.repartition(C.shuffle_width(spark), "host", "salt").sortWithinPartitions("host", "salt", F.col("h").asc_nulls_last(), "page_id")
+    return dealt.mapInArrow(C.task(_resolve(shared, least)), "page_id long, url string, text string, n_chars long, n_boilerplate long")
 
 
 def op1_html_extract(spark, sf_dir: str) -> DataFrame:

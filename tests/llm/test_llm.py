@@ -226,6 +226,24 @@ def test_html_unique_runs_outside_main(spark):
     assert got == {i: f"inside {i}\na unique passage beside it number{i}" for i in range(3)}
 
 
+def test_html_shards_equal_one_array(spark):
+    """Passages shared by two pages only, short blocks inside longer ones, null and repeated ids, on a host in many shards."""
+    rng = random.Random(5)
+    words = [f"w{i}" for i in range(400)]
+    passages = [" ".join(rng.choices(words, k=rng.choice((1, 2, 5, 8, 11, 30)))) for _ in range(40)]
+    rows = []
+    for i in range(60):
+        parts = [rng.choice(passages) + rng.choice(("", " " + rng.choice(words), f" own{i}")) for _ in range(4)] + [" ".join(rng.choices(words, k=12))]
+        rows.append((None if i % 9 == 0 else -1 if i == 7 else i // 2 if i % 5 == 0 else i, "http://h.org/" if i % 4 else "http://other.org/", ("<main>inside</main>" if i % 3 == 0 else "") + "".join(f"<div>{x}</div>" for x in parts)))
+    df = spark.createDataFrame([*rows, rows[0], rows[1]], "page_id long, url string, html string")
+    one, many = (sorted(map(str, html_extract.extract(df, most_pages=n).collect())) for n in (500, 3))
+    assert many == one and len(one) == 62
+    pair = "a passage of ten words that only two pages share"
+    far = [(i, "http://h.org/", f"<p>{pair if i in (0, 599) else f'page {i} alone'}</p>") for i in range(600)]
+    got = {r.page_id: r.text for r in html_extract.extract(spark.createDataFrame(far, "page_id long, url string, html string")).collect()}
+    assert got[0] == got[599] == "" and got[5] == "page 5 alone"
+
+
 def test_decontamination(spark, odd):
     bench = spark.createDataFrame([(1, "A train leaves Paris with 120 riders and after 3 stops it has 45 riders left how many got off"), (2, ""), (3, None)], "item_id long, text string")
     docs = spark.createDataFrame([(1, "intro words. a train leaves Paris with 90 riders and after 7 stops it has 33 riders left how many got off end"), (2, "a train leaves late"), (3, None), (4, "")], "doc_id long, text string")
