@@ -1,10 +1,10 @@
 """Benchmark decontamination by template canonicalisation.
 
-Tokens are lower-cased words without outer punctuation; numbers, units after a number and names (capitalised words inside a
-sentence) become typed placeholders whose values are kept. Windows of ``width`` template tokens hash-join the benchmark's
-windows; a hit survives if its slots are consistent: within it, a slot value of the item maps to one value of the document
-and the other way round, so a question with other numbers is caught and an unrelated sentence of the same frame with
-scrambled slots is not. A document is contaminated by an item if the item's words covered by its consistent hits reach
+Tokens are lower-cased words without outer punctuation; numbers, units after or glued to a number and names (capitalised words inside a
+sentence) become typed placeholders whose values are kept. A sentence's first word is read both as a word and, unless it is a common first
+word, as a name. Windows of ``width`` template tokens hash-join the benchmark's
+windows; a hit survives if its slots are consistent: within it, a slot value of the item maps to one value of the document, so a
+question with other numbers is caught and an unrelated sentence of the same frame with scrambled slots is not. A document is contaminated by an item if the item's words covered by its consistent hits reach
 ``share`` of the item, or ``run`` words in one stretch; items shorter than a window match as a whole.
 
 The benchmark side is broadcast after its size is checked against ``most_items``; above it the windows are shuffled and
@@ -24,67 +24,118 @@ from pyspark.sql import functions as F
 
 from . import common as C
 
-NUMBER = re.compile(r"^[+-]?[$€£]?\d[\d.,:/]*%?$")
+#: A number between outer punctuation, with a unit that may be glued to it.
+NUMBER = re.compile(r"[\W_]*?([+-]?[$€£]?(?:(?<![\W_])\.)?\d(?:[\d.,:/]*\d)?%?)(?:-?([^\W\d_]+[²³]?(?:/[^\W\d_]+[²³]?)?))?[\W_]*")
 #: Units that follow a number (fixed list).
-UNITS = frozenset("km m cm mm mi miles mile ft feet inch inches kg g mg lb lbs oz l ml s sec seconds second min minutes minute h hours hour days day weeks week years year dollars euros cents percent mph kmh".split())
+UNITS = frozenset(
+    """km kilometer kilometers kilometre kilometres m meter meters metre metres cm centimeter centimeters centimetre centimetres mm millimeter millimeters millimetre
+    millimetres mi mile miles ft foot feet inch inches yd yard yards acre acres hectare hectares ha kg kilogram kilograms kilo kilos g gram grams mg milligram milligrams
+    t ton tons tonne tonnes oz ounce ounces lb lbs pound pounds l liter liters litre litres ml milliliter milliliters millilitre millilitres gal gallon gallons pint pints
+    quart quarts cup cups teaspoon teaspoons tablespoon tablespoons ms millisecond milliseconds s sec secs second seconds min mins minute minutes h hr hrs hour hours
+    day days week weeks month months yr yrs year years decade decades century centuries dollar dollars cent cents euro euros pence penny pennies usd eur gbp percent degree degrees
+    radian radians celsius fahrenheit kelvin mph kmh kph km/h m/s ft/s m² m³ km² cm² cm³ hz khz mhz ghz w kw mw kwh watt watts kilowatt kilowatts v volt volts amp amps ampere
+    amperes ohm ohms j kj joule joules cal kcal calorie calories n newton newtons pa kpa pascal pascals mol mole moles bit bits byte bytes kb mb gb tb""".split()
+)
+#: Words that begin a sentence with a capital and are no names (fixed list).
+STARTERS = frozenset(
+    """a about after all also although an and another any are as assume at be because before both but by calculate can compute consider could determine did do does during each
+    either estimate evaluate every explain express few find first for four from given had has have he her here his how however i if in into is it its last let many more most my next no
+    not now of on once one or other our over she show simplify since so solve some state still suppose ten that the their then there these they this those three to two under until
+    use was we were what when where whether which while who whom whose why will with without would write you your""".split()
+)
 _OUTER = re.compile(r"^[\W_]+|[\W_]+$")
 
 
-def _read(raw: str) -> tuple[str, bool, bool, bool]:
-    """A word without outer punctuation in lower case; whether it is a number, is written like a name, and ends a sentence."""
-    number = bool(NUMBER.match(raw))
-    bare = raw if number else _OUTER.sub("", raw)
-    return bare.lower(), number, bool(bare) and not number and bare[0].isupper() and not bare.isupper(), raw[-1] in ".!?:"
+#: How a word is written: plain and within a sentence, plain and ending one, a number, like a name, without letters and digits.
+PLAIN, LAST, DIGITS, CAPITAL, BLANK = range(5)
+
+
+def _read(raw: str) -> tuple[int, str, bool, str | None]:
+    """How a word is written; it without outer punctuation in lower case; whether it ends a sentence; the unit glued to it."""
+    m = NUMBER.fullmatch(raw)
+    unit = m and m[2] and m[2].lower()
+    ends = raw[-1] in ".!?:"
+    if m is not None and (unit is None or unit in UNITS):
+        return DIGITS, m[1].lower(), ends, unit
+    bare = _OUTER.sub("", raw)
+    return BLANK if not bare else CAPITAL if bare[0].isupper() and not bare.isupper() else LAST if ends else PLAIN, bare.lower(), ends, None
 
 
 _known = C.task_memo(_read)
 _token_hash = C.task_memo(lambda t: C.word_hash.fn(t.encode()))
 
 
-def template(text: bytes | None) -> tuple[list[str], list[str]]:
-    """Template tokens and the values behind them (the token itself where there is no slot)."""
-    tokens, values, start, after = [], [], True, False
-    for low, number, name, ends in map(_known.__getitem__, (text or b"").decode("utf-8", "replace").split()):
-        if low:
-            values.append(low)
-            if number:
-                tokens.append("<number>")
-            elif name and not start:
-                tokens.append("<name>")
+def template(text: bytes | None) -> tuple[list[str], list[str], list[int]]:
+    """Template tokens, the values behind them (the token itself where there is no slot), and where a sentence begins with what may be a name."""
+    values, slots, initial, start, after = [], [], [], True, False
+    add = values.append
+    for kind, low, ends, unit in map(_known.__getitem__, (text or b"").decode("utf-8", "replace").split()):
+        if not kind and not after:
+            add(low)
+            start = False
+            continue
+        if kind != BLANK:
+            if kind == DIGITS:
+                slots.append((len(values), "<number>"))
+                if unit:
+                    add(low)
+                    slots.append((len(values), "<unit>"))
+                    low = unit
             elif after and low in UNITS:
-                tokens.append("<unit>")
-            else:
-                tokens.append(low)
-            after = number
+                slots.append((len(values), "<unit>"))
+            elif kind == CAPITAL and not start:
+                slots.append((len(values), "<name>"))
+            elif kind == CAPITAL and low not in STARTERS:
+                initial.append(len(values))
+            add(low)
+            after = kind == DIGITS and not unit
         start = ends
-    return tokens, values
+    tokens = values.copy()
+    for k, slot in slots:
+        tokens[k] = slot
+    return tokens, values, initial
+
 
+_NUMBER, _UNIT, _NAME = np.array([_token_hash[t] for t in ("<number>", "<unit>", "<name>")], C.U64)
 
-_SLOTS = np.array([_token_hash[t] for t in ("<number>", "<unit>", "<name>")], C.U64)
 
+def hashes(tokens: list[str]) -> np.ndarray:
+    return np.fromiter(map(_token_hash.__getitem__, tokens), C.U64, len(tokens))
 
-def windows(tokens: list[str], width: int) -> np.ndarray:
-    """Template hash of each window; 0 where a window is placeholders alone."""
-    h = np.fromiter(map(_token_hash.__getitem__, tokens), C.U64, len(tokens))
+
+def windows(h: np.ndarray, width: int) -> np.ndarray:
+    """Template hash of each window of token hashes; 0 where a window is placeholders alone."""
     if len(h) < width:
         width = len(h)
     if not width:
         return np.empty(0, C.U64)
     out = C.rolling(h, width)
-    slot = np.isin(h, _SLOTS)
+    slot = (h == _NUMBER) | (h == _UNIT) | (h == _NAME)
     if slot.sum() < width:
         return out
     full = np.concatenate(([0], np.cumsum(slot)))
     return np.where(full[width:] - full[:-width] == width, C.U64(0), out)
 
 
+def readings(tokens: list[str], initial: list[int]) -> list[tuple[list[str], np.ndarray]]:
+    """Tokens and their hashes with the first words of sentences as words, and as names where that differs."""
+    out = [(tokens, hashes(tokens))]
+    if initial:
+        named, h = tokens.copy(), out[0][1].copy()
+        for k in initial:
+            named[k] = "<name>"
+        h[initial] = _NAME
+        out.append((named, h))
+    return out
+
+
 def consistent(item: list[str], item_at: int, doc: list[str], doc_at: int, slots: list[str], n: int) -> bool:
-    """Slot values map one to one between the two windows."""
-    there, back = {}, {}
+    """Each slot value of the item has one value in the document's window; the new question may set two of them equal."""
+    there = {}
     for k in range(n):
         if slots[item_at + k][0] == "<":
             a, b = item[item_at + k], doc[doc_at + k]
-            if there.setdefault((slots[item_at + k], a), b) != b or back.setdefault((slots[item_at + k], b), a) != a:
+            if there.setdefault((slots[item_at + k], a), b) != b:
                 return False
     return True
 
@@ -95,30 +146,38 @@ class Index:
     def __init__(self, items: list[tuple[int, bytes]], width: int):
         self.width, self.items, self.by = width, [], {}
         for item_id, text in items:
-            tokens, values = template(text)
+            tokens, values, initial = template(text)
             if tokens:
                 k = len(self.items)
                 self.items.append((item_id, tokens, values))
-                for at, h in enumerate(windows(tokens, width).tolist()):
-                    if h:
-                        self.by.setdefault(h, []).append((k, at))
+                seen = set()
+                for slots, h in readings(tokens, initial):
+                    for at, x in enumerate(windows(h, width).tolist()):
+                        if x and (at, x) not in seen:
+                            seen.add((at, x))
+                            self.by.setdefault(x, []).append((k, at, slots))
         self.known = np.array(sorted(self.by), C.U64)
+        self.may = np.zeros(1 << 16, bool)  # by the first bits, so that few windows are searched
+        self.may[(self.known >> C.U64(48)).astype(np.int64)] = True
         self.widths = sorted({min(width, len(t)) for _, t, _ in self.items})
 
     def found(self, text: bytes | None, share: float, run: int) -> list[int]:
         """Ids of the items that contaminate the text."""
-        tokens, values = template(text)
+        tokens, values, initial = template(text)
         hits: dict[int, set[int]] = {}
+        doc = readings(tokens, initial) if len(self.known) else ()
         for n in self.widths if len(self.known) else ():
             if len(tokens) < n:
                 continue
-            h = windows(tokens, n)
-            at = np.minimum(np.searchsorted(self.known, h), len(self.known) - 1)
-            for d in np.flatnonzero(self.known[at] == h).tolist():
-                for k, i in self.by[int(h[d])]:
-                    _, slots, item = self.items[k]
-                    if min(self.width, len(slots)) == n and slots[i : i + n] == tokens[d : d + n] and consistent(item, i, values, d, slots, n):
-                        hits.setdefault(k, set()).update(range(i, i + n))
+            for mine, h in doc:
+                w = windows(h, n)
+                near = np.flatnonzero(self.may[(w >> C.U64(48)).view(np.int64)])
+                at = np.minimum(np.searchsorted(self.known, w[near]), len(self.known) - 1)
+                for d in near[self.known[at] == w[near]].tolist():
+                    for k, i, slots in self.by[int(w[d])]:
+                        item = self.items[k][2]
+                        if min(self.width, len(slots)) == n and slots[i : i + n] == mine[d : d + n] and consistent(item, i, values, d, slots, n):
+                            hits.setdefault(k, set()).update(range(i, i + n))
         return sorted({self.items[k][0] for k, cover in hits.items() if len(cover) >= share * len(self.items[k][1]) or _longest(cover) >= run})
 
 
@@ -184,10 +243,11 @@ def _hash_rows(id_name: str, widths: list[int], own: bool):
     def run(batches):
         for batch in batches:
             for i, t in zip(C.ids(batch, id_name).tolist(), C.texts(batch)):
-                tokens, _ = template(t)
+                tokens, _, initial = template(t)
+                both = readings(tokens, initial)
                 for w in widths:
                     if own or len(tokens) >= w:
-                        h = np.unique(windows(tokens, w))
+                        h = np.unique(np.concatenate([windows(h, w) for _, h in both]))
                         h = h[h != 0].view(np.int64)
                         yield pa.record_batch([pa.array(np.full(len(h), i, np.int64)), pa.array(h)], names=["id", "h"])
 

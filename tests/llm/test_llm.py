@@ -255,6 +255,31 @@ def test_decontamination(spark, odd):
     assert decontaminate.clean(odd, bench).count() == odd.count()
 
 
+@pytest.mark.parametrize(
+    "item, doc",
+    [
+        ("A train travels 60 kilometers in 2 hours; how far in 5?", "A train travels 80 miles in 3 hours; how far in 7?"),
+        ("The box (5) weighs 12, and the other box weighs 7; what is the sum?", "The box 6 weighs 14 and the other box weighs 9 what is the sum?"),
+        ("A bag of rice of 5kg costs 12 euros so what does 8kg cost here", "A bag of rice of 6 pounds costs 14 dollars so what does 9 pounds cost here"),
+        ("Alice has 3 red apples and eats 2 of them. Alice then buys 9 more.", "Bob has 5 red apples and eats 4 of them. Bob then buys 8 more."),
+        ("There are 3 cats and 4 dogs in a house with 9 birds in cages", "There are 5 cats and 5 dogs in a house with 5 birds in cages"),
+    ],
+)
+def test_decontamination_of_new_parameters(spark, item, doc):
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    docs = spark.createDataFrame([(1, doc), (2, "another sentence with 5 cats, 7 miles and Bob in it; does it share the frame of any question?")], "doc_id long, text string")
+    want = {1: [1], 2: []}
+    assert {r.doc_id: list(r["items"]) for r in decontaminate.mark(docs, bench).collect()} == want
+    bench_b = bench.selectExpr("item_id", "cast(text as binary) as text")
+    assert {r.doc_id: list(r["items"]) for r in decontaminate._joined(docs, bench_b, 8, 0.6, 13).collect()} == want
+
+
+def test_decontamination_keeps_scrambled_slots():
+    index = decontaminate.Index([(1, b"so we count 4 red and 4 blue and 4 green pens")], 8)
+    assert index.found(b"so we count 6 red and 6 blue and 6 green pens", 0.6, 13) == [1]
+    assert index.found(b"so we count 6 red and 7 blue and 8 green pens", 0.6, 13) == []
+
+
 def test_pipeline(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     assert [n for n, _ in corpus_pipeline.STAGES] == ["toxicity", "near_duplicates", "substring_dedup", "decontamination", "byte_bpe"]
