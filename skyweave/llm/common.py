@@ -32,10 +32,15 @@ def shuffle_width(spark: SparkSession) -> int:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; only where none is configured (tests) a local one is set."""
+    """The folder that driver and executors share. Without one a local session (as in tests) gets a folder of its own; a cluster's raises."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="skyweave-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if folder is None:
+            if not sc.master.startswith("local["):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+            folder = tempfile.mkdtemp(prefix="skyweave-")
+        sc.setCheckpointDir(folder)
     return sc._jsc.sc().getCheckpointDir().get()
 
 
@@ -44,9 +49,18 @@ def scratch(spark: SparkSession, name: str) -> str:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Cut the lineage with a reliable checkpoint."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint()
+    """Cut the lineage with a table written to the shared folder: computed once, where a checkpoint computes its rows twice."""
+    path = scratch(df.sparkSession, "table")
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def bitmap(bits: DataFrame, size: int) -> bytes:
+    """A map of 2**size bits with those set that the column ``bit`` of ``bits`` numbers from 1; its size is all that reaches the driver."""
+    out = bytearray(1 << size - 3)
+    for r in bits.groupBy(F.bitmap_bucket_number("bit").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("bit")).alias("b")).collect():
+        out[(r.k - 1) * 4096 : r.k * 4096] = r.b
+    return bytes(out)
 
 
 def partition_keys(spark: SparkSession, width: int) -> list[int]:
@@ -66,6 +80,27 @@ def keyed_docs(docs: DataFrame, *extra: Column) -> DataFrame:
     return docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("doc_id"), F.col("text").cast("string").alias("text"), *extra)
 
 
+#: Column of ``row_keys``.
+ROW = "__row__"
+
+
+def row_keys(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """``docs`` with a key of each different row, in the order of doc_id with null first: the doc_id itself where no two rows share one, and else the place of
+    (doc_id, 128 bits of the text) among all; then also the table of keys and their ids (as NULL_ID for null). Rows equal in both share a key."""
+    at = F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID))
+    if not docs.select(at.alias("_id")).groupBy("_id").count().where("count > 1").limit(1).count():
+        return docs.withColumn(ROW, at), None
+    said = [at.alias("_id"), F.xxhash64(F.col("text").cast("string")).alias("_t1"), F.xxhash64(F.lit(1), F.col("text").cast("string")).alias("_t2")]
+    ids_ = cut(docs.select(*said).distinct().orderBy("_id", "_t1", "_t2").withColumn(ROW, F.monotonically_increasing_id()))
+    rest = docs.select(F.struct(*docs.columns).alias("_whole"), *said).join(ids_, ["_id", "_t1", "_t2"])
+    return rest.select(*(F.col(f"_whole.`{c}`") for c in docs.columns), ROW), ids_.select(ROW, "_id")
+
+
+def keyed_rows(rows: DataFrame) -> DataFrame:
+    """The row key as doc_id, and text."""
+    return rows.select(F.col(ROW).alias("doc_id"), F.col("text").cast("string").alias("text"))
+
+
 def restored_id(name: str = "doc_id") -> Column:
     return F.when(F.col(name) != F.lit(NULL_ID), F.col(name)).alias(name)
 
@@ -214,25 +249,41 @@ def unpack(b: bytes) -> np.ndarray:
     return np.frombuffer(b, f"u{b[0]}", offset=1).astype(np.int64)
 
 
+#: Rows of one key from which it may be hot.
+HOT = 1000
+
+
+def join_counted(left: DataFrame, right: DataFrame, key: str, total: int) -> DataFrame:
+    """Inner join of ``left`` with one row of ``right`` per key, whose column ``n`` tells its rows on the left. Keys with more than
+    ``total`` / 500 of these, at most 500, are broadcast, so that no task gets all rows of one key; the others are shuffled."""
+    if total <= HOT:
+        return left.join(right, key)
+    hot = right.where(F.col("n") > max(HOT, total / 500)).collect()
+    if not hot:
+        return left.join(right, key)
+    small = F.broadcast(left.sparkSession.createDataFrame(hot, right.schema))
+    rest = left.join(F.broadcast(small.select(key)), key, "left_anti").join(right, key)
+    return left.join(small, key).unionByName(rest)
+
+
 def connected(spark: SparkSession, edges: DataFrame) -> DataFrame:
     """(node, root): the smallest node reachable from each node of ``edges`` (u, v).
 
-    Alternating star contraction; every round is two aggregations and joins on a reliable checkpoint, and stops when
-    every edge already points from a node to a root. Hubs are only ever reduced by min, never gathered."""
+    Alternating star contraction; every round is two aggregations and joins on a written table, and stops when
+    every edge already points from a node to a root. Hubs are reduced by min and met by broadcast, never gathered."""
     e = cut(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u != v").distinct())
     while True:
+        total = 2 * e.count()
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = large.where("u != v").distinct()
-        small = large.groupBy("u").agg(F.min("v").alias("m"))
-        after = large.join(small, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("x")).select("x.u", "x.v")
-        after = cut(after.where("u != v").distinct())
+        low = both.groupBy("u").agg(F.least("u", F.min("v")).alias("m"), F.count("*").alias("n"))
+        large = join_counted(both, low, "u", total).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        large = cut(large.where("u != v").distinct())
+        small = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+        after = join_counted(large, small, "u", total).select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("x")).select("x.u", "x.v")
+        e = cut(after.where("u != v").distinct())
         # a forest of stars: no node has two parents and no parent has a parent
-        parents = after.groupBy("u").agg(F.count("*").alias("n"))
-        bad = parents.where("n > 1").limit(1).count() or after.join(after.select(F.col("u").alias("v")).distinct(), "v", "left_semi").limit(1).count()
-        e = after
-        if not bad:
+        parents = e.groupBy("u").agg(F.count("*").alias("n"))
+        if not parents.where("n > 1").limit(1).count() and not e.select(F.col("v").alias("u")).distinct().join(parents, "u", "left_semi").limit(1).count():
             return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 

@@ -14,8 +14,8 @@ differs in 12.8 components on average; 27 is 4.6 standard deviations above.
    pair by block pair, so that no task holds more than two blocks, whatever the group's size.
 
 Edge cases: null and empty texts have no shingle and link with nothing; a text with fewer words than a shingle has its
-whole word sequence as its one shingle; a null doc_id forms a component of its own class as the smallest id; repeated rows
-share one component; extra columns are ignored."""
+whole word sequence as its one shingle; a null doc_id sorts before all others; repeated rows
+share one component; rows that share a doc_id, or have none, are told apart by their texts; extra columns are ignored."""
 
 from __future__ import annotations
 
@@ -233,11 +233,10 @@ def _confirmer(width: int, percent: int):
     return lambda batches: run(as_bytes(batches))
 
 
-def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 80) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept) for every row of ``docs``."""
-    spark = docs.sparkSession
+def _components(keyed: DataFrame, width: int, percent: int) -> DataFrame:
+    """(doc_id, n, component) of every row of (doc_id, text), where rows that share a doc_id share the text."""
+    spark = keyed.sparkSession
     parts = C.shuffle_width(spark)
-    keyed = C.keyed_docs(docs)
     described = C.cut(keyed.mapInArrow(C.task(_describe(width)), "doc_id long, n long, k1 long, k2 long, sig binary"))
     classes = described.where("n > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.first("sig").alias("sig"))
     reps = C.cut(classes)
@@ -246,8 +245,8 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 80) -> DataF
     groups = groups.distinct().join(reps.select("rep", "sig"), "rep").select("gid", "rep", "sig")
     candidates = groups.repartition(parts, "gid").sortWithinPartitions("gid", "rep").mapInArrow(C.task(_near_signatures, 10_000), "u long, v long")
     clusters = C.connected(spark, candidates)
-    sizes = clusters.groupBy("root").agg(F.ceil(F.count("*") / CLUSTER_BLOCK).cast("int").alias("m"))
-    member = clusters.join(sizes, "root").withColumn("b", F.pmod(F.xxhash64("node"), F.col("m")).cast("int"))
+    sizes = clusters.groupBy("root").agg(F.count("*").alias("n"), F.ceil(F.count("*") / CLUSTER_BLOCK).cast("int").alias("m"))
+    member = C.join_counted(clusters, sizes, "root", reps.count()).withColumn("b", F.pmod(F.xxhash64("node"), F.col("m")).cast("int"))
     # one row per task; a cluster of m > 1 blocks has a task for each pair of them
     tasks = member.select("node", F.explode(F.when(F.col("m") == 1, F.array(F.xxhash64("root", F.lit(0), F.lit(0)))).otherwise(F.expr("transform(filter(sequence(0, m - 1), j -> j != b), j -> xxhash64(root, least(j, b), greatest(j, b)))"))).alias("task"))
     reptexts = keyed.join(clusters.select(F.col("node").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
@@ -256,9 +255,26 @@ def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 80) -> DataF
     roots = C.connected(spark, links)
     named = reps.select("k1", "k2", "rep").join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").select("k1", "k2", F.coalesce("root", "rep").alias("component"))
     out = described.drop("sig").join(named, ["k1", "k2"], "left").withColumn("component", F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("doc_id")))
+    return out.select("doc_id", "n", "component")
+
+
+def near_duplicates(docs: DataFrame, width: int = 4, percent: int = 80) -> DataFrame:
+    """(doc_id, n_shingles, component_id, kept) for every row of ``docs``."""
+    rows, ids = C.row_keys(docs.select("doc_id", "text"))
+    out = _components(C.keyed_rows(rows), width, percent)
+    if ids is not None:
+        for c in ("doc_id", "component"):
+            out = out.join(ids.withColumnRenamed(C.ROW, c), c).drop(c).withColumnRenamed("_id", c)
     return out.select(C.restored_id(), F.col("n").alias("n_shingles"), C.restored_id("component").alias("component_id"), (F.col("doc_id") == F.col("component")).alias("kept"))
 
 
+def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
+    """The rows of ``docs``, all columns, but those of other texts than the first of their component; rows equal in doc_id and text stay together."""
+    rows, _ = C.row_keys(docs)
+    gone = C.cut(_components(C.keyed_rows(rows), width, percent).where("doc_id <> component").select(F.col("doc_id").alias(C.ROW)).distinct())
+    return rows.join(gone, C.ROW, "left_anti").select(*docs.columns)
+
+
 def op5_near_dup(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(C.table(spark, sf_dir, "documents").select("doc_id", "text"), 4, 80)
 

@@ -7,8 +7,9 @@ occurrence; later ones are known to be repeats), which pre-aggregates passages t
 a bucket gets a window at most once from each block. Buckets find repeats by sorting, and the repeated windows come back
 as (doc_id, start, length) runs that merge into maximal removal intervals on the document.
 
-Edge cases: null and empty texts and texts shorter than a window have no window; a null doc_id sorts before all others;
-two rows with one doc_id and one start do not repeat each other; extra columns are ignored."""
+Edge cases: null and empty texts and texts shorter than a window have no window; a null doc_id sorts before all others; rows that
+share a doc_id, or have none, are documents of their own in the order of a hash of their texts; rows equal in both are one document and do not repeat each
+other; extra columns stay, one named like an added column is replaced by it."""
 
 from __future__ import annotations
 
@@ -174,7 +175,7 @@ def _finder(batches):
 
 
 def repeated_windows(docs: DataFrame, width: int = 20, block_bytes: int = 6 << 20) -> DataFrame:
-    """(doc_id, start, n): runs of n consecutive window starts whose windows occur earlier in the corpus."""
+    """(doc_id, start, n): runs of n consecutive window starts whose windows occur earlier in the corpus; the ids of ``docs`` are those of its different rows."""
     spark = docs.sparkSession
     buckets = C.partition_keys(spark, C.shuffle_width(spark))
     sent = C.keyed_docs(docs).mapInArrow(C.task(_sender(width, buckets, block_bytes)), "bucket int, anchor binary, doc binary, start binary, n binary, off binary, window binary")
@@ -196,9 +197,10 @@ def deduplicate(docs: DataFrame, width: int = 20) -> DataFrame:
     """All columns of ``docs`` with removed words taken out of text, plus ``n_words``, ``n_removed`` and ``removed``,
     the maximal removal intervals as an array of (start, end) word positions. Kept words are joined by one space if
     anything was removed; other texts stay as they are. A null text stays null."""
-    marked = repeated_windows(docs, width).groupBy("doc_id").agg(F.collect_list(F.struct("start", "n")).alias("_found")).select(F.col("doc_id").alias("_key"), "_found")
+    rows, _ = C.row_keys(docs)
+    marked = repeated_windows(C.keyed_rows(rows), width).groupBy("doc_id").agg(F.collect_list(F.struct("start", "n")).alias("_found")).select(F.col("doc_id").alias(C.ROW), "_found")
     names = [c for c in docs.columns if c != "text"]
-    joined = docs.withColumn("_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(C.NULL_ID))).join(marked, "_key", "left").select(F.struct(*names).alias("_rest"), F.col("text").cast("string").alias("text"), "_found")
+    joined = rows.select(F.struct(*names).alias("_rest"), F.col("text").cast("string").alias("text"), C.ROW).join(marked, C.ROW, "left").select("_rest", "text", "_found")
     rest = joined.schema["_rest"].dataType
 
     def run(batches):
@@ -222,7 +224,8 @@ def deduplicate(docs: DataFrame, width: int = 20) -> DataFrame:
             yield pa.record_batch([batch.column(0), pa.array(out["text"], pa.binary()).cast(pa.string()), pa.array(out["n_words"], pa.int64()), pa.array(out["n_removed"], pa.int64()), pa.array(out["removed"], pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))), pa.array(out["kept_sha256"], pa.string())], names=["_rest", "text", "n_words", "n_removed", "removed", "kept_sha256"])
 
     made = joined.mapInArrow(C.task(run), f"_rest {rest.simpleString()}, text string, n_words long, n_removed long, removed array<struct<start:bigint,end:bigint>>, kept_sha256 string")
-    return made.select(*(F.col(f"_rest.`{c}`") if c != "text" else F.col("text") for c in docs.columns), "n_words", "n_removed", "removed", "kept_sha256")
+    added = ("n_words", "n_removed", "removed", "kept_sha256")
+    return made.select(*(F.col(f"_rest.`{c}`") if c != "text" else F.col("text") for c in docs.columns if c not in added), *added)
 
 
 def op2_substring_dedup(spark, sf_dir: str) -> DataFrame:
