@@ -18,6 +18,7 @@ from __future__ import annotations
 import html as _html
 import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -32,16 +33,50 @@ BLOCKS = frozenset("address article aside blockquote body br caption center dd d
 RAW = frozenset("script style noscript template textarea iframe svg math canvas select object audio video".split())
 NOT_MAIN = frozenset("nav header footer aside form button menu dialog head title".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
+ENDS_ITSELF = frozenset("p li dt dd tr td th option".split())
+HOLDS = frozenset("ul ol dl table div article main section body".split())
 #: Words of class, id and role attributes that mark what is not main text.
 _BAD = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|adsense|banner|sponsor\w*|promo\w*|comments?|disqus|respond|cookies?|consent|gdpr|notice|popup|modal|newsletter|subscribe|sidebar|side|widget|related|recommended|share|sharing|social|breadcrumbs?|nav|navbar|navigation|menu|header|masthead|footer|foot|copyright|pagination|pager|login|search|toolbar|complementary|contentinfo)(?:$|[\s_-])", re.I)
-_TAG = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
-_ATTR = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
-_HIDDEN = re.compile(r"\shidden(?:[\s=]|$)|aria-hidden\s*=\s*[\"']?true|display\s*:\s*none", re.I)
+#: Quotes count after = alone; a tag or a quoted value without an end goes to the page's end, and no position is tried twice.
+_TAG = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*+)((?:[^>=]|=\s*+(?:\"[^\"]*+(?:\"|$)|'[^']*+(?:'|$))?)*+)(?:>|$)", re.S)
+_ATTR = re.compile(r"([^\s=/>\"']+)(?:\s*=\s*(?:\"([^\"]*)\"?|'([^']*)'?|([^\s>]*)))?")
+#: Of these, what an article or main element may still be; and words that tell a wrapper's layout, not its content.
+_READERS = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|sponsor\w*|promo\w*|comments?|related|recommended|teaser)(?:$|[\s_-])", re.I)
+_STATE = re.compile(r"(?:has|with|without|no|is|show|hide)[_-]", re.I)
+_MAIN = re.compile(r"(?:^|\s)(?:main|articlebody|article-body|post-content|entry-content)(?:$|\s)", re.I)
+_NONE = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*hidden)", re.I)
 _SPACE = re.compile(r"\s+")
 #: Bits of the map that tells which runs may equal a short block.
 BITS = 26
-#: Where a block stands.
-DROP, OUTSIDE, MAIN = 0, 1, 2
+#: Where a block stands; what is in a form outside the main region is dropped as well.
+DROP, OUTSIDE, MAIN, FORM = range(4)
+
+
+def attributes(inside: str) -> dict[str, str]:
+    """The attributes of a tag by lower-case name; the first of a name counts."""
+    out: dict[str, str] = {}
+    for name, *values in _ATTR.findall(inside):
+        out.setdefault(name.lower(), next((v for v in values if v), ""))
+    return out
+
+
+def _place(name: str, inside: str, place: int) -> int:
+    """Where the content of an element stands, inside one that stands at ``place``."""
+    if place in (DROP, FORM) and name not in ("main", "article")[: 1 + (place == FORM)]:
+        return place  # a main region may lie in a form or a marked wrapper around the whole page
+    said = ""
+    if inside and "=" in inside or "hidden" in inside:
+        has = attributes(inside)
+        if has.get("hidden", "until-found") != "until-found" or has.get("aria-hidden", "").lower() == "true" or _NONE.search(has.get("style", "")):
+            return DROP
+        said = " ".join(x for k in ("class", "id", "role") for x in has.get(k, "").split() if not _STATE.match(x))
+    if name in ("article", "main"):
+        return DROP if said and _READERS.search(said) else MAIN
+    if said and _BAD.search(said) and name not in ("html", "body"):
+        return DROP
+    if name in NOT_MAIN:
+        return FORM if name == "form" and place == OUTSIDE else DROP
+    return MAIN if said and _MAIN.search(said) else place
 
 
 def blocks(page: str | None) -> list[tuple[int, str]]:
@@ -49,6 +84,7 @@ def blocks(page: str | None) -> list[tuple[int, str]]:
     out: list[tuple[int, str]] = []
     part: list[str] = []
     stack: list[tuple[str, int]] = []
+    opened: Counter = Counter()
     place = OUTSIDE
     at, text = 0, page or ""
 
@@ -57,7 +93,21 @@ def blocks(page: str | None) -> list[tuple[int, str]]:
             t = _SPACE.sub(" ", _html.unescape("".join(part))).strip()
             part.clear()
             if t:
-                out.append((place, t))
+                out.append((DROP if place == FORM else place, t))
+
+    def close(name: str, within=frozenset()) -> int | None:
+        """Where the innermost open ``name`` lies in the stack, unless one of ``within`` lies inside it."""
+        if opened[name]:
+            for k in range(len(stack) - 1, -1, -1):
+                if stack[k][0] == name:
+                    return k
+                if stack[k][0] in within:
+                    return None
+
+    def leave(k: int) -> int:
+        opened.subtract(x for x, _ in stack[k:])
+        del stack[k:]
+        return stack[-1][1] if stack else OUTSIDE
 
     while True:
         m = _TAG.search(text, at)
@@ -72,48 +122,28 @@ def blocks(page: str | None) -> list[tuple[int, str]]:
             continue
         name = name.lower()
         if m[1]:
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] == name:
-                    if name in BLOCKS or place != (stack[k - 1][1] if k else OUTSIDE):
-                        flush()
-                    del stack[k:]
-                    place = stack[-1][1] if stack else OUTSIDE
-                    break
-            else:
-                if name in BLOCKS:
-                    flush()
+            k = close(name)
+            if name in BLOCKS or k is not None and place != (stack[k - 1][1] if k else OUTSIDE):
+                flush()
+            if k is not None:
+                place = leave(k)
             continue
         if name in RAW:
             if not m[3].endswith("/"):
-                end = re.compile(rf"</{name}\s*>", re.I).search(text, at)
+                end = re.compile(rf"</{name}(?:\s[^>]*)?>", re.I).search(text, at)
                 at = end.end() if end else len(text)
             continue
         if name in BLOCKS:
             flush()
         if name in VOID or m[3].endswith("/"):
             continue
-        if name in ("p", "li", "dt", "dd", "tr", "td", "th", "option"):
-            for k in range(len(stack) - 1, -1, -1):  # an open one of the same kind ends here
-                if stack[k][0] == name:
-                    del stack[k:]
-                    place = stack[-1][1] if stack else OUTSIDE
-                    break
-                if stack[k][0] in ("ul", "ol", "dl", "table", "div", "article", "main", "section", "body"):
-                    break
-        here = place
-        if here != DROP:
-            said = m[3] and " ".join(x for y in _ATTR.findall(m[3]) for x in y if x)
-            if said and _BAD.search(said) and name not in ("html", "body") or m[3] and _HIDDEN.search(m[3]):
-                here = DROP
-            elif name in ("header", "footer") and place == MAIN:
-                here = DROP
-            elif name in NOT_MAIN:
-                here = DROP
-            elif name in ("article", "main") or said and re.search(r"(?:^|\s)(?:main|articlebody|article-body|post-content|entry-content)(?:$|\s)", said, re.I):
-                here = MAIN
+        if name in ENDS_ITSELF and (k := close(name, HOLDS)) is not None:  # an open one of the same kind ends here
+            place = leave(k)
+        here = _place(name, m[3], place)
         if here != place and name not in BLOCKS:
             flush()
         stack.append((name, here))
+        opened[name] += 1
         place = here
     flush()
     return out
@@ -167,18 +197,15 @@ def repeated(streams: list[list[list[str]]], pages: list[int], least: int) -> li
     x, who = np.array(flat, np.int64), np.array(owner, np.int64)
     sa, lcp = suffix_array(x)
     n = len(x)
-    far = np.zeros(n, np.int64)  # longest match of each suffix with another page's
-    # runs of one page in the array: carry the match over them in both directions
-    for order in (range(1, n), range(n - 2, -1, -1)):
-        best = 0
-        for i in order:
-            j, m = (i - 1, lcp[i]) if order.step == 1 else (i + 1, lcp[i + 1])
-            if who[sa[j]] != who[sa[i]]:
-                best = m
-            else:
-                best = min(best, m)
-            if best > far[sa[i]]:
-                far[sa[i]] = best
+    # longest match of each suffix with another page's: over a run of one page in the array, the least prefix back to the run's neighbour
+    far, own = np.zeros(n, np.int64), who[sa]
+    run = np.concatenate(([0], np.cumsum(own[1:] != own[:-1])))
+    reset = np.int64(n + 1)
+    before = np.minimum.accumulate(lcp - run * reset) + run * reset
+    after = np.append(lcp[1:], 0)[::-1]
+    back = run[-1] - run[::-1]
+    after = (np.minimum.accumulate(after - back * reset) + back * reset)[::-1]
+    far[sa] = np.maximum(before, after)
     size = np.repeat(spans, [s + 1 for s in spans])
     inside = np.concatenate([np.arange(s + 1) for s in spans])
     far = np.minimum(far, size - inside)
@@ -358,10 +385,8 @@ def _shared_runs(p: DataFrame, shared, least: int) -> DataFrame:
     """(host, salt, h): the runs of each shard that two distinct pages of its host have, in whatever shards."""
     spark = p.sparkSession
     bits = p.mapInArrow(C.task(_short(shared, least)), "bit long")
-    bitmap = bytearray(1 << BITS - 3)
-    for r in bits.groupBy(F.bitmap_bucket_number("bit").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("bit")).alias("b")).collect():  # 2**BITS bits at most
-        bitmap[(r.k - 1) * 4096 : r.k * 4096] = r.b
-    found = p.mapInArrow(C.task(_runs(shared, spark.sparkContext.broadcast(zlib.compress(bytes(bitmap), 1)), least)), "host string, salt int, h long, low long, high long, alone long, asked int")
+    bitmap = C.bitmap(bits, BITS)
+    found = p.mapInArrow(C.task(_runs(shared, spark.sparkContext.broadcast(zlib.compress(bitmap, 1)), least)), "host string, salt int, h long, low long, high long, alone long, asked int")
     found = found.groupBy("host", "salt", "h").agg(F.min("low").alias("low"), F.max("high").alias("high"), F.sum("alone").alias("alone"), F.max("asked").alias("asked"))
     everywhere = W.partitionBy("host", "h")  # one row a shard at most
     found = found.withColumns({"low": F.min("low").over(everywhere), "high": F.max("high").over(everywhere), "alone": F.sum("alone").over(everywhere)})
