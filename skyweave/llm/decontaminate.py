@@ -7,19 +7,23 @@ windows; a hit survives if its slots are consistent: within it, a slot value of
 question with other numbers is caught and an unrelated sentence of the same frame with scrambled slots is not. A document is contaminated by an item if the item's words covered by its consistent hits reach
 ``share`` of the item, or ``run`` words in one stretch; items shorter than a window match as a whole.
 
-The benchmark side is broadcast after its size is checked against ``most_items``; above it the windows are shuffled and
-joined by hash.
+One way for benchmarks of any size: windows of documents whose hash is not in a bit map of the benchmark's hashes (of a fixed size, so
+that it can be broadcast) are left out; the others are joined by hash and template, with the values of their slots alone, and each pair of windows is judged by
+itself. Hits are gathered per text and item, so that a group of copies is judged once, and meet the rows again by a hash of
+the text. Nothing but a window's tokens travels.
 
-Edge cases: null and empty texts have no window and are kept; items without words match nothing; repeated items count once;
-rows of ``docs`` keep all their columns and repeated rows stay; windows of placeholders alone are not compared."""
+Edge cases: null and empty texts have no window and are kept; items without words match nothing; repeated items count once; an item
+without an id is reported as null among ``items``, after the others; items that share an id are judged one by one; rows of ``docs`` keep all their columns,
+repeated rows stay, and rows that share a doc_id, or have none, are judged by their own texts; windows of placeholders alone say nothing of a question and are not compared."""
 
 from __future__ import annotations
 
 import re
+import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import common as C
@@ -43,6 +47,9 @@ STARTERS = frozenset(
     not now of on once one or other our over she show simplify since so solve some state still suppose ten that the their then there these they this those three to two under until
     use was we were what when where whether which while who whom whose why will with without would write you your""".split()
 )
+#: Bits of the map of the benchmark's window hashes; texts with marks, or windows of items (of some 200 bytes each), that may be broadcast, beyond which they are
+#: shuffled to the same join.
+BITS, MOST_TEXTS = 26, 100_000
 _OUTER = re.compile(r"^[\W_]+|[\W_]+$")
 
 
@@ -140,123 +147,133 @@ def consistent(item: list[str], item_at: int, doc: list[str], doc_at: int, slots
     return True
 
 
-class Index:
-    """Windows of the benchmark's items by hash."""
-
-    def __init__(self, items: list[tuple[int, bytes]], width: int):
-        self.width, self.items, self.by = width, [], {}
-        for item_id, text in items:
-            tokens, values, initial = template(text)
-            if tokens:
-                k = len(self.items)
-                self.items.append((item_id, tokens, values))
-                seen = set()
-                for slots, h in readings(tokens, initial):
-                    for at, x in enumerate(windows(h, width).tolist()):
-                        if x and (at, x) not in seen:
-                            seen.add((at, x))
-                            self.by.setdefault(x, []).append((k, at, slots))
-        self.known = np.array(sorted(self.by), C.U64)
-        self.may = np.zeros(1 << 16, bool)  # by the first bits, so that few windows are searched
-        self.may[(self.known >> C.U64(48)).astype(np.int64)] = True
-        self.widths = sorted({min(width, len(t)) for _, t, _ in self.items})
-
-    def found(self, text: bytes | None, share: float, run: int) -> list[int]:
-        """Ids of the items that contaminate the text."""
-        tokens, values, initial = template(text)
-        hits: dict[int, set[int]] = {}
-        doc = readings(tokens, initial) if len(self.known) else ()
-        for n in self.widths if len(self.known) else ():
+def consistent_values(slots: str, item: str, doc: str) -> bool:
+    """``consistent`` for whole windows, tokens joined by spaces."""
+    t = slots.split(" ")
+    return consistent(item.split(" "), 0, doc.split(" "), 0, t, len(t))
+
+
+def found_windows(tokens: list[str], values: list[str], initial: list[int], widths: list[int], keep) -> list[tuple[int, int, str, str]]:
+    """(start, hash, template, values) of the windows of ``widths`` tokens, in both readings, whose hashes ``keep`` lets pass."""
+    out = []
+    for k, (mine, h) in enumerate(readings(tokens, initial)):
+        for n in widths:
             if len(tokens) < n:
                 continue
-            for mine, h in doc:
-                w = windows(h, n)
-                near = np.flatnonzero(self.may[(w >> C.U64(48)).view(np.int64)])
-                at = np.minimum(np.searchsorted(self.known, w[near]), len(self.known) - 1)
-                for d in near[self.known[at] == w[near]].tolist():
-                    for k, i, slots in self.by[int(w[d])]:
-                        item = self.items[k][2]
-                        if min(self.width, len(slots)) == n and slots[i : i + n] == mine[d : d + n] and consistent(item, i, values, d, slots, n):
-                            hits.setdefault(k, set()).update(range(i, i + n))
-        return sorted({self.items[k][0] for k, cover in hits.items() if len(cover) >= share * len(self.items[k][1]) or _longest(cover) >= run})
+            w = windows(h, n)
+            for d in np.flatnonzero(keep(w)).tolist():
+                t = " ".join(mine[d : d + n])
+                if not k or t != " ".join(tokens[d : d + n]):  # the second reading where it differs
+                    out.append((d, int(w[d : d + 1].view(np.int64)[0]), t, " ".join(values[d : d + n])))
+    return out
 
 
-def _longest(cover: set[int]) -> int:
-    best = size = 0
-    for x in sorted(cover):
-        size = size + 1 if x - 1 in cover else 1
-        best = max(best, size)
-    return best
+_WINDOWS = "start int, h long, slots string, said string"
 
 
-def mark(docs: DataFrame, benchmark: DataFrame, width: int = 8, share: float = 0.6, run: int = 13, most_items: int = 200_000) -> DataFrame:
-    """All columns of ``docs`` and ``items``, the sorted ids of the contaminating items (empty if clean)."""
-    spark = docs.sparkSession
-    bench = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("binary").alias("text")).where("text is not null").distinct()
-    names = docs.columns
-    src = docs.withColumn("text", F.col("text").cast("string")).select(F.struct(*names).alias("_rest"))
-    if bench.limit(most_items + 1).count() > most_items:
-        return _joined(docs, bench, width, share, run)
-    items = sorted((r.item_id if r.item_id is not None else C.NULL_ID, bytes(r.text)) for r in bench.collect())
-    shared = spark.sparkContext.broadcast(items)  # at most most_items, counted above
+def _item_windows(width: int):
+    def run(batches):
+        for batch in batches:
+            rows = []
+            for key, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                tokens, values, initial = template(t)
+                if tokens:
+                    rows += [(key, len(tokens), *w) for w in found_windows(tokens, values, initial, [min(width, len(tokens))], lambda w: w != 0)]
+            c = list(zip(*rows)) or [[]] * 6
+            types = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.string(), pa.string())
+            yield pa.record_batch([pa.array(x, t) for x, t in zip(c, types)], names=["item", "size", "start", "h", "slots", "said"])
+
+    return run
+
+
+def _text_windows(shared, widths: list[int]):
+    """Windows of texts that may be the benchmark's, with the text's two hashes."""
+
+    def run(batches):
+        bits = np.frombuffer(zlib.decompress(shared.value), np.uint8)
+
+        def keep(w):
+            at = w >> C.U64(64 - BITS)
+            return (bits[(at >> C.U64(3)).view(np.int64)] >> (at & C.U64(7)).astype(np.uint8) & 1).astype(bool) & (w != 0)
 
-    def go(batches):
-        index = Index(shared.value, width)
         for batch in batches:
-            yield pa.record_batch([batch.column(0), pa.array([index.found(t, share, run) for t in C.texts(batch)], pa.list_(pa.int64()))], names=["_rest", "items"])
+            k1, k2 = (batch.column(i).to_pylist() for i in (1, 2))
+            rows = []
+            for a, b, t in zip(k1, k2, C.texts(batch)):
+                if t:
+                    rows += [(a, b, *w) for w in found_windows(*template(t), widths, keep)]
+            c = list(zip(*rows)) or [[]] * 6
+            types = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.string(), pa.string())
+            yield pa.record_batch([pa.array(x, t) for x, t in zip(c, types)], names=["k1", "k2", "at", "h", "slots", "read"])
 
-    out = src.mapInArrow(C.task(go), f"_rest {src.schema['_rest'].dataType.simpleString()}, items array<bigint>")
-    return out.select(*(F.col(f"_rest.`{c}`") for c in names), "items")
+    return run
 
 
-def _joined(docs: DataFrame, bench: DataFrame, width: int, share: float, run: int) -> DataFrame:
-    """The same by a shuffled hash join of windows, for a benchmark too large to broadcast: candidate (document, item) pairs
-    share a window's hash; each pair is then compared as above with the item's text joined in."""
-    spark = docs.sparkSession
-    widths = [r.w for r in bench.mapInArrow(C.task(_widths(width)), "w int").distinct().collect()]  # at most ``width`` values
-    b = bench.mapInArrow(C.task(_hash_rows("item_id", [width], True)), "id long, h long").distinct().withColumnRenamed("id", "item_id")
-    keyed = C.keyed_docs(docs)
-    d = keyed.mapInArrow(C.task(_hash_rows("doc_id", widths, False)), "id long, h long").distinct().withColumnRenamed("id", "doc_id")
-    pairs = d.join(b, "h").select("doc_id", "item_id").distinct()
-    texts = keyed.dropDuplicates(["doc_id"]).join(pairs, "doc_id").join(bench.select("item_id", F.col("text").alias("item")), "item_id")
+def _consistent(batches):
+    """Joined windows with consistent slots."""
+    memo = C.Memo(lambda x: consistent_values(*x), 100_000)
+    for batch in batches:
+        ok = [memo[x] for x in zip(*(batch.column(i).to_pylist() for i in (0, 1, 2)))]
+        yield batch.filter(pa.array(ok, pa.bool_())).select(["k1", "k2", "item", "size", "start", "n"])
+
 
+def _enough(share: float, run: int):
     def go(batches):
         for batch in batches:
-            ok = [bool(Index([(i, x)], width).found(t, share, run)) for i, x, t in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), C.texts(batch))]
-            yield pa.record_batch([batch.column(0), batch.column(1), pa.array(ok)], names=["doc_id", "item_id", "hit"])
+            ok = []
+            for size, starts in zip(batch.column(3).to_pylist(), batch.column(4).to_pylist()):
+                cover = {i for x in starts for i in range(x["start"], x["start"] + x["n"])}
+                ok.append(len(cover) >= share * size or _longest(cover) >= run)
+            yield batch.filter(pa.array(ok, pa.bool_())).select(["k1", "k2", "item"])
 
-    hit = texts.select("doc_id", "item_id", "item", "text").mapInArrow(C.task(go), "doc_id long, item_id long, hit boolean").where("hit").groupBy("doc_id").agg(F.sort_array(F.collect_set("item_id")).alias("items"))
-    out = docs.withColumn("_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(C.NULL_ID))).join(hit.withColumnRenamed("doc_id", "_key"), "_key", "left")
-    return out.select(*docs.columns, F.coalesce("items", F.array().cast("array<bigint>")).alias("items"))
+    return go
 
 
-def _widths(width: int):
-    def run(batches):
-        for batch in batches:
-            found = {min(width, len(template(t)[0])) for t in batch.column(1).to_pylist()} - {0}
-            yield pa.record_batch([pa.array(sorted(found), pa.int32())], names=["w"])
+def _longest(cover: set[int]) -> int:
+    best = size = 0
+    for x in sorted(cover):
+        size = size + 1 if x - 1 in cover else 1
+        best = max(best, size)
+    return best
 
-    return run
 
+def text_keys() -> list[Column]:
+    """128 bits that stand for a text."""
+    return [F.xxhash64("text").alias("k1"), F.xxhash64(F.lit(1), "text").alias("k2")]
 
-def _hash_rows(id_name: str, widths: list[int], own: bool):
-    def run(batches):
-        for batch in batches:
-            for i, t in zip(C.ids(batch, id_name).tolist(), C.texts(batch)):
-                tokens, _, initial = template(t)
-                both = readings(tokens, initial)
-                for w in widths:
-                    if own or len(tokens) >= w:
-                        h = np.unique(np.concatenate([windows(h, w) for _, h in both]))
-                        h = h[h != 0].view(np.int64)
-                        yield pa.record_batch([pa.array(np.full(len(h), i, np.int64)), pa.array(h)], names=["id", "h"])
 
-    return run
+def _marked(docs: DataFrame, benchmark: DataFrame, width: int = 8, share: float = 0.6, run: int = 13) -> DataFrame:
+    """(_rest, items): whole rows of ``docs`` and the ids of what contaminates them."""
+    spark = docs.sparkSession
+    bench = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("text is not null").distinct()
+    bench = C.cut(bench.withColumn("item", F.monotonically_increasing_id()))
+    own = C.cut(bench.select("item", F.col("text").cast("binary").alias("text")).mapInArrow(C.task(_item_windows(width)), f"item long, size int, {_WINDOWS}"))
+    widths = sorted(r.n for r in own.select(F.least("size", F.lit(width)).alias("n")).distinct().collect())  # at most ``width`` values
+    hashes_ = own.select((F.shiftrightunsigned("h", 64 - BITS) + 1).alias("bit"))
+    shared = spark.sparkContext.broadcast(zlib.compress(C.bitmap(hashes_, BITS), 1))  # 2**BITS bits, mostly zeros, whatever the benchmark's size
+    src = docs.select(F.col("text").cast("string").alias("text")).where("text is not null").select("text", *text_keys())
+    found = src.mapInArrow(C.task(_text_windows(shared, widths)), "k1 long, k2 long, at int, h long, slots string, read string")
+    # what a window says meets the items once, whatever the number of texts and places that have it
+    pairs = found.select("k1", "k2", "h", "slots", "read").distinct().join(F.broadcast(own) if own.limit(MOST_TEXTS + 1).count() <= MOST_TEXTS else own, ["h", "slots"])
+    n = F.least("size", F.lit(width)).alias("n")
+    hits = pairs.select("slots", "said", "read", "k1", "k2", "item", "size", "start", n).mapInArrow(C.task(_consistent), "k1 long, k2 long, item long, size int, start int, n int")
+    per = hits.groupBy("k1", "k2", "item", "size").agg(F.collect_set(F.struct("start", "n")).alias("starts"))  # at most an item's windows
+    bad = per.mapInArrow(C.task(_enough(share, run)), "k1 long, k2 long, item long").join(bench.select("item", "item_id"), "item")
+    bad = bad.groupBy("k1", "k2").agg(F.collect_set("item_id").alias("known"), F.max(F.col("item_id").isNull()).alias("none"))
+    bad = C.cut(bad.select("k1", "k2", F.concat(F.array_sort("known"), F.when(F.col("none"), F.array(F.lit(None).cast("long"))).otherwise(F.array().cast("array<bigint>"))).alias("items")))
+    keyed = docs.select(F.struct(*docs.columns).alias("_rest"), F.col("text").cast("string").alias("text")).select("_rest", *text_keys())
+    few = F.broadcast(bad) if bad.limit(MOST_TEXTS + 1).count() <= MOST_TEXTS else bad
+    return keyed.join(few, ["k1", "k2"], "left").select("_rest", F.coalesce("items", F.array().cast("array<bigint>")).alias("items"))
+
+
+def mark(docs: DataFrame, benchmark: DataFrame, **how) -> DataFrame:
+    """All columns of ``docs`` and ``items``, the sorted ids of the contaminating items (empty if clean), in place of a column of that name."""
+    return _marked(docs, benchmark, **how).select(*(F.col(f"_rest.`{c}`") for c in docs.columns if c != "items"), "items")
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, **how) -> DataFrame:
     """The rows of ``docs``, all columns, that no item contaminates."""
-    return mark(docs, benchmark, **how).where(F.size("items") == 0).select(*docs.columns)
+    return _marked(docs, benchmark, **how).where(F.size("items") == 0).select(*(F.col(f"_rest.`{c}`") for c in docs.columns))
 
 
 def op8_decontaminate(spark, sf_dir: str) -> DataFrame:
