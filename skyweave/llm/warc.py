@@ -4,14 +4,20 @@ Each record is a gzip member of its own. The reader cuts archives into byte rang
 takes a position for a member only if it inflates to a WARC version line, and owns the records that start in
 its range, reading past the end of the range to finish the last. Nothing is indexed and no archive is read by one task.
 
-Edge cases: a null html is an empty payload; pages with a null page_id are written with an empty id, read back as null,
-and come after all others when the response of equal payloads is chosen; a truncated last member is reported by an error;
-empty tables give no archive and no row; extra columns are ignored."""
+Size and digest of a response are those of the payload that was read, and a payload that does not have its header's digest is an
+error; a revisit has no payload, so its header gives both. Archives of other writers are read as well: header names in any case, ids of any form
+(``page_id`` is null then, ``record_id`` has them whole), records of all types; a block that is no HTTP message is the payload.
+
+Edge cases: a null html is an empty payload. Response or revisit is decided for each (page_id, payload): a page with a null
+page_id is written with an empty id, read back as null, and comes after all others when the response of equal payloads is chosen; rows that
+share both the smallest page_id and the payload are all responses, and so are equal payloads without any id; one page_id with several payloads is decided for
+each. A truncated last member is reported by an error; empty tables give no archive and no row; extra columns are ignored."""
 
 from __future__ import annotations
 
 import base64
 import hashlib
+import re
 import zlib
 
 import pyarrow as pa
@@ -21,7 +27,8 @@ from pyspark.sql import functions as F
 from . import common as C
 
 MAGIC = b"\x1f\x8b\x08"
-_RECORD = "page_id long, url string, record_type string, payload_bytes long, payload_digest string, refers_to long, payload binary"
+_RECORD = "page_id long, url string, record_type string, payload_bytes long, payload_digest string, refers_to long, payload binary, record_id string, refers_to_id string"
+_PAGE = re.compile(r"<urn:page:(-?\d+)>")
 
 
 def base32_sha1(payload: bytes) -> str:
@@ -50,14 +57,15 @@ def record(page_id: int | None, url: str | None, payload: bytes, refers_to: int
 def write(pages: DataFrame, folder: str, least_bytes: int = 0, part_bytes: int = 64 << 20) -> DataFrame:
     """Write every page to archives of about ``part_bytes`` of compressed records in ``folder``; returns (path, length).
 
-    Of equal payloads of at least ``least_bytes`` bytes the one with the smallest page_id is the response. Only ids and
-    digests are shuffled to find it; pages then meet their decision by id."""
-    spark = pages.sparkSession
-    p = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
-    light = p.select("page_id", F.sha1(F.col("html").cast("binary")).alias("sha"), F.octet_length("html").alias("n"))
-    first = light.where(F.col("n") >= least_bytes).groupBy("sha", "n").agg(F.min("page_id").alias("first"))
-    twins = light.join(first, ["sha", "n"]).where("page_id is not null").select("page_id", "first").where("page_id <> first").distinct()
-    decided = p.join(twins, "page_id", "left").select("page_id", "url", "html", "first")
+    Of equal payloads of at least ``least_bytes`` bytes the one with the smallest page_id is the response. Only ids, sizes and
+    digests are shuffled to find it; pages then meet their decision by all three."""
+    html = F.coalesce(F.col("html").cast("string"), F.lit(""))
+    same = (F.sha1(html.cast("binary")).alias("sha"), F.octet_length(html).alias("n"))
+    p = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), html.alias("html"), *same)
+    light = p.select("page_id", "sha", "n").where(F.col("n") >= least_bytes).distinct()
+    first = light.groupBy("sha", "n").agg(F.min("page_id").alias("first"))  # null ids do not count
+    twins = light.join(first, ["sha", "n"]).where("first is not null and not page_id <=> first").select(F.col("page_id").alias("_id"), F.col("sha").alias("_sha"), F.col("n").alias("_n"), "first")
+    decided = p.join(twins, F.col("page_id").eqNullSafe(F.col("_id")) & (F.col("sha") == F.col("_sha")) & (F.col("n") == F.col("_n")), "left").select("page_id", "url", "html", "first")
     names = {"folder": folder}
 
     def run(batches):
@@ -102,16 +110,49 @@ def starts(window: bytes, limit: int) -> list[int]:
     return out
 
 
+def _fields(lines: list[bytes]) -> dict[str, str]:
+    """Header fields by lower-case name; lines that begin with white space continue the field before them."""
+    out: dict[str, str] = {}
+    name = None
+    for line in lines:
+        if line[:1] in (b" ", b"\t") and name:
+            out[name] += " " + line.decode("utf-8", "replace").strip()
+            continue
+        k, colon, v = line.decode("utf-8", "replace").partition(":")
+        if colon:
+            name = k.strip().lower()
+            out[name] = v.strip()
+    return out
+
+
+def _page(uri: str | None) -> int | None:
+    m = _PAGE.fullmatch(uri or "")
+    return int(m[1]) if m else None
+
+
 def parse(raw: bytes) -> tuple:
-    """A record's page_id, url, type, payload size, digest, refers_to and payload (None for a revisit)."""
+    """A record's page_id, url, type, payload size, digest, refers_to, payload (None for a revisit), record id and the id it refers to."""
     head, _, rest = raw.partition(b"\r\n\r\n")
-    h = dict(line.split(": ", 1) for line in head.decode().split("\r\n")[1:])
-    body = rest[: int(h["Content-Length"])]
-    http, _, payload = body.partition(b"\r\n\r\n")
-    size = next(int(x.split(b":")[1]) for x in http.split(b"\r\n") if x.lower().startswith(b"content-length:"))
-    page = lambda v: int(v[10:-1]) if v and v[10:-1] else None
-    kind = h["WARC-Type"]
-    return page(h["WARC-Record-ID"]), h.get("WARC-Target-URI"), kind, size, h["WARC-Payload-Digest"].removeprefix("sha1:"), page(h.get("WARC-Refers-To")), None if kind == "revisit" else payload
+    h = _fields(head.split(b"\r\n")[1:])
+    size = int(h["content-length"])
+    if len(rest) < size:
+        raise ValueError(f"record {h.get('warc-record-id')}: {len(rest)} of {size} bytes")
+    payload, said, kind = rest[:size], None, h["warc-type"].lower()
+    if payload.startswith(b"HTTP/") and "http" in h.get("content-type", "http"):
+        http, _, payload = payload.partition(b"\r\n\r\n")
+        length = _fields(http.split(b"\r\n")[1:]).get("content-length", "")
+        said = int(length) if length.isdigit() else None
+    label, colon, digest = h.get("warc-payload-digest", "").partition(":")
+    digest = digest if colon else label
+    if kind == "revisit":
+        payload, n = None, said
+    else:
+        n, own = len(payload), base32_sha1(payload)
+        if label.lower() == "sha1" and kind == "response" and digest.upper() != own:
+            raise ValueError(f"record {h.get('warc-record-id')}: the payload's digest is {own}, its header says {digest}")
+        digest = own
+    me, other = h.get("warc-record-id"), h.get("warc-refers-to")
+    return _page(me), h.get("warc-target-uri"), kind, n, digest or None, _page(other), payload, me, other
 
 
 def read(spark: SparkSession, files: DataFrame, split_bytes: int = 4 << 20, with_payload: bool = True, chunk: int = 1 << 20) -> DataFrame:
@@ -154,9 +195,9 @@ def _range(path, lo, hi, length, chunk, with_payload):
                 data = z.unused_data if z.eof else b""
             pos = base - len(data)
             rows.append(parse(b"".join(raw)))
+            size += (rows[-1][3] or 0) + 200
             if not with_payload:
-                rows[-1] = rows[-1][:6] + (None,)
-            size += rows[-1][3] + 200
+                rows[-1] = (*rows[-1][:6], None, *rows[-1][7:])
             if size > 8 << 20:
                 yield _records(rows)
                 rows, size = [], 0
@@ -166,8 +207,8 @@ def _range(path, lo, hi, length, chunk, with_payload):
 
 def _records(rows):
     c = list(zip(*rows))
-    types = (pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.binary())
-    return pa.record_batch([pa.array(x, t) for x, t in zip(c, types)], names=["page_id", "url", "record_type", "payload_bytes", "payload_digest", "refers_to", "payload"])
+    types = (pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.binary(), pa.string(), pa.string())
+    return pa.record_batch([pa.array(x, t) for x, t in zip(c, types)], names=["page_id", "url", "record_type", "payload_bytes", "payload_digest", "refers_to", "payload", "record_id", "refers_to_id"])
 
 
 def op9_warc(spark, sf_dir: str) -> DataFrame:
@@ -182,6 +223,6 @@ f AS (SELECT *, min(page_id) OVER (PARTITION BY s, n) AS first FROM h),
 d AS (SELECT *, list_transform(range(0, 8), lambda i: CAST('0x' || substr(s, CAST(5 * i + 1 AS INTEGER), 5) AS BIGINT)) AS v FROM f)
 SELECT page_id, CAST(n AS BIGINT) AS payload_bytes,
 array_to_string(list_transform(v, lambda x: array_to_string(list_transform([15, 10, 5, 0], lambda k: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', CAST(((x >> k) & 31) + 1 AS INTEGER), 1)), '')), '') AS payload_digest,
-CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END AS record_type,
-CASE WHEN page_id = first THEN NULL ELSE first END AS refers_to FROM d
+CASE WHEN page_id IS NOT DISTINCT FROM first THEN 'response' ELSE 'revisit' END AS record_type,
+CASE WHEN page_id IS NOT DISTINCT FROM first THEN NULL ELSE first END AS refers_to FROM d
 """
