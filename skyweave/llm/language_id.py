@@ -1,17 +1,20 @@
 """Language identification by segmentation-marginalised unigrams over the fixed public pieces.
 
-Each language has a probability for every piece. A word's likelihood is the sum over all its segmentations into pieces (forward
-algorithm); characters without a piece count as an unknown piece. Training takes one expectation step from uniform pieces:
-forward-backward expected counts over all words of all training rows, in every task over its distinct words, summed by
+Each language has a probability for every piece. A word's likelihood is the sum over all its segmentations into pieces of the whole
+vocabulary (forward algorithm); characters without a piece count as an unknown piece. Words are the letters, in their own case, and the
+marks upon them of each white-space word, behind the vocabulary's word mark; other characters are left out. Training takes one expectation step from
+uniform pieces: forward-backward expected counts over all words of all training rows, in every task over its distinct words, summed by
 (lang, piece) in Spark, so what reaches the driver is bounded by languages times pieces. Substrings are looked up by rolling
-code-point hashes for all words of a block at once.
+code-point hashes for all words of a block at once; words of more than ``SHORT`` code points go one by one with rescaled sums, which
+gives the same value at any length.
 
 Edge cases: null texts and texts without a letter get ``und`` and score 0; null langs are not learnt from; without any
-training row every text gets ``und``; very long words are cut into parts of ``LONGEST`` code points; repeated rows count as often
+training row every text gets ``und``; ties go to the language first in order; repeated rows count as often
 as they occur; extra columns are ignored."""
 
 from __future__ import annotations
 
+import unicodedata
 from collections import Counter
 from functools import lru_cache
 
@@ -23,8 +26,8 @@ from pyspark.sql import functions as F
 from . import common as C
 from . import pieces as P
 
-#: Code points of the longest piece looked up, and of the longest part of a word.
-WIDEST, LONGEST = 10, 40
+#: Code points of the longest word that is worked on together with others: its likelihood fits a double at any vocabulary.
+SHORT = 20
 _SALT = C.U64(0x2545F4914F6CDD1D)
 
 
@@ -35,32 +38,41 @@ def _extend(h: np.ndarray, code: np.ndarray) -> np.ndarray:
 
 
 @lru_cache(2)
-def _lookup(path: str):
-    """Per length: sorted hashes of the lower-case pieces, their ids, and a bit map of the hashes' top bits; and the vocabulary's size."""
+def _known(path: str) -> tuple[dict[str, int], int, int]:
+    """Ids of the normal pieces, code points of the longest one, and the vocabulary's size."""
     names, _, types = P.vocabulary(path)
-    by: dict[int, dict[int, int]] = {}
-    for i, (p, t) in enumerate(zip(names, types)):
-        if t == 1 and 1 <= len(p) <= WIDEST and p == p.lower():
-            h = np.zeros(1, C.U64)
-            for c in p:
-                h = _extend(h, np.array([ord(c)], C.U64))
-            by.setdefault(len(p), {})[int(h[0])] = i
+    known = {p: i for i, (p, t) in enumerate(zip(names, types)) if t == 1 and p}
+    return known, max(map(len, known), default=1), len(names)
+
+
+@lru_cache(2)
+def _lookup(path: str):
+    """Per length: sorted hashes of the pieces, their ids, and a bit map of the hashes' top bits; the longest length; the vocabulary's size."""
+    known, widest, size = _known(path)
+    by: dict[int, list[str]] = {}
+    for p in known:
+        by.setdefault(len(p), []).append(p)
     out = {}
-    for n, d in by.items():
-        h = np.array(sorted(d), C.U64)
+    for n, names in by.items():
+        h = np.zeros(len(names), C.U64)
+        codes = np.frombuffer("".join(names).encode("utf-32-le"), np.uint32).reshape(-1, n).astype(C.U64)
+        for k in range(n):
+            h = _extend(h, codes[:, k])
+        order = np.argsort(h)
+        h = h[order]
         bits = np.zeros(1 << 20, bool)
         bits[h >> C.U64(44)] = True
-        out[n] = h, np.array([d[int(x)] for x in h], np.int64), bits
-    return out, len(names)
+        out[n] = h, np.array([known[p] for p in names], np.int64)[order], bits
+    return out, widest, size
 
 
 def _tables(codes: np.ndarray, path: str) -> list:
     """[(n, ids)]: for each piece length, the piece id at every (start, word), or -1; single characters fall back to the unknown
     piece, whose id is the vocabulary's size. ``codes`` is (code point, word)."""
-    found, size = _lookup(path)
+    found, widest, size = _lookup(path)
     out, wide = [], codes.astype(C.U64)
     h = np.zeros(codes.shape, C.U64)
-    for n in range(1, min(WIDEST, len(codes)) + 1):
+    for n in range(1, min(widest, len(codes)) + 1):
         h = _extend(h[: len(codes) - n + 1], wide[n - 1 :])
         ids = np.full(h.shape, size if n == 1 else -1, np.int64)
         if n in found:
@@ -79,7 +91,8 @@ def _marked(words: list[str]) -> dict[int, tuple[np.ndarray, np.ndarray]]:
     """Words by length: their positions, and code points with the word mark in front as (code point, word)."""
     by: dict[int, list[int]] = {}
     for i, w in enumerate(words):
-        by.setdefault(len(w) + 1, []).append(i)
+        if len(w) <= SHORT:
+            by.setdefault(len(w) + 1, []).append(i)
     out = {}
     for n, at in by.items():
         flat = np.frombuffer("".join(["▁" + words[i] for i in at]).encode("utf-32-le"), np.uint32)
@@ -87,6 +100,35 @@ def _marked(words: list[str]) -> dict[int, tuple[np.ndarray, np.ndarray]]:
     return out
 
 
+def _matches(word: str, path: str):
+    """(start, [(code points, id)]) of the marked word's pieces, in order of start; single characters always have an entry."""
+    known, widest, size = _known(path)
+    for i in range(len(word)):
+        found = [(1, known.get(word[i], size))]
+        for k in range(2, min(widest, len(word) - i) + 1):
+            if (x := known.get(word[i : i + k])) is not None:
+                found.append((k, x))
+        yield i, found
+
+
+def long_likelihood(word: str, prob: np.ndarray, path: str) -> np.ndarray:
+    """The same for one word of any length; prob is (pieces + 1, languages). Only the sums that a piece can reach are held, and they are rescaled."""
+    marked, width = "▁" + word, _known(path)[1]
+    ahead = np.zeros((width + 1, prob.shape[1]))  # sums of the ends 0.. from the present start
+    ahead[0] = 1
+    scale = np.zeros(prob.shape[1])
+    for i, found in _matches(marked, path):
+        for k, x in found:
+            ahead[k] += ahead[0] * prob[x]
+        ahead[:-1] = ahead[1:]
+        ahead[-1] = 0
+        if i % 8 == 7:
+            top = np.maximum(ahead.max(axis=0), 1e-300)
+            ahead /= top
+            scale += np.log(top)
+    return np.log(np.maximum(ahead[0], 1e-300)) + scale
+
+
 def likelihoods(words: list[str], logp: np.ndarray, path: str) -> np.ndarray:
     """Log of the sum over segmentations, per word and language; logp is (languages, pieces + 1)."""
     prob = np.ascontiguousarray(np.exp(logp).T)
@@ -107,12 +149,46 @@ def likelihoods(words: list[str], logp: np.ndarray, path: str) -> np.ndarray:
                     elif (hit := np.flatnonzero(i >= 0)).size:
                         alpha[end, hit] += alpha[end - k, hit] * prob[i[hit]]
             out[at[lo : lo + 8192]] = np.log(np.maximum(alpha[n], 1e-300))
+    for i, w in enumerate(words):
+        if len(w) > SHORT:
+            out[i] = long_likelihood(w, prob, path)
     return out
 
 
+def _long_expected(word: str, times: float, path: str, total: np.ndarray) -> None:
+    """Add the expected counts of one word of any length: sums per code point are kept with a common exponent each."""
+    marked, (_, width, size) = "▁" + word, _known(path)
+    n, p = len(marked), 1.0 / size
+    found = [f for _, f in _matches(marked, path)]
+    a, b = np.zeros(n + 1 + width), np.zeros(n + 1 + width)  # a[i] * exp(sa[i]) is the sum of the ways to i
+    sa, sb = np.zeros(n + 1), np.zeros(n + 1)
+    a[0], now = 1.0, 0.0
+    for i in range(n):
+        if i and i % 16 == 0:  # rescale the sums that pieces from here on use and fill
+            top = a[i : i + width].max()
+            a[i : i + width + 1] /= top
+            now += np.log(top)
+        sa[i] = now
+        for k, _ in found[i]:
+            a[i + k] += a[i] * p
+    sa[n] = now
+    b[n], now = 1.0, 0.0
+    for i in range(n - 1, -1, -1):
+        # sums behind i lie at the exponents they were made with
+        b[i] = sum(p * b[i + k] * np.exp(sb[i + k] - now) for k, _ in found[i])
+        sb[i] = now
+        if i % 16 == 0:
+            now += np.log(b[i])
+            b[i], sb[i] = 1.0, now
+    whole = np.log(a[n]) + sa[n]
+    for i in range(n):
+        for k, x in found[i]:
+            total[x] += times * p * a[i] * b[i + k] * np.exp(sa[i] + sb[i + k] - whole)
+
+
 def expected(words: list[str], times: np.ndarray, path: str) -> np.ndarray:
     """Expected piece counts of the words under uniform pieces (forward-backward over all segmentations)."""
-    size = _lookup(path)[1]
+    size = _known(path)[2]
     p = 1.0 / size
     total = np.zeros(size + 1)
     for n, (at, codes) in _marked(words).items():
@@ -127,17 +203,21 @@ def expected(words: list[str], times: np.ndarray, path: str) -> np.ndarray:
                 b[start, hit] += b[start + k, hit] * p
             scale = t * p / np.maximum(a[n], 1e-300)
             total += np.bincount(np.concatenate([i for *_, i in tables]), np.concatenate([a[start, hit] * b[start + k, hit] * scale[hit] for k, start, hit, _ in tables]), size + 1)
+    for i, w in enumerate(words):
+        if len(w) > SHORT:
+            _long_expected(w, float(times[i]), path, total)
     return total
 
 
-def word_parts(raw: bytes) -> tuple[str, ...]:
-    """Letters of a white-space word, lower-cased, in parts of bounded length."""
-    w = raw.decode("utf-8", "replace").lower()
-    if not w.isalpha():
-        w = "".join([c for c in w if c.isalpha()])
-    if len(w) <= LONGEST:
-        return (w,) if w else ()
-    return tuple(w[i : i + LONGEST] for i in range(0, len(w), LONGEST))
+def letters(raw: bytes) -> str:
+    """Letters of a white-space word, with the marks upon them; nothing without a letter."""
+    w = raw.decode("utf-8", "replace")
+    if w.isalpha():
+        return w
+    if w.isascii():
+        return "".join([c for c in w if c.isalpha()])
+    w = "".join([c for c in w if c.isalpha() or unicodedata.category(c)[0] == "M"])
+    return w if any(map(str.isalpha, w)) else ""
 
 
 def _count(path: str):
@@ -149,7 +229,7 @@ def _count(path: str):
             for lang, c in seen.items():
                 words: Counter = Counter()
                 for raw, k in c.items():
-                    for w in word_parts(raw):
+                    if w := letters(raw):
                         words[w] += k
                 own = list(words)
                 total = expected(own, np.array([words[w] for w in own], float), path) if own else np.zeros(1)
@@ -160,8 +240,8 @@ def _count(path: str):
             for lang, t in zip(batch.column(0).to_pylist(), C.texts(batch)):
                 words = (t or b"").split()
                 seen.setdefault(lang, Counter()).update(words)
-                size += len(words)
-                if size > 2_000_000:
+                size += len(t or b"")
+                if size > 16 << 20:
                     yield from out()
                     seen, size = {}, 0
         yield from out()
@@ -181,7 +261,7 @@ def train(docs: DataFrame, path: str | None = None, smoothing: float = 0.5) -> M
     path = path or P.default_model()
     src = docs.where("lang is not null and text is not null").select(F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
     counts = src.mapInArrow(_count(path), "lang string, piece int, n double").groupBy("lang", "piece").agg(F.sum("n").alias("n")).toArrow()
-    size = _lookup(path)[1]
+    size = _known(path)[2]
     lang = counts.column("lang").to_pylist()
     langs = sorted(set(lang))
     if not langs:
@@ -193,7 +273,7 @@ def train(docs: DataFrame, path: str | None = None, smoothing: float = 0.5) -> M
 
 
 def predict(docs: DataFrame, model: Model, *keep: str) -> DataFrame:
-    """``keep`` columns, lang_pred and score (the posterior of the prediction under equal priors, per character tempered)."""
+    """``keep`` columns, lang_pred and score (the posterior of the prediction under equal priors)."""
     shared = docs.sparkSession.sparkContext.broadcast((model.langs, model.logp, model.path))
     src = docs.select(F.struct(*keep).alias("_rest"), F.col("text").cast("string").alias("text"))
 
@@ -206,19 +286,16 @@ def predict(docs: DataFrame, model: Model, *keep: str) -> DataFrame:
             """Likelihoods of the words not yet known, all at once."""
             nonlocal rows
             new = list({w for ws in texts_ for w in ws if w not in memo})
-            parts = [word_parts(w) for w in new]
-            flat = list(dict.fromkeys(p for ps in parts for p in ps))
+            parts = [letters(w) for w in new]
+            flat = list(dict.fromkeys(p for p in parts if p))
             got = likelihoods(flat, logp, path)
             at = {p: i for i, p in enumerate(flat)}
             while len(memo) + len(new) > len(rows):
                 rows = np.concatenate((rows, np.zeros_like(rows)))
             first = len(memo)
             memo.update(zip(new, range(first, first + len(new))))
-            one = np.array([at[ps[0]] if ps else -1 for ps in parts], np.int64)
+            one = np.array([at[p] if p else -1 for p in parts], np.int64)
             rows[first : first + len(new)] = np.where(one[:, None] >= 0, got[one] if len(got) else 0, 0)
-            for j, ps in enumerate(parts):
-                for p in ps[1:]:
-                    rows[first + j] += got[at[p]]
 
         for batch in batches:
             pred, score = [], []
