@@ -94,6 +94,16 @@ def _useful(doc, word, owner, feat, y, least_z: float) -> np.ndarray:
     return ((z > least_z) & (in1 >= 4)).astype(float)
 
 
+def gradient(z: np.ndarray, doc: np.ndarray, y: np.ndarray, cost: np.ndarray) -> tuple[np.ndarray, float]:
+    """Derivative of the mean weighted log-likelihood of the documents' labels by the log-odds z of their sentences, and that likelihood."""
+    p = 1 / (1 + np.exp(-z))
+    keep = np.bincount(doc, np.log1p(-np.minimum(p, 1 - 1e-9)), len(y))  # log of the chance that no sentence offends
+    hit = np.maximum(-np.expm1(keep), 1e-9)
+    # -p for a clean document, p * (1 - P) / P for a toxic one
+    g = np.where(y[doc] > 0, p * ((1 - hit) / hit)[doc], -p) * cost[doc] / len(y)
+    return g, float((cost * np.where(y > 0, np.log(hit), keep)).sum() / len(y))
+
+
 def fit(rows: list[tuple[bytes | None, int]], counts: tuple[int, int] | None = None, rounds: int = 120, rate: float = 0.1, ridge: float = 1e-5, least_z: float = 5.0) -> Model:
     """Full-batch Adam on the noisy-or likelihood of document labels.
 
@@ -136,11 +146,7 @@ def fit(rows: list[tuple[bytes | None, int]], counts: tuple[int, int] | None = N
     for t in range(1, rounds + 1):
         ww = np.bincount(owner, w[feat], n_words)
         z = np.clip(b + np.bincount(sent, ww[word], len(sent_len)), -30, 30)
-        p = 1 / (1 + np.exp(-z))
-        keep = np.bincount(doc, np.log1p(-np.minimum(p, 1 - 1e-9)), len(doc_len))
-        hit = np.maximum(-np.expm1(keep), 1e-9)
-        # d(log likelihood)/dz: -p for a clean document, p * (1 - P) / P for a toxic one
-        gz = np.where(y[doc] > 0, p * ((1 - hit) / hit)[doc], -p) * cost[doc] / len(y)
+        gz, _ = gradient(z, doc, y, cost)
         gw = np.bincount(word, gz[sent], n_words)
         g = (np.bincount(feat, gw[owner], 1 << BITS) - ridge * w) * useful
         gb = gz.sum()
