@@ -18,31 +18,32 @@ def _columns(docs: DataFrame) -> DataFrame:
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the model, learnt from all labels of these documents, scores below the threshold."""
+    """Documents that the model, learnt from all labels of these documents, scores below the threshold. Null and empty texts score 0 and stay;
+    without labels of both kinds all stay."""
     model = toxicity.train(docs, C.table(spark, sf_dir, "labels"))
     return toxicity.reject(_columns(docs), model, 0.3)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group at a similarity of 0.8 on five-word shingles: that with the smallest doc_id."""
-    found = near_dup.near_duplicates(docs, width=5, percent=80)
-    again = found.where("not kept").select(F.coalesce("doc_id", F.lit(C.NULL_ID)).alias("_gone")).distinct()
-    keyed = _columns(docs).withColumn("_key", F.coalesce("doc_id", F.lit(C.NULL_ID)))
-    return keyed.join(again, F.col("_key") == F.col("_gone"), "left_anti").select(*COLUMNS)
+    """One document of each group at a similarity of 0.8 on five-word shingles: that with the smallest doc_id. Texts without a word stay; rows
+    that share a doc_id, or have none, are told apart by their texts."""
+    return near_dup.keep_one(_columns(docs), width=5, percent=80)
 
 
 def remove_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without the 20-word windows that occur earlier; texts that lose every word go."""
+    """Texts without the 20-word windows that occur earlier; texts that lose every word go, null texts and texts without a word stay as they are.
+    n_chars is counted anew where words went."""
     out = substring_dedup.deduplicate(_columns(docs), 20).where("n_words = 0 or n_removed < n_words")
     return out.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*COLUMNS)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no item of the benchmark, nor one with other names, numbers or units; null and empty texts stay. An empty benchmark drops nothing."""
     return decontaminate.clean(_columns(docs), C.table(spark, sf_dir, "benchmark"))
 
 
 def tokenise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token count, and digests of the ids and of the text that they decode to."""
+    """Token count, and digests of the ids and of the text that they decode to, of every row; a null text is an empty one."""
     return byte_bpe.digests(docs)
 
 
