@@ -96,10 +96,10 @@ def weight(y: np.ndarray, w: np.ndarray) -> np.ndarray:
     return np.fft.irfft(np.fft.rfft(y, m) * np.fft.rfft(row).real, m)[..., :n]
 
 
-def weight_circulant(y: np.ndarray, fknee: float, sigma2: float = 1.0, slope: float = 2.0) -> np.ndarray:
-    """Fourier-domain diagonal weighting: the interval is taken as periodic."""
+def weight_circulant(y: np.ndarray, fknee: float, sigma2: float = 1.0, slope: float = 2.0, lowest: float = 0.0) -> np.ndarray:
+    """Fourier-domain diagonal weighting: the interval is taken as periodic. Its mean is weighted as a mode of ``lowest`` turns."""
     n = y.shape[-1]
-    return np.fft.irfft(np.fft.rfft(y) * inverse_spectrum(np.arange(n // 2 + 1) / n, sigma2, fknee, 1.0, slope), n)
+    return np.fft.irfft(np.fft.rfft(y) * inverse_spectrum(np.maximum(np.arange(n // 2 + 1), lowest) / n, sigma2, fknee, 1.0, slope), n)
 
 
 class Stationary:
@@ -124,11 +124,11 @@ class Circulant:
 
     halo = None
 
-    def __init__(self, knees: dict[int, float], sigma2: float = 1.0):
-        self.knees, self.sigma2 = knees, sigma2
+    def __init__(self, knees: dict[int, float], sigma2: float = 1.0, lowest: float = 0.0):
+        self.knees, self.sigma2, self.lowest = knees, sigma2, lowest
 
     def weight(self, noise_id, y):
-        return weight_circulant(y, self.knees[noise_id], self.sigma2)
+        return weight_circulant(y, self.knees[noise_id], self.sigma2, lowest=self.lowest)
 
     def diag(self, noise_id):
         return float(inverse_spectrum(np.arange(513) / 1024, self.sigma2, self.knees[noise_id]).mean())

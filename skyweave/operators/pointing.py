@@ -23,15 +23,15 @@ def accumulate(tod: DataFrame, y: str | Column = "y", nstokes: int = 1) -> DataF
     sums = [F.sum(v).alias("i")]
     if nstokes == 3:
         sums += [F.sum(v * F.cos(2 * F.col("phi"))).alias("q"), F.sum(v * F.sin(2 * F.col("phi"))).alias("u")]
-    return require_columns(tod, "pix", "phi").groupBy("pix").agg(*sums)
+    return pointed(require_columns(tod, "pix", "phi")).groupBy("pix").agg(*sums)
 
 
 def hit_map(tod: DataFrame) -> DataFrame:
-    return tod.groupBy("pix").agg(F.count("*").alias("hits"))
+    return pointed(tod).groupBy("pix").agg(F.count("*").alias("hits"))
 
 
 def hits_by_interval(tod: DataFrame) -> DataFrame:
-    return tod.groupBy("pix", "interval_id").agg(F.count("*").alias("hits"))
+    return pointed(tod).groupBy("pix", "interval_id").agg(F.count("*").alias("hits"))
 
 
 def stokes_blocks(tod: DataFrame, weight: Column | float = 1.0) -> DataFrame:
@@ -39,7 +39,7 @@ def stokes_blocks(tod: DataFrame, weight: Column | float = 1.0) -> DataFrame:
     w = weight if isinstance(weight, Column) else F.lit(float(weight))
     c, s = F.cos(2 * F.col("phi")), F.sin(2 * F.col("phi"))
     cells = {"c11": w, "c12": w * c, "c13": w * s, "c22": w * c * c, "c23": w * c * s, "c33": w * s * s}
-    return tod.groupBy("pix").agg(*(F.sum(v).alias(k) for k, v in cells.items()))
+    return pointed(tod).groupBy("pix").agg(*(F.sum(v).alias(k) for k, v in cells.items()))
 
 
 def condition(tod: DataFrame, nstokes: int = 3) -> DataFrame:
@@ -49,11 +49,28 @@ def condition(tod: DataFrame, nstokes: int = 3) -> DataFrame:
     return stokes_blocks(tod).select("pix", rcond3_sym("c11", "c12", "c13", "c22", "c23", "c33").alias("rcond"))
 
 
-def pixel_cut(tod: DataFrame, nstokes: int = 3, rcond: float = 1e-6) -> tuple[DataFrame, DataFrame]:
-    """(samples of well-conditioned pixels with the gaps in t closed, the dropped pixels)."""
+def pointed(tod: DataFrame) -> DataFrame:
+    """Samples that see a pixel; slots left by a cut have pix -1."""
+    return tod.where("pix >= 0")
+
+
+def pixel_cut(tod: DataFrame, nstokes: int = 3, rcond: float = 1e-6, gap: str = "mask") -> tuple[DataFrame, DataFrame]:
+    """(samples without those of badly conditioned pixels, the dropped pixels).
+
+    The weights of a stationary interval depend on true lags, so a cut sample keeps its slot: ``mask`` leaves it with pix -1 and no data, and P is zero
+    there. ``split`` drops it and makes every run between gaps an interval of its own. ``close`` moves later samples up, which changes their lags."""
     cond = condition(tod, nstokes)
-    kept = tod.join(cond.where(F.col("rcond") > rcond).select("pix"), "pix", "left_semi")
-    return reindex(kept), cond.where(F.col("rcond") <= rcond).select("pix")
+    gone = cond.where(F.col("rcond") <= rcond).select("pix")
+    if gap == "mask":
+        cut = F.col("_cut").isNotNull()
+        marked = tod.join(gone.withColumn("_cut", F.lit(True)), "pix", "left")
+        return marked.withColumns({"pix": F.when(cut, F.lit(-1).cast("long")).otherwise(F.col("pix")), "d": F.when(cut, 0.0).otherwise(F.col("d"))}).drop("_cut"), gone
+    kept = tod.join(gone, "pix", "left_anti")
+    if gap == "split":
+        return split_intervals(kept), gone
+    if gap == "close":
+        return reindex(kept), gone
+    raise ValueError(f"unknown gap policy {gap!r}")
 
 
 def reindex(tod: DataFrame) -> DataFrame:
@@ -61,6 +78,29 @@ def reindex(tod: DataFrame) -> DataFrame:
     return tod.withColumn("t", (F.row_number().over(W.partitionBy("interval_id").orderBy("t")) - 1).cast("long"))
 
 
+def split_intervals(tod: DataFrame) -> DataFrame:
+    """Runs of consecutive t as intervals of their own, numbered by (interval_id, first t); t starts from 0 in each."""
+    w = W.partitionBy("interval_id").orderBy("t")
+    new = F.coalesce(F.col("t") - F.lag("t").over(w) != 1, F.lit(True))
+    runs = tod.withColumn("_t0", F.last(F.when(new, F.col("t")), ignorenulls=True).over(w))
+    first = runs.select("interval_id", "_t0").distinct()
+    from skyweave.plans.lineage import global_index
+
+    ids = global_index(first, ["interval_id", "_t0"], "_new")
+    return runs.join(ids, ["interval_id", "_t0"]).withColumns({"interval_id": F.col("_new"), "t": F.col("t") - F.col("_t0")}).drop("_t0", "_new")
+
+
+def fill_gaps(tod: DataFrame) -> DataFrame:
+    """Slots (pix -1, no data) for the values of t that an interval lacks between its first and last; t starts from 0 then."""
+    w = W.partitionBy("interval_id").orderBy("t")
+    lacking = tod.select("interval_id", "noise_id", "t", F.lag("t").over(w).alias("_p")).where("t - _p > 1")
+    slots = lacking.select("interval_id", F.explode(F.sequence(F.col("_p") + 1, F.col("t") - 1)).alias("t"), "noise_id")
+    slots = slots.select("interval_id", "t", F.lit(-1).cast("long").alias("pix"), F.lit(0.0).alias("phi"), F.lit(0.0).alias("d"), "noise_id")
+    first = tod.groupBy("interval_id").agg(F.min("t").alias("_first"))
+    both = tod.select(*slots.columns).unionByName(slots).join(first, "interval_id")
+    return both.withColumn("t", F.col("t") - F.col("_first")).drop("_first")
+
+
 def attach_asof(samples: DataFrame, pointing: DataFrame, key: str, time: str, values: list[str]) -> DataFrame:
     """The latest earlier (or simultaneous) pointing row of the same key for every sample: a union and one window, no range join."""
     null = [F.lit(None).cast(pointing.schema[v].dataType).alias(v) for v in values]
@@ -89,7 +129,7 @@ def band_pairs(tod: DataFrame, lambda_: int) -> DataFrame:
 
 def multiplicity(tod: DataFrame) -> DataFrame:
     """In how many intervals each pixel is seen."""
-    return tod.select("pix", "interval_id").distinct().groupBy("pix").agg(F.count("*").alias("mult"))
+    return pointed(tod).select("pix", "interval_id").distinct().groupBy("pix").agg(F.count("*").alias("mult"))
 
 
 def overlap(tod: DataFrame, a: int, b: int) -> DataFrame:
@@ -104,16 +144,34 @@ def scan_stats(tod: DataFrame) -> DataFrame:
 
 def attack_angles(tod: DataFrame) -> DataFrame:
     """Samples per pixel and polariser angle step."""
-    return tod.groupBy("pix", F.round(F.col("phi") * 4 / F.lit(3.141592653589793)).cast("long").alias("step")).agg(F.count("*").alias("n"))
+    return pointed(tod).groupBy("pix", F.round(F.col("phi") * 4 / F.lit(3.141592653589793)).cast("long").alias("step")).agg(F.count("*").alias("n"))
 
 
 def coadd(tod: DataFrame, nstokes: int = 1) -> DataFrame:
     """White-noise weighted co-addition: one pass and a closed-form inverse per pixel. Pixels with a singular block give null."""
     if nstokes == 1:
-        return tod.groupBy("pix").agg((F.sum("d") / F.count("*")).alias("i"))
+        return pointed(tod).groupBy("pix").agg((F.sum("d") / F.count("*")).alias("i"))
     b = stokes_blocks(tod).join(accumulate(tod, "d", 3), "pix")
     k = inv3_sym("c11", "c12", "c13", "c22", "c23", "c33")
     ok = rcond3_sym("c11", "c12", "c13", "c22", "c23", "c33") > 1e-6
     i, q, u = F.col("i"), F.col("q"), F.col("u")
     x = [k[0] * i + k[1] * q + k[2] * u, k[1] * i + k[3] * q + k[4] * u, k[2] * i + k[4] * q + k[5] * u]
     return b.select("pix", *(F.when(ok, v).alias(n) for n, v in zip("iqu", x)))
+
+
+def coarse_columns(tod: DataFrame, rank: int | None = None, intervals: int | None = None) -> DataFrame:
+    """The a-priori coarse space as (pix, col, z): a pixel's share of hits by interval; or by ``rank`` runs of the ``intervals`` numbered from 0."""
+    col = F.col("interval_id") if rank is None else F.floor(F.col("interval_id") * rank / intervals)
+    hits = pointed(tod).groupBy("pix", col.cast("long").alias("col")).agg(F.count("*").alias("n"))
+    return hits.withColumn("z", F.col("n") / F.sum("n").over(W.partitionBy("pix"))).drop("n")
+
+
+def comm_bytes(tod: DataFrame, nstokes: int = 1) -> DataFrame:
+    """(interval_id, bytes): the partial map that an interval sends in each product."""
+    return pointed(tod).select("interval_id", "pix").distinct().groupBy("interval_id").agg((F.count("*") * 8 * nstokes).alias("bytes"))
+
+
+def operations(tod: DataFrame, lambda_: int | None) -> DataFrame:
+    """Operations of a product: samples times (1 + log2 of the band, or of the interval's length)."""
+    n = tod.groupBy("interval_id").agg(F.count("*").alias("n"))
+    return n.agg(F.sum(F.col("n") * (1 + F.log2(F.lit(lambda_) if lambda_ else F.col("n")))).alias("operations"))

@@ -7,6 +7,7 @@ import time
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -36,13 +37,15 @@ class Run:
 
 
 def build(op: NormalOperator, prec: str, rank: int | None = None, eps_tol: float = 0.2, variant: str = "def1", b_prev=None, m_max: int = 200, blocks=None):
-    """(preconditioner, Coarse or None). prec: none, bd, apriori, aposteriori, deflation."""
+    """(preconditioner, Coarse or None). prec: none, bd, ones, apriori, aposteriori, deflation."""
     if prec == "none":
         return precond.identity(), None
     bd = precond.BlockDiagonal(op.diagonal_blocks() if blocks is None else blocks)
     if prec == "bd":
         return bd, None
-    if prec in ("apriori", "deflation"):
+    if prec == "ones":
+        z = precond.ones(len(op.pixels), op.s)
+    elif prec in ("apriori", "deflation"):
         z = precond.a_priori(op.hits()[1], op.s)
         z = z if rank is None or rank >= z.shape[1] else precond.merge_columns(z, rank)
     elif prec == "aposteriori":
@@ -53,7 +56,7 @@ def build(op: NormalOperator, prec: str, rank: int | None = None, eps_tol: float
             return bd, None
     else:
         raise ValueError(f"unknown preconditioner {prec!r}")
-    coarse = precond.Coarse(z, op.apply_many(z, sparse=prec == "apriori"))
+    coarse = precond.Coarse(z, op.apply_many(z, sparse=prec in ("apriori", "deflation")))
     if prec == "deflation":
         return precond.identity(), coarse
     return precond.two_level(bd, coarse, variant), coarse
@@ -101,25 +104,129 @@ def solve_many(op: NormalOperator, prec_fn, bs: np.ndarray, tol: float = 1e-6, m
     return x, took
 
 
-def distributed_cg(op: DistributedOperator, tol: float = 1e-8, max_iter: int = 200) -> tuple[DataFrame, list[float]]:
-    """Intensity CG with the standard preconditioner where every vector is a table; lineage is cut each iteration."""
-    diag = {k: op.model.diag(k) for k in op.model.kernels}
-    w0 = F.create_map(*(F.lit(x) for kv in diag.items() for x in kv))
-    hits = op.blocks.select(w0[F.col("noise_id")].alias("w"), F.explode(F.expr("transform(slice(lpix, core_lo + 1, core_hi - core_lo), l -> element_at(upix, l + 1))")).alias("pix"))
-    bd = cut(hits.groupBy("pix").agg((1 / F.sum("w")).alias("m")))
-    b = op.rhs().withColumnRenamed("v0", "b")
-    state = cut(b.join(bd, "pix").select("pix", "m", F.lit(0.0).alias("x"), F.col("b").alias("r"), (F.col("m") * F.col("b")).alias("p")))
-    first = state.agg(F.sum(F.col("r") * F.col("r")).alias("rr"), F.sum(F.col("r") * F.col("m") * F.col("r")).alias("rz")).first()
+class Tables:
+    """The preconditioner as tables by pixel: inverse Stokes blocks, and for the two-level form the rows of Z and A Z with E^-1 on the driver.
+
+    Z and A Z are never on the driver; of size rank are only Z'r and the coarse solution, and of its square E. ``rank`` is therefore bounded."""
+
+    MOST = 4096
+
+    def __init__(self, op: DistributedOperator, rank: int = 0):
+        if rank > self.MOST:
+            raise ValueError(f"a coarse space of {rank} columns; at most {self.MOST} have E on the driver")
+        self.op, self.s, self.r, self.rank_dropped = op, op.s, rank, 0
+        self.inverse = None
+        blocks = self._blocks()
+        if not rank:
+            self.rows = cut(blocks)
+            return
+        z = cut(op.a_priori(rank))
+        az = cut(op.apply_coarse(z))
+        cells = z.select("pix", F.col("col").alias("i"), "z").join(az.select("pix", F.col("col").alias("j"), F.col("v0").alias("a")), "pix")
+        e = np.zeros((rank, rank))
+        for c in cells.groupBy("i", "j").agg(F.sum(F.col("z") * F.col("a")).alias("v")).collect():  # rank * rank cells
+            e[c["i"], c["j"]] = c["v"]
+        d, v = np.linalg.eigh((e + e.T) / 2)
+        keep = d > 1e-12 * d.max()
+        self.rank_dropped, self.inverse, self.e = int((~keep).sum()), (v[:, keep] / d[keep]) @ v[:, keep].T, e
+        zs = z.groupBy("pix").agg(F.sort_array(F.collect_list(F.struct("col", "z"))).alias("z")).select("pix", F.col("z.col").alias("zc"), F.col("z.z").alias("zv"))
+        azs = az.groupBy("pix").agg(F.sort_array(F.collect_list(F.struct("col", *op.names))).alias("a")).select("pix", F.col("a.col").alias("ac"), *(F.col(f"a.{n}").alias(f"a{i}") for i, n in enumerate(op.names)))
+        self.rows = cut(blocks.join(zs, "pix").join(azs, "pix"))
+
+    def _blocks(self) -> DataFrame:
+        """(pix, b): the inverse of each pixel's block of P' diag(W) P, row by row."""
+        op, s = self.op, self.s
+        if s == 1:
+            w0 = F.create_map(*(F.lit(x) for k in op.model.kernels for x in (k, op.model.diag(k))))
+            from skyweave.operators.system import core_pixels
+
+            hits = op.blocks.select(w0[F.col("noise_id")].alias("w"), F.explode(core_pixels()).alias("pix"))
+            return hits.groupBy("pix").agg(F.array(1 / F.sum("w")).alias("b"))
+        cells = op.diagonal_cells()
+
+        def run(batches):
+            for b in batches:
+                m = np.stack([b.column(1 + k).to_numpy() for k in range(s * s)], axis=1).reshape(-1, s, s)
+                inv = precond.BlockDiagonal(m).inverse.reshape(len(m), s * s) if len(m) else m.reshape(0, s * s)
+                yield pa.record_batch([b.column(0), pa.array(list(inv), pa.list_(pa.float64()))], names=["pix", "b"])
+
+        return cells.mapInArrow(run, "pix long, b array<double>")
+
+    def apply(self, r: DataFrame, names: list[str]) -> DataFrame:
+        """The columns of r (pix, ``names``.., others) with m0.. = M r added."""
+        s, inverse = self.s, self.inverse
+        met = r.join(self.rows, "pix")
+        if inverse is not None:
+            dots = met.select(F.explode(F.arrays_zip("zc", "zv")).alias("x"), names[0]).groupBy("x.zc").agg(F.sum(F.col("x.zv") * F.col(names[0])).alias("v")).collect()  # rank numbers
+            zr = np.zeros(self.r)
+            for c in dots:
+                zr[c["zc"]] = c["v"]
+            c = inverse @ zr
+            coefficients = F.array(*map(F.lit, c.tolist()))
+            take = lambda cols, vals: F.aggregate(F.zip_with(cols, vals, lambda i, v: v * F.element_at(coefficients, i + 1)), F.lit(0.0), lambda t, x: t + x)
+            met = met.withColumns({f"_u{i}": F.col(names[i]) - take(F.col("ac"), F.col(f"a{i}")) for i in range(s)} | {"_zc": take(F.col("zc"), F.col("zv"))})
+        else:
+            met = met.withColumns({f"_u{i}": F.col(names[i]) for i in range(s)} | {"_zc": F.lit(0.0)})
+        out = {f"m{i}": sum((F.col("b")[i * s + j] * F.col(f"_u{j}") for j in range(s)), F.col("_zc") if i == 0 else F.lit(0.0)) for i in range(s)}
+        return met.select(*r.columns, *(v.alias(k) for k, v in out.items()))
+
+
+def distributed_cg(op: DistributedOperator, tol: float = 1e-8, max_iter: int = 200, rank: int = 0) -> tuple[DataFrame, list[float]]:
+    """CG where every vector is a table by pixel, with the standard preconditioner, or with ``rank`` a-priori columns the two-level one (def1); lineage is cut each iteration.
+    The step uses the difference of residuals, as that preconditioner is not symmetric."""
+    s, m = op.s, Tables(op, rank)
+    ix, ir, ip, iq = ([f"{c}{i}" for i in range(s)] for c in "xrpq")
+    im = [f"m{i}" for i in range(s)]
+    dot = lambda a, b: F.sum(sum((F.col(x) * F.col(y) for x, y in zip(a, b)), F.lit(0.0)))
+    b = op.rhs().select("pix", *(F.col(f"v{i}").alias(f"r{i}") for i in range(s)))
+    state = cut(m.apply(cut(b.withColumns({x: F.lit(0.0) for x in ix})), ir).withColumns({p: F.col(z) for p, z in zip(ip, im)}))
+    first = state.agg(dot(ir, ir).alias("rr"), dot(ir, im).alias("rz")).first()
     norm, rz, history = math.sqrt(first["rr"] or 0.0), first["rz"], [1.0]
     while norm > 0 and history[-1] > tol and len(history) <= max_iter:
-        q = cut(state.join(op.apply(state.select("pix", F.col("p").alias("v0"))).withColumnRenamed("v0", "q"), "pix"))
-        alpha = rz / q.agg(F.sum(F.col("p") * F.col("q"))).first()[0]
-        step = cut(q.withColumns({"x": F.col("x") + alpha * F.col("p"), "r": F.col("r") - alpha * F.col("q")}).drop("q"))
-        got = step.agg(F.sum(F.col("r") * F.col("r")).alias("rr"), F.sum(F.col("r") * F.col("m") * F.col("r")).alias("rz")).first()
+        q = op.apply(state.select("pix", *(F.col(p).alias(f"v{i}") for i, p in enumerate(ip)))).select("pix", *(F.col(f"v{i}").alias(x) for i, x in enumerate(iq)))
+        met = cut(state.select("pix", *ix, *ir, *ip, *im).join(q, "pix"))
+        pq = met.agg(dot(ip, iq)).first()[0]
+        if pq <= 0 or rz <= 0:
+            raise krylov.NonConvergence(f"iteration {len(history)}: p'Ap = {pq:.3g}, r'z = {rz:.3g}", history)
+        alpha = rz / pq
+        moved = met.select("pix", *((F.col(x) + alpha * F.col(p)).alias(x) for x, p in zip(ix, ip)), *((F.col(r) - alpha * F.col(v)).alias(r) for r, v in zip(ir, iq)), *ip, *(F.col(r).alias(f"o{i}") for i, r in enumerate(ir)))
+        new = cut(m.apply(cut(moved) if rank else moved, ir))
+        got = new.agg(dot(ir, ir).alias("rr"), dot(ir, im).alias("rz"), dot([f"o{i}" for i in range(s)], im).alias("oz")).first()
         history.append(math.sqrt(got["rr"]) / norm)
-        state = step.withColumn("p", F.col("m") * F.col("r") + got["rz"] / rz * F.col("p"))
+        step = (got["rz"] - got["oz"]) / rz
+        state = new.select("pix", *ix, *ir, *im, *((F.col(z) + step * F.col(p)).alias(p) for z, p in zip(im, ip)))
         rz = got["rz"]
-    return state.select("pix", F.col("x").alias("i")), history
+    return state.select("pix", *(F.col(x).alias(n) for x, n in zip(ix, "iqu"))), history
+
+
+def solve_map(tod: DataFrame, model, nstokes: int = 1, prec: str = "bd", rank: int | None = None, tol: float = 1e-6, budget: int | None = None, length: int = 1 << 20) -> DataFrame:
+    """The map by vectors on the driver where they and the coarse space fit ``budget`` bytes, and by tables beyond (bd or apriori)."""
+    from skyweave.operators.pointing import pointed
+    from skyweave.plans import strategy
+
+    n = pointed(tod).select("pix").distinct().count()
+    k = tod.select("interval_id").distinct().count() if prec == "apriori" else 0
+    r = min(k, rank or k)
+    plan = strategy.choose(n, nstokes, 2 * r, budget or strategy.BROADCAST_BUDGET)
+    if plan.kind == "broadcast":
+        return make_map(tod, model, nstokes, prec, tol, rank=rank, length=length).map()
+    if prec not in ("bd", "apriori"):
+        raise ValueError(f"{prec!r} needs vectors on the driver; {plan.explain()}")
+    return distributed_cg(DistributedOperator(tod, model, nstokes, length), tol, 2000, min(r, Tables.MOST))[0]
+
+
+def scaling(spark, tod, model, circles: list[int], tasks: list[int], prec: str = "bd", nstokes: int = 1, tol: float = 1e-6, **how) -> list[tuple]:
+    """(circles, tasks, samples, iterations, build seconds, solve seconds, seconds an iteration) of solves of ``tod(n)``, n circles dealt to so many tasks:
+    weak scaling where both grow together, strong where the circles stay."""
+    out = []
+    for n, t in zip(circles, tasks):
+        op = NormalOperator(tod(n), model, nstokes, tasks=t)
+        b = op.rhs()  # packs the blocks, too
+        run = make_map(None, None, nstokes, prec, tol, op=op, b=b, strict=False, **how)
+        samples = op.blocks.agg(F.sum(F.col("core_hi") - F.col("core_lo"))).first()[0]
+        out.append((n, t, int(samples), run.solution.iterations, run.build_s, run.solve_s, run.solve_s / max(1, run.solution.iterations)))
+        op.close()
+    return out
 
 
 # ---- measures ----
@@ -143,17 +250,29 @@ def speedups(standard: Run, other: Run, n_rhs: int = 1) -> dict[str, float]:
 
 
 def breakdown(op: NormalOperator, coarse: precond.Coarse | None, bd, n: int = 3) -> dict[str, float]:
-    """Seconds per application of the steps of an iteration."""
+    """Seconds per application of the steps of an iteration: the whole product, of it noise weighting (timed in its tasks, summed over them and spread over the cores) and what is
+    left for expanding, accumulating and reducing; the standard preconditioner, E's solve and the products with Z and A Z."""
     r = np.random.default_rng(0).standard_normal(op.n)
     out = {}
-    for name, f in {"product": lambda: op.apply(r), "standard": lambda: bd(r), **({"coarse_solve": lambda: coarse.inverse @ r[: coarse.inverse.shape[0]], "coarse_products": lambda: coarse.az @ (coarse.z.T @ r)} if coarse else {})}.items():
+    steps = {"product": lambda: op.apply(r), "standard": lambda: bd(r)}
+    if coarse:
+        steps |= {"coarse_solve": lambda: coarse.inverse @ r[: coarse.inverse.shape[0]], "coarse_products": lambda: coarse.az @ (coarse.z.T @ r)}
+    for name, f in steps.items():
         t = time.perf_counter()
         for _ in range(n):
             f()
         out[name] = (time.perf_counter() - t) / n
+    cores = min(op.tasks, op.spark.sparkContext.defaultParallelism)
+    out["noise_weighting"] = min(out["product"], op.weighting_seconds() / cores)
+    out["accumulate_reduce"] = out["product"] - out["noise_weighting"]
     return out
 
 
+def variance_by_pixel(maps: np.ndarray) -> np.ndarray:
+    """Variance over realisations (columns) of each pixel."""
+    return maps.var(axis=1)
+
+
 def dense(op: NormalOperator) -> np.ndarray:
     """The system matrix column block by column block (small systems)."""
     return np.concatenate([op.apply_many(np.eye(op.n)[:, lo : lo + 256]) for lo in range(0, op.n, 256)], axis=1)

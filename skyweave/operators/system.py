@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -15,13 +15,16 @@ from skyweave.sources.tables import require_columns
 BLOCK = "interval_id long, chunk long, t0 long, core_lo int, core_hi int, noise_id int, upix array<long>, lpix array<int>, phi array<double>, d array<double>"
 #: Bytes of all partial maps of a product that may be summed on the driver.
 SMALL = 32 << 20
+#: Columns of a block that are weighted together.
+COLUMNS = 32
 _NAMES = ["interval_id", "chunk", "t0", "core_lo", "core_hi", "noise_id", "upix", "lpix", "phi", "d"]
 
 
 def pack(tod: DataFrame, halo: int | None, length: int = 1 << 20) -> DataFrame:
     """One row per chunk of an interval: its samples in time order with ``halo`` more on both sides (exact for a band no wider).
 
-    t must be gapless within an interval. halo None keeps intervals whole. Groups hold at most length + 2 * halo samples."""
+    t must be gapless within an interval; a slot without pointing (pix < 0, as pixel_cut leaves it) keeps its place in time, sees no pixel and has no data.
+    halo None keeps intervals whole. Groups hold at most length + 2 * halo samples."""
     require_columns(tod, "interval_id", "t", "pix", "phi", "d", "noise_id")
     if halo is None:
         each = tod.withColumn("chunk", F.lit(0).cast("long"))
@@ -41,9 +44,15 @@ def pack(tod: DataFrame, halo: int | None, length: int = 1 << 20) -> DataFrame:
                 if lo >= hi:
                     continue  # only a halo
                 if t[-1] - t[0] != len(t) - 1:
-                    raise ValueError(f"interval {interval} has gaps or repeats in t; use reindex() or fill them")
-                u, l = np.unique(pix, return_inverse=True)
-                for n, v in zip(_NAMES, (interval, chunk, int(t[0]), lo, hi, noise, u, l.astype(np.int32), np.nan_to_num(phi.astype(float)), d)):
+                    raise ValueError(f"interval {interval} has gaps or repeats in t; use fill_gaps() or reindex()")
+                blind = pix < 0
+                u, l = np.unique(pix[~blind], return_inverse=True)
+                if not len(u):
+                    continue
+                local = np.zeros(len(pix), np.int32)
+                local[~blind] = l
+                angle = np.where(blind, np.inf, np.nan_to_num(phi.astype(float)))  # marks the slot
+                for n, v in zip(_NAMES, (interval, chunk, int(t[0]), lo, hi, noise, u, local, angle, np.where(blind, 0.0, d.astype(float)))):
                     out[n].append(v)
             types = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.float64()), pa.list_(pa.float64()))
             yield pa.record_batch([pa.array(out[n], t) for n, t in zip(_NAMES, types)], names=_NAMES)
@@ -61,7 +70,15 @@ def load(spark, path: str, intervals: int | None = None) -> DataFrame:
 
 
 def response(phi: np.ndarray, nstokes: int) -> np.ndarray:
-    return np.ones((1, len(phi))) if nstokes == 1 else np.stack((np.ones_like(phi), np.cos(2 * phi), np.sin(2 * phi)))
+    """Rows of P without their pixel; zero at slots without pointing."""
+    seen = np.isfinite(phi)
+    a = np.where(seen, phi, 0.0)
+    return seen[None, :].astype(float) if nstokes == 1 else np.stack((np.ones_like(a), np.cos(2 * a), np.sin(2 * a))) * seen
+
+
+def core_pixels() -> Column:
+    """Pixels of the samples of a block's own part."""
+    return F.expr("transform(filter(sequence(core_lo, core_hi - 1), i -> phi[i] < double('Infinity')), i -> upix[lpix[i]])")
 
 
 def _list(b, i, k):
@@ -74,13 +91,15 @@ class NormalOperator:
     Each product is one job: the vectors are broadcast, every task gathers, weights and sums all its blocks into one partial map,
     and partial maps are summed by pixel in one shuffle."""
 
-    def __init__(self, tod: DataFrame, model, nstokes: int = 1, length: int = 1 << 20, budget: int = strategy.BROADCAST_BUDGET):
+    def __init__(self, tod: DataFrame, model, nstokes: int = 1, length: int = 1 << 20, budget: int = strategy.BROADCAST_BUDGET, rank: int = 0, tasks: int | None = None):
+        """``rank`` columns of a coarse space are counted into the size of the vectors; ``tasks`` fixes how many work on a product."""
         self.spark, self.model, self.s = tod.sparkSession, model, nstokes
-        self.blocks = pack(tod, model.halo, length).persist(StorageLevel.MEMORY_AND_DISK)
+        packed = pack(tod, model.halo, length)
+        self.blocks = (packed.repartition(tasks, "interval_id", "chunk") if tasks else packed).persist(StorageLevel.MEMORY_AND_DISK)
         seen = self.blocks.select(F.explode("upix").alias("pix")).distinct()
         n = seen.count()
         self.tasks = self.blocks.rdd.getNumPartitions()
-        self.plan = strategy.choose(n, nstokes, budget=budget)
+        self.plan = strategy.choose(n, nstokes, rank, budget)
         if self.plan.kind != "broadcast":
             raise ValueError(f"{self.plan.explain()}: use DistributedOperator")
         self.pixels = np.array(sorted(r[0] for r in seen.collect()), np.int64)
@@ -103,31 +122,30 @@ class NormalOperator:
 
         def run(batches):
             pixels, x = shared.value
-            total = np.zeros((n * s, width))
+            total: dict[int, np.ndarray] = {}  # of the columns that the task's blocks touch
             for b in batches:
                 for k in range(b.num_rows):
                     lo, hi, noise = (b.column(i)[k].as_py() for i in (3, 4, 5))
                     at = np.searchsorted(pixels, _list(b, 6, k))
                     local, r = _list(b, 7, k), response(_list(b, 8, k), s)
                     cols = np.arange(width)
-                    if x is None:
-                        y = _list(b, 9, k)[None, :]
-                    else:
+                    if x is not None:
                         own = x[at]
                         if sparse:  # only columns that are not zero on this block's pixels
                             cols = np.flatnonzero(np.abs(own).sum(axis=(0, 1)))
-                            if not len(cols):
-                                continue
-                            own = own[:, :, cols]
-                        y = np.einsum("sn,nsr->rn", r, own[local])
-                    z = model.weight(noise, y)[:, lo:hi]
                     where = at[local[lo:hi]]
-                    for i in range(s):
-                        for j, c in enumerate(cols):
-                            total[i::s, c] += np.bincount(where, z[j] * r[i, lo:hi], n)
-            hit = np.flatnonzero(np.abs(total).sum(axis=1))
-            k = np.repeat(hit * width, width) + np.tile(np.arange(width), len(hit))
-            yield pa.record_batch([pa.array(k, pa.int64()), pa.array(total[hit].ravel())], names=["k", "v"])
+                    for first in range(0, len(cols), COLUMNS):
+                        some = cols[first : first + COLUMNS]
+                        y = _list(b, 9, k)[None, :] if x is None else np.einsum("sn,nsr->rn", r, own[:, :, some][local])
+                        z = model.weight(noise, y)[:, lo:hi]
+                        for j, c in enumerate(some.tolist()):
+                            if c not in total:
+                                total[c] = np.zeros(n * s)
+                            for i in range(s):
+                                total[c][i::s] += np.bincount(where, z[j] * r[i, lo:hi], n)
+            for c, v in total.items():
+                hit = np.flatnonzero(v)
+                yield pa.record_batch([pa.array(hit * width + c, pa.int64()), pa.array(v[hit])], names=["k", "v"])
 
         out = self._summed(run, n * s * width)
         shared.destroy()
@@ -164,9 +182,24 @@ class NormalOperator:
 
         return self._summed(run, len(pixels) * s * s).reshape(-1, s, s)
 
+    def weighting_seconds(self) -> float:
+        """Seconds of noise weighting in one product, over all tasks."""
+        model = self.model
+
+        def run(batches):
+            import time
+
+            for b in batches:
+                t = time.perf_counter()
+                for k in range(b.num_rows):
+                    model.weight(b.column(5)[k].as_py(), _list(b, 9, k)[None, :])
+                yield pa.record_batch([pa.array([time.perf_counter() - t])], names=["s"])
+
+        return self.blocks.mapInArrow(run, "s double").agg(F.sum("s")).first()[0] or 0.0
+
     def hits(self) -> tuple[np.ndarray, np.ndarray]:
         """(interval ids, (n_pix, K) hits)."""
-        got = self.blocks.select("interval_id", F.explode(F.expr("transform(slice(lpix, core_lo + 1, core_hi - core_lo), l -> element_at(upix, l + 1))")).alias("pix")).groupBy("interval_id", "pix").count().toArrow()
+        got = self.blocks.select("interval_id", F.explode(core_pixels()).alias("pix")).groupBy("interval_id", "pix").count().toArrow()
         interval, at = np.unique(got.column("interval_id").to_numpy(), return_inverse=True)
         h = np.zeros((len(self.pixels), len(interval)))
         h[np.searchsorted(self.pixels, got.column("pix").to_numpy()), at] = got.column("count").to_numpy()
@@ -215,6 +248,52 @@ class DistributedOperator:
         own = self.lists.join(x, "pix").groupBy("interval_id", "chunk").agg(F.sort_array(F.collect_list(F.struct("at", *self.names))).alias("x"))
         return self._run(self.blocks.join(own, ["interval_id", "chunk"]).select(*_NAMES, *(F.col(f"x.{n}").alias(f"x_{n}") for n in self.names)), False)
 
+    def a_priori(self, rank: int) -> DataFrame:
+        """(pix, col, z): a pixel's share of hits by interval, intervals dealt to ``rank`` columns; intensity rows alone are not zero."""
+        hits = self.blocks.select((F.pmod("interval_id", F.lit(rank))).cast("int").alias("col"), F.explode(core_pixels()).alias("pix")).groupBy("pix", "col").agg(F.count("*").alias("n"))
+        return hits.join(hits.groupBy("pix").agg(F.sum("n").alias("all")), "pix").select("pix", "col", (F.col("n") / F.col("all")).alias("z"))
+
+    def diagonal_cells(self) -> DataFrame:
+        """(pix, c0..): the cells of each pixel's block of P' diag(W) P, row by row."""
+        s, model, names = self.s, self.model, [f"c{k}" for k in range(self.s * self.s)]
+
+        def run(batches):
+            for b in batches:
+                for k in range(b.num_rows):
+                    lo, hi, noise = (b.column(i)[k].as_py() for i in (3, 4, 5))
+                    u, local, r = _list(b, 6, k), _list(b, 7, k)[lo:hi], response(_list(b, 8, k)[lo:hi], s)
+                    cells = [model.diag(noise) * np.bincount(local, r[i] * r[j], len(u)) for i in range(s) for j in range(s)]
+                    yield pa.record_batch([pa.array(u), *map(pa.array, cells)], names=["pix", *names])
+
+        made = self.blocks.select(*_NAMES).mapInArrow(run, ", ".join(["pix long", *(f"{n} double" for n in names)]))
+        return made.groupBy("pix").agg(*(F.sum(n).alias(n) for n in names))
+
+    def apply_coarse(self, z: DataFrame) -> DataFrame:
+        """A Z as (pix, col, v0..) for Z as (pix, col, z): every block gets the columns of its own pixels alone, some at a time."""
+        s, model, names = self.s, self.model, self.names
+        own = self.lists.join(z, "pix").groupBy("interval_id", "chunk").agg(F.collect_list(F.struct("at", "col", "z")).alias("x"))
+        fed = self.blocks.join(own, ["interval_id", "chunk"]).select(*_NAMES, *(F.col(f"x.{n}").alias(f"x_{n}") for n in ("at", "col", "z")))
+
+        def run(batches):
+            for b in batches:
+                for k in range(b.num_rows):
+                    lo, hi, noise = (b.column(i)[k].as_py() for i in (3, 4, 5))
+                    u, local, r = _list(b, 6, k), _list(b, 7, k), response(_list(b, 8, k), s)
+                    at, col, v = (_list(b, i, k) for i in (10, 11, 12))
+                    cols = np.unique(col)
+                    for first in range(0, len(cols), COLUMNS):
+                        some = cols[first : first + COLUMNS]
+                        mine = np.isin(col, some)
+                        x = np.zeros((len(some), len(u)))
+                        x[np.searchsorted(some, col[mine]), at[mine]] = v[mine]
+                        w = model.weight(noise, x[:, local] * r[0])[:, lo:hi]
+                        for j, c in enumerate(some.tolist()):
+                            out = [np.bincount(local[lo:hi], w[j] * r[i, lo:hi], len(u)) for i in range(s)]
+                            yield pa.record_batch([pa.array(u), pa.array(np.full(len(u), c, np.int32)), *map(pa.array, out)], names=["pix", "col", *names])
+
+        made = fed.mapInArrow(run, ", ".join(["pix long", "col int", *(f"{n} double" for n in names)]))
+        return made.groupBy("pix", "col").agg(*(F.sum(n).alias(n) for n in names))
+
     def rhs(self) -> DataFrame:
         return self._run(self.blocks.select(*_NAMES), True)
 
