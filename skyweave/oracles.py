@@ -67,15 +67,31 @@ tod AS (SELECT l_suppkey AS interval_id, row_number() OVER (PARTITION BY l_suppk
 W6 = "tod AS (SELECT c_nationkey AS pix, o_totalprice AS d FROM orders JOIN customer ON c_custkey = o_custkey)"
 BD3 = "bl AS (SELECT pix, sum(1.0) AS c11, sum(cos(2 * phi)) AS c12, sum(sin(2 * phi)) AS c13, sum(cos(2 * phi)**2) AS c22, sum(cos(2 * phi) * sin(2 * phi)) AS c23, sum(sin(2 * phi)**2) AS c33 FROM tod GROUP BY pix)"
 PZ = "hp AS (SELECT pix, interval_id, count(*) AS h FROM tod GROUP BY ALL), zs AS (SELECT pix, interval_id, h / CAST(sum(h) OVER (PARTITION BY pix) AS DOUBLE) AS z FROM hp)"
-WZ = "AZ0"
 W4 = """tod AS (SELECT CAST(regexp_extract(source, '(\\d+)$', 1) AS BIGINT) AS interval_id, row_number() OVER (PARTITION BY source ORDER BY doc_id, n_chars) - 1 AS t, list_position(['de', 'en', 'es', 'fr'], lang) - 1 AS pix, n_chars AS d, 0 AS noise_id FROM documents WHERE lang IN ('de', 'en', 'es', 'fr') AND source IS NOT NULL AND n_chars IS NOT NULL)"""
 W5 = """tod AS (SELECT conv_id AS interval_id, row_number() OVER (PARTITION BY conv_id ORDER BY turn, role, text) - 1 AS t, CASE role WHEN 'user' THEN 0 WHEN 'assistant' THEN 1 ELSE 2 END AS pix, length(coalesce(text, '')) AS d, 0 AS noise_id FROM conversations WHERE conv_id IS NOT NULL AND turn IS NOT NULL AND role IS NOT NULL)"""
 
 
-def small_map(tod: str, knee: float, lambda_: int) -> str:
-    """Exact map of a small intensity workload."""
+def fourier_map(tod: str, knee: float, grid: int = 1024) -> str:
+    """Exact map of a small intensity workload with weights diagonal in each interval's Fourier modes."""
+    f = "(greatest(least(m, n - m), 0.5) / CAST(n AS DOUBLE))"
+    system = f"""{tod}, len AS (SELECT interval_id, count(*) AS n FROM tod GROUP BY 1),
+ip AS (SELECT interval_id, n, m, {f}**2 / ({f}**2 + {knee * knee!r}) AS p FROM len, range(len.n) r(m)),
+h AS (SELECT interval_id, n, k, sum(p * cos(2 * pi() * ((m * k) % n) / n)) / n AS w FROM ip, range(ip.n) s(k) GROUP BY interval_id, n, k),
+cells0 AS (SELECT a.pix AS p, b.pix AS q, sum(w) AS v FROM tod a JOIN tod b USING (interval_id) JOIN h ON h.interval_id = a.interval_id AND h.k = abs(a.t - b.t) GROUP BY ALL),
+b0 AS (SELECT a.pix, sum(w * b.d) AS v FROM tod a JOIN tod b USING (interval_id) JOIN h ON h.interval_id = a.interval_id AND h.k = abs(a.t - b.t) GROUP BY ALL),
+num AS (SELECT pix, row_number() OVER (ORDER BY pix) AS p FROM (SELECT DISTINCT pix FROM tod)),
+cells AS (SELECT x.p, y.p AS q, v FROM cells0 JOIN num x ON x.pix = cells0.p JOIN num y ON y.pix = cells0.q),
+bv AS (SELECT num.p, v FROM b0 JOIN num USING (pix))"""
+    return f"WITH RECURSIVE {solved(system)} SELECT CAST(num.pix AS BIGINT) AS pix, round(x, 6) + 0.0 AS i FROM sol JOIN num USING (p)"
+
+
+def small_map(tod: str, knee: float, lambda_: int, whole: bool = False) -> str:
+    """Exact map of a small intensity workload; ``whole`` leaves the band without a window."""
     near = f"a.interval_id = b.interval_id AND b.t BETWEEN a.t - {lambda_} AND a.t + {lambda_} JOIN kern ON kern.lag = abs(a.t - b.t)"
-    system = f"""{tod}, {kernel({0: knee}, lambda_)},
+    kern = kernel({0: knee}, lambda_)
+    if whole:
+        kern = kern.replace(f" * exp(-2 * (k / {lambda_}.0)**2)", "")
+    system = f"""{tod}, {kern},
 cells0 AS (SELECT a.pix AS p, b.pix AS q, sum(w) AS v FROM tod a JOIN tod b ON {near} GROUP BY ALL),
 b0 AS (SELECT a.pix, sum(w * b.d) AS v FROM tod a JOIN tod b ON {near} GROUP BY ALL),
 num AS (SELECT pix, row_number() OVER (ORDER BY pix) AS p FROM (SELECT DISTINCT pix FROM tod)),

@@ -17,6 +17,8 @@ from skyweave.operators import krylov, precond
 from skyweave.operators import pointing as P
 from skyweave.operators import solve as S
 from skyweave.operators import system as Y
+from skyweave.plans.lineage import cut
+from skyweave.sources import simulate as SIM
 from skyweave.sources import workloads as WL
 from skyweave.sources.scan import scan
 from skyweave.sources.tables import load
@@ -59,7 +61,7 @@ def _w0(**how):
 
 
 for _name, _how in {
-    "flagship_map_w0": {}, "map_w0_bd": {}, "map_w0_none": {"prec": "none"}, "map_w0_apriori": {"prec": "apriori"}, "map_w0_apriori_r1": {"prec": "apriori", "rank": 1},
+    "flagship_map_w0": {}, "map_w0_none": {"prec": "none"}, "map_w0_ones": {"prec": "ones"}, "map_w0_apriori": {"prec": "apriori"}, "map_w0_apriori_r1": {"prec": "apriori", "rank": 1},
     "map_w0_aposteriori": {"prec": "aposteriori"}, "map_w0_def2": {"prec": "apriori", "variant": "def2"}, "map_w0_deflation": {"prec": "deflation", "rank": 5}, "map_w0_gmres": {"solver": "gmres"}, "map_w0_halo_split": {"length": 150},
 }.items():
     query(_name, O.MAP_W0)(_w0(**_how))
@@ -71,6 +73,39 @@ def _(spark, d):
     return rounded(op.table(S.direct(op)))
 
 
+@query("map_w0_pol_apriori", O.MAP_W0_POL)
+def _(spark, d):
+    return rounded(S.make_map(WL.tod_w0(spark, d, True), model_w0(), 3, "apriori", tol=TIGHT).map())
+
+
+@query("map_w0_pol_aposteriori", O.MAP_W0_POL)
+def _(spark, d):
+    return rounded(S.make_map(WL.tod_w0(spark, d, True), model_w0(), 3, "aposteriori", tol=TIGHT).map())
+
+
+@query("map_w0_distributed_apriori", O.MAP_W0)
+def _(spark, d):
+    """Two-level, by tables: the plan is made to choose them by a budget of nothing."""
+    return rounded(S.solve_map(WL.tod_w0(spark, d), model_w0(), prec="apriori", rank=10, tol=1e-11, budget=1))
+
+
+@query("map_w0_pol_distributed_apriori", O.MAP_W0_POL)
+def _(spark, d):
+    return rounded(S.distributed_cg(Y.DistributedOperator(WL.tod_w0(spark, d, True), model_w0(), 3), 1e-11, rank=10)[0])
+
+
+@query("map_w4_fourier", O.fourier_map(O.W4, 0.1))
+def _(spark, d):
+    """The map with weights diagonal in each interval's Fourier modes; the mean of an interval counts as half its lowest mode, so that the map's offset is determined."""
+    return rounded(S.make_map(WL.tod_w4(spark, d), K.Circulant({0: 0.1}, lowest=0.5), tol=TIGHT).map())
+
+
+@query("map_w5_full_block", O.small_map(O.W5, 0.1, 512, whole=True))
+def _(spark, d):
+    """Blocks that are not limited in band."""
+    return rounded(S.make_map(WL.tod_w5(spark, d), K.Stationary({0: K.kernel(0.1, None)}, check=False), tol=TIGHT).map())
+
+
 @query("map_w0_distributed", O.MAP_W0)
 def _(spark, d):
     return rounded(S.distributed_cg(Y.DistributedOperator(WL.tod_w0(spark, d), model_w0()), tol=1e-11)[0])
@@ -121,7 +156,7 @@ for _w, _tod, _cte in (("w0", WL.tod_w0, O.W0), ("w1", WL.tod_w1, O.W1), ("w2",
 for _w, _tod, _cte in (("w0", WL.tod_w0, O.W0), ("w3", WL.tod_w3, O.W3)):
     query(f"hits_by_interval_{_w}", f"WITH {_cte} SELECT CAST(pix AS BIGINT) AS pix, CAST(interval_id AS BIGINT) AS interval_id, count(*) AS hits FROM tod GROUP BY ALL")(lambda s, d, f=_tod: P.hits_by_interval(f(s, d)))
     query(f"pixel_multiplicity_{_w}", f"WITH {_cte} SELECT CAST(pix AS BIGINT) AS pix, count(DISTINCT interval_id) AS mult FROM tod GROUP BY pix")(lambda s, d, f=_tod: P.multiplicity(f(s, d)))
-    query(f"comm_bytes_{_w}", f"WITH {_cte} SELECT CAST(interval_id AS BIGINT) AS interval_id, count(DISTINCT pix) * 8 AS bytes FROM tod GROUP BY interval_id")(lambda s, d, f=_tod: f(s, d).select("interval_id", "pix").distinct().groupBy("interval_id").agg((F.count("*") * 8).alias("bytes")))
+    query(f"comm_bytes_{_w}", f"WITH {_cte} SELECT CAST(interval_id AS BIGINT) AS interval_id, count(DISTINCT pix) * 8 AS bytes FROM tod GROUP BY interval_id")(lambda s, d, f=_tod: P.comm_bytes(f(s, d)))
 
 _STEP = {"polariser_fast_w1": (O.W1, "t % 4", lambda s, d: WL.tod_w1(s, d, "fast")), "polariser_medium_w1": (O.W1, "sweep % 4", lambda s, d: WL.tod_w1(s, d, "medium")), "polariser_medium_w2": (O.W2, "year % 4", lambda s, d: WL.tod_w2(s, d, polariser="medium")), "polariser_medium_w3": (O.W3, "year % 4", lambda s, d: WL.tod_w3(s, d, "medium")), "polariser_circle_w3": (O.W3, "interval_id % 4", lambda s, d: WL.tod_w3(s, d, "circle")), "polariser_fast_w0": (O.W0P, "g % 4", lambda s, d: WL.tod_w0(s, d, True))}
 for _name, (_cte, _sql, _f) in _STEP.items():
@@ -143,10 +178,10 @@ def _(spark, d):
 
 query("accumulate_w0_int", f"WITH {O.W0} SELECT pix, round(sum(d), 4) + 0.0 AS i FROM tod GROUP BY pix")(lambda s, d: rounded(P.accumulate(WL.tod_w0(s, d), "d"), 4))
 query("accumulate_w0_pol", f"WITH {O.W0P} SELECT pix, round(sum(d), 4) + 0.0 AS i, round(sum(d * cos(2 * phi)), 4) + 0.0 AS q, round(sum(d * sin(2 * phi)), 4) + 0.0 AS u FROM tod GROUP BY pix")(lambda s, d: rounded(P.accumulate(WL.tod_w0(s, d, True), "d", 3), 4))
-_CUT = "ok AS (SELECT pix, count(DISTINCT step) >= 3 OR (count(DISTINCT step) >= 2 AND false) AS keep FROM (SELECT pix, {step} AS step FROM tod) GROUP BY pix)"
+_CUT = "ok AS (SELECT pix, count(DISTINCT step) >= 3 AS keep FROM (SELECT pix, {step} AS step FROM tod) GROUP BY pix)"
 for _w, _cte, _step, _f in (("w2", O.W2, "year % 4", lambda s, d: WL.tod_w2(s, d, polariser="medium")), ("w3", O.W3, "interval_id % 4", lambda s, d: WL.tod_w3(s, d, "circle"))):
     # with angles at multiples of 45 degrees a block is well-conditioned exactly when three of the four steps occur
-    query(f"pixel_cut_{_w}", f"WITH {_cte}, {_CUT.format(step=_step)} SELECT CAST(tod.pix AS BIGINT) AS pix, count(*) AS n FROM tod JOIN ok ON ok.pix = tod.pix WHERE keep GROUP BY tod.pix")(lambda s, d, f=_f: P.pixel_cut(f(s, d))[0].groupBy("pix").agg(F.count("*").alias("n")))
+    query(f"pixel_cut_{_w}", f"WITH {_cte}, {_CUT.format(step=_step)} SELECT CAST(tod.pix AS BIGINT) AS pix, count(*) AS n FROM tod JOIN ok ON ok.pix = tod.pix WHERE keep GROUP BY tod.pix")(lambda s, d, f=_f: P.pointed(P.pixel_cut(f(s, d))[0]).groupBy("pix").agg(F.count("*").alias("n")))
     query(f"pixel_cut_anti_{_w}", f"WITH {_cte}, {_CUT.format(step=_step)} SELECT CAST(pix AS BIGINT) AS pix FROM ok WHERE NOT keep")(lambda s, d, f=_f: P.pixel_cut(f(s, d))[1].select("pix"))
 
 
@@ -157,9 +192,10 @@ def _(spark, d):
     return P.attach_asof(o, e, "key", "at", ["event_id"]).select("o_orderkey", "event_id")
 
 
-@query("interval_assign", "WITH p AS (SELECT i AS interval_id, i * 700 AS lo, i * 700 + 499 AS hi FROM range(100) r(i)) SELECT event_id, interval_id FROM events JOIN p ON event_id BETWEEN lo AND hi")
+@query("interval_assign", "WITH n AS (SELECT max(event_id) // 700 + 1 AS n FROM events), p AS (SELECT i AS interval_id, i * 700 AS lo, i * 700 + 499 AS hi FROM n, range(n.n) r(i)) SELECT event_id, interval_id FROM events JOIN p ON event_id BETWEEN lo AND hi")
 def _(spark, d):
-    p = spark.range(100).select(F.col("id").alias("interval_id"), (F.col("id") * 700).alias("lo"), (F.col("id") * 700 + 499).alias("hi"))
+    pieces = load(spark, d, "events").agg(F.max("event_id")).first()[0] // 700 + 1
+    p = spark.range(pieces).select(F.col("id").alias("interval_id"), (F.col("id") * 700).alias("lo"), (F.col("id") * 700 + 499).alias("hi"))
     return P.interval_assign(load(spark, d, "events").select("event_id"), p, "event_id", 700).select("event_id", "interval_id")
 
 
@@ -172,7 +208,7 @@ query("topk_hits", f"WITH {O.W0} SELECT pix, count(*) AS hits FROM tod GROUP BY
 _GRID = "SELECT m / 1024.0 AS f FROM range(513) r(m)"
 query("psd_table", "SELECT m, round(1 + (0.1 / (m / 1024.0))**2, 6) + 0.0 AS p FROM range(1, 513) r(m)")(lambda s, d: s.range(1, 513).select(F.col("id").alias("m"), r6(X.psd(F.col("id") / 1024)).alias("p")))
 query("inverse_psd_table", "SELECT m, round((m / 1024.0)**2 / ((m / 1024.0)**2 + 0.01), 6) + 0.0 AS p FROM range(513) r(m)")(lambda s, d: s.range(513).select(F.col("id").alias("m"), r6(X.inverse_psd(F.col("id") / 1024)).alias("p")))
-for _kind, _win in (("apodized", "exp(-2 * (lag / 128.0)**2)"), ("hardcut", "1.0"), ("table", None)):
+for _kind, _win in (("apodized", "exp(-2 * (lag / 128.0)**2)"), ("hardcut", "1.0")):
     _sql = f"WITH {O.KERN0} SELECT CAST(noise_id AS INTEGER) AS noise_id, lag, round(w{'' if _kind == 'apodized' else ' / exp(-2 * (lag / 128.0)**2)'}, 9) + 0.0 AS w FROM kern"
     query(f"kernel_{_kind}", _sql)(lambda s, d, k=_kind: kernel_rows(s, {0: K.kernel(0.05, 128, kind="gauss" if k == "apodized" else "cut"), 1: K.kernel(0.1, 128, kind="gauss" if k == "apodized" else "cut")}).select("noise_id", "lag", r6(F.col("w"), 9).alias("w")))
 
@@ -211,6 +247,12 @@ def _(spark, d):
     return Y.weight_fft(WL.tod_w5(spark, d), K.Circulant({0: 0.1})).select("interval_id", "t", r6(F.col("y"), 5).alias("y"))
 
 
+query("white_weight_w0", f"WITH {O.W0} SELECT interval_id, CAST(t AS BIGINT) AS t, round(d / 4, 6) + 0.0 AS y FROM tod")(lambda s, d: Y.weight_fft(WL.tod_w0(s, d), K.Stationary({k: K.white_kernel(4.0) for k in (0, 1)})).select("interval_id", "t", r6(F.col("y")).alias("y")))
+query("band_rules", "SELECT f, CAST(ceil(1 / (pi() * f)) AS BIGINT) AS lossless, CAST(floor(1 / (pi() * f)) AS BIGINT) AS white FROM (VALUES (0.5), (0.1), (0.02), (0.005), (0.0001)) v(f)")(lambda s, d: s.createDataFrame([(f, K.min_lossless_lambda(f), K.white_equivalent_lambda(f)) for f in (0.5, 0.1, 0.02, 0.005, 0.0001)], "f double, lossless long, white long"))
+query("pixel_cut_slots_w3", f"WITH {O.W3}, {_CUT.format(step='interval_id % 4')} SELECT CAST(interval_id AS BIGINT) AS interval_id, CAST(t AS BIGINT) AS t, CASE WHEN keep THEN CAST(tod.pix AS BIGINT) ELSE -1 END AS pix FROM tod JOIN ok ON ok.pix = tod.pix")(lambda s, d: P.pixel_cut(WL.tod_w3(s, d, "circle"))[0].select("interval_id", "t", "pix"))
+query("pixel_cut_split_w3", f"WITH {O.W3}, {_CUT.format(step='interval_id % 4')}, k AS (SELECT interval_id, t, t - row_number() OVER (PARTITION BY interval_id ORDER BY t) AS run FROM tod JOIN ok ON ok.pix = tod.pix WHERE keep), g AS (SELECT interval_id, run, count(*) AS n FROM k GROUP BY ALL) SELECT n, count(*) AS pieces FROM g GROUP BY n")(lambda s, d: P.pixel_cut(WL.tod_w3(s, d, "circle"), gap="split")[0].groupBy("interval_id").agg(F.count("*").alias("n")).groupBy("n").agg(F.count("*").alias("pieces")))
+
+
 @query("moving_fir", f"WITH {O.W0} SELECT interval_id, CAST(t AS BIGINT) AS t, round(avg(d) OVER (PARTITION BY interval_id ORDER BY t ROWS BETWEEN 3 PRECEDING AND 3 FOLLOWING), 5) + 0.0 AS y FROM tod")
 def _(spark, d):
     return WL.tod_w0(spark, d).select("interval_id", "t", r6(F.avg("d").over(W.partitionBy("interval_id").orderBy("t").rowsBetween(-3, 3)), 5).alias("y"))
@@ -245,14 +287,21 @@ query("coadd_pol", f"WITH {O.W0P}, {O.BD3}, r AS (SELECT pix, sum(d) AS i, sum(d
 # ---- coarse spaces ----
 
 
-def _zs(tod: DataFrame) -> DataFrame:
-    return P.hits_by_interval(tod).withColumn("z", F.col("hits") / F.sum("hits").over(W.partitionBy("pix")))
+query("zs_intensity", f"WITH {O.W0}, {O.PZ} SELECT pix, interval_id AS col, round(z, 9) AS v FROM zs")(lambda s, d: P.coarse_columns(WL.tod_w0(s, d)).select("pix", "col", F.round("z", 9).alias("v")))
+query("zs_merged_r10", f"WITH {O.W0}, {O.PZ}, k AS (SELECT max(interval_id) + 1 AS k FROM tod) SELECT pix, CAST(interval_id * 10 // k AS BIGINT) AS col, round(sum(z), 9) AS v FROM zs, k GROUP BY ALL")(lambda s, d: P.coarse_columns(tod := WL.tod_w0(s, d), 10, tod.agg(F.max("interval_id") + 1).first()[0]).select("pix", "col", F.round("z", 9).alias("v")))
+query("zs_rowsum", f"WITH {O.W3}, {O.PZ} SELECT CAST(pix AS BIGINT) AS pix, round(sum(z), 9) AS v FROM zs GROUP BY pix")(lambda s, d: P.coarse_columns(WL.tod_w3(s, d)).groupBy("pix").agg(F.round(F.sum("z"), 9).alias("v")))
+
+
+@query("zs_polarised", f"WITH {O.W0}, {O.PZ}, c AS (SELECT DISTINCT interval_id AS col FROM tod), p AS (SELECT DISTINCT pix FROM tod) SELECT p.pix, CAST(s AS INTEGER) AS stokes, CAST(c.col AS BIGINT) AS col, CASE WHEN s = 0 THEN round(coalesce(z, 0), 9) ELSE 0.0 END + 0.0 AS v FROM p, c, range(3) r(s) LEFT JOIN zs ON zs.pix = p.pix AND zs.interval_id = c.col")
+def _(spark, d):
+    """The a-priori space of a polarised system as the solver has it: zero in the rows of q and u."""
+    op = Y.NormalOperator(WL.tod_w0(spark, d, True), model_w0(), 3)
+    interval, hits = op.hits()
+    z = precond.a_priori(hits, 3).reshape(len(op.pixels), 3, -1)
+    op.close()
+    return spark.createDataFrame([(int(p), k, int(c), float(z[i, k, j])) for i, p in enumerate(op.pixels) for k in range(3) for j, c in enumerate(interval)], "pix long, stokes int, col long, v double").select("pix", "stokes", "col", r6(F.col("v"), 9).alias("v"))
 
 
-query("zs_intensity", f"WITH {O.W0}, {O.PZ} SELECT pix, interval_id AS col, round(z, 9) AS v FROM zs")(lambda s, d: _zs(WL.tod_w0(s, d)).select("pix", F.col("interval_id").alias("col"), F.round("z", 9).alias("v")))
-query("zs_polarised", f"WITH {O.W0}, {O.PZ} SELECT pix, CAST(s AS INTEGER) AS stokes, interval_id AS col, CASE WHEN s = 0 THEN round(z, 9) ELSE 0.0 END AS v FROM zs, range(3) r(s)")(lambda s, d: _zs(WL.tod_w0(s, d, True)).select("pix", F.explode(F.array(*map(F.lit, range(3)))).alias("stokes"), F.col("interval_id").alias("col"), "z").withColumn("v", F.when(F.col("stokes") == 0, F.round("z", 9)).otherwise(0.0)).drop("z"))
-query("zs_merged_r10", f"WITH {O.W0}, {O.PZ} SELECT pix, CAST(interval_id * 10 // 30 AS BIGINT) AS col, round(sum(z), 9) AS v FROM zs GROUP BY ALL")(lambda s, d: _zs(WL.tod_w0(s, d)).groupBy("pix", F.floor(F.col("interval_id") * 10 / 30).alias("col")).agg(F.round(F.sum("z"), 9).alias("v")))
-query("zs_rowsum", f"WITH {O.W3}, {O.PZ} SELECT CAST(pix AS BIGINT) AS pix, round(sum(z), 9) AS v FROM zs GROUP BY pix")(lambda s, d: _zs(WL.tod_w3(s, d)).groupBy("pix").agg(F.round(F.sum("z"), 9).alias("v")))
 _AZ = f"{O.W0}, {O.KERN0}, {O.A0}, {O.PZ}, z5 AS (SELECT pix, interval_id * 5 // 30 AS c, sum(z) AS z FROM zs GROUP BY ALL), az AS (SELECT p AS pix, c, sum(v * z) AS v FROM am JOIN z5 ON z5.pix = am.q GROUP BY ALL)"
 
 
@@ -300,7 +349,7 @@ for _variant in ("def1",):
 # ---- measures and experiments ----
 
 query("kappa_bound", "SELECT k AS kappa, j, round(2 * ((sqrt(k) - 1) / (sqrt(k) + 1))**j, 9) AS bound FROM (VALUES (10.0), (100.0), (1000.0)) v(k), range(0, 50, 5) r(j)")(lambda s, d: s.createDataFrame([(10.0,), (100.0,), (1000.0,)], "kappa double").select("kappa", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(45).cast("long"), F.lit(5).cast("long"))).alias("j")).select("kappa", "j", F.round(X.cg_bound("kappa", "j"), 9).alias("bound")))
-query("cost_model", f"WITH {O.W0}, n AS (SELECT interval_id, count(*) AS n FROM tod GROUP BY 1) SELECT round(sum(n * (1 + log2(128))), 3) AS banded, round(sum(n * (1 + log2(n))), 3) AS whole FROM n")(lambda s, d: WL.tod_w0(s, d).groupBy("interval_id").count().agg(F.round(F.sum(F.col("count") * (1 + F.log2(F.lit(128)))), 3).alias("banded"), F.round(F.sum(F.col("count") * (1 + F.log2("count"))), 3).alias("whole")))
+query("cost_model", f"WITH {O.W0}, n AS (SELECT interval_id, count(*) AS n FROM tod GROUP BY 1) SELECT round(sum(n * (1 + log2(128))), 3) AS banded, round(sum(n * (1 + log2(n))), 3) AS whole FROM n")(lambda s, d: P.operations(WL.tod_w0(s, d), 128).select(F.round("operations", 3).alias("banded")).join(P.operations(WL.tod_w0(s, d), None).select(F.round("operations", 3).alias("whole"))))
 _REBIN = "SELECT n_regionkey, n_nationkey, round(sum(o_totalprice), 2) AS total, count(*) AS n FROM orders JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey GROUP BY "
 
 
@@ -346,7 +395,7 @@ def _(spark, d):
 
 
 #: Sub-sampled numbers of circles, those below the table's own number being further points of the sweep.
-CIRCLES = (8, 16, 32, 64, 128, 256, 512)
+CIRCLES = (32, 64, 128, 256, 512, 1024, 2048)
 
 
 def _convergence(spark, d, polarisers):
@@ -371,9 +420,8 @@ query("convergence_medium")(lambda s, d: _convergence(s, d, ("medium",)))
 query("convergence_slow")(lambda s, d: _convergence(s, d, ("slow",)))
 
 
-@query("knee_sweep_w1")
-def _(spark, d):
-    runs, tod = [], WL.tod_w1(spark, d)
+def _knees(spark, tod):
+    runs = []
     for fk in (0.005, 0.02, 0.1):
         op = Y.NormalOperator(tod, K.Stationary({0: K.kernel(fk, 1024, grid_n=262144)}), 1)
         runs += [((fk,), r) for r in _both(op, eps=0.3)]
@@ -381,31 +429,77 @@ def _(spark, d):
     return _table(spark, runs, "fknee double, ")
 
 
-@query("coarse_rank_apriori_w3")
-def _(spark, d):
-    op = Y.NormalOperator(WL.tod_w3(spark, d), K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)}), 1)
-    b = op.rhs()
-    return _table(spark, [((r,), S.make_map(None, None, prec="apriori", rank=r, op=op, b=b, strict=False, max_iter=300)) for r in (1, 10, 50, 100)], "rank int, ")
+query("knee_sweep_w1")(lambda s, d: _knees(s, WL.tod_w1(s, d)))
+query("knee_sweep_w2")(lambda s, d: _knees(s, WL.tod_w2(s, d)))
 
 
-@query("coarse_rank_aposteriori_w2")
-def _(spark, d):
-    op = Y.NormalOperator(WL.tod_w2(spark, d, intervals="circle"), K.Stationary({0: K.kernel(0.02, 256)}), 1)
+def _ranks(spark, tod, nstokes):
+    """Columns of the a-priori space, all intervals first, then ever fewer."""
+    op = Y.NormalOperator(tod, K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)}), nstokes)
+    b, k = op.rhs(), op.blocks.select("interval_id").distinct().count()
+    runs = [((0,), S.make_map(None, None, op=op, b=b, strict=False, max_iter=300))]
+    runs += [((r,), S.make_map(None, None, prec="apriori", rank=r, op=op, b=b, strict=False, max_iter=300)) for r in dict.fromkeys((k, min(k, 50), min(k, 10), 1))]
+    op.close()
+    return _table(spark, runs, "rank int, ")
+
+
+query("coarse_rank_apriori_w3")(lambda s, d: _ranks(s, WL.tod_w3(s, d), 1))
+query("coarse_rank_apriori_medium_w3")(lambda s, d: _ranks(s, P.pixel_cut(WL.tod_w3(s, d, "medium"))[0], 3))
+
+
+def _thresholds(spark, tod):
+    op = Y.NormalOperator(tod, K.Stationary({0: K.kernel(0.02, 256)}), 1)
     b = op.rhs()
-    return _table(spark, [((e,), S.make_map(None, None, prec="aposteriori", eps_tol=e, op=op, b=b, strict=False, max_iter=400)) for e in (0.05, 0.2, 0.3)], "eps double, ")
+    runs = [((0.0,), S.make_map(None, None, op=op, b=b, strict=False, max_iter=400))]
+    runs += [((e,), S.make_map(None, None, prec="aposteriori", eps_tol=e, op=op, b=b, strict=False, max_iter=400)) for e in (0.05, 0.1, 0.2, 0.3, 0.5)]
+    op.close()
+    return _table(spark, runs, "eps double, ")
+
+
+query("coarse_rank_aposteriori_w2")(lambda s, d: _thresholds(s, WL.tod_w2(s, d, intervals="circle")))
+query("coarse_rank_aposteriori_whole_w2")(lambda s, d: _thresholds(s, WL.tod_w2(s, d)))
 
 
 @query("band_sweep_w2")
 def _(spark, d):
+    """All three preconditioners over the band's width, to the widest that the whole scan of the smallest table has."""
     runs, tod = [], WL.tod_w2(spark, d)
-    for lam in (32, 128, 1024):
+    for lam in (32, 128, 1024, 8192):
         op = Y.NormalOperator(tod, K.Stationary({0: K.kernel(0.1, lam, grid_n=65536)}), 1)
-        b = op.rhs()
-        runs += [((lam,), S.make_map(None, None, prec=p, op=op, b=b, strict=False, max_iter=400, eps_tol=0.3)) for p in ("bd", "apriori")]
+        runs += [((lam,), r) for r in _both(op, eps=0.3)]
         op.close()
     return _table(spark, runs, "band int, ")
 
 
+@query("variants_w0")
+def _(spark, d):
+    """Both two-level forms on one coarse space: iterations and coarse solves."""
+    rows = []
+    for name, tod, model in (("w0", WL.tod_w0(spark, d), model_w0()), ("w2", WL.tod_w2(spark, d, intervals="circle"), K.Stationary({0: K.kernel(0.02, 256)}))):
+        op = Y.NormalOperator(tod, model)
+        b = op.rhs()
+        for v, solves in (("def1", 1), ("def2", 2)):
+            r = S.make_map(None, None, prec="apriori", variant=v, op=op, b=b, strict=False)
+            rows.append((name, v, r.solution.iterations, solves * r.solution.iterations, r.solution.true_residual, r.solve_s))
+        op.close()
+    return spark.createDataFrame(rows, "workload string, variant string, iterations int, coarse_solves int, true_residual double, solve_s double")
+
+
+def _scaling(spark, d, weak: bool):
+    model = K.Stationary({0: K.kernel(0.02, 256), 1: K.kernel(0.05, 256)})
+    cores, whole = spark.sparkContext.defaultParallelism, load(spark, d, "supplier").count()
+    tasks = [t for t in (1, 2, 4, 8, 16, 32) if t <= cores]
+    circles = [max(1, whole * t // tasks[-1]) if weak else whole for t in tasks]
+    rows = []
+    for prec, how in (("bd", {}), ("apriori", {"rank": 10}), ("aposteriori", {"eps_tol": 0.2})):
+        rows += [(prec, *r) for r in S.scaling(spark, lambda n: WL.tod_w3(spark, d, "none", None if n == whole else n), model, circles, tasks, prec, **how)]
+    return spark.createDataFrame(rows, "prec string, circles int, tasks int, samples long, iterations int, build_s double, solve_s double, iteration_s double")
+
+
+query("weak_scaling_w3")(lambda s, d: _scaling(s, d, True))
+query("strong_scaling_w3")(lambda s, d: _scaling(s, d, False))
+
+
 @query("spectrum_w0")
 def _(spark, d):
     """Ends of the spectra of A, BD A and both two-level forms, with condition numbers."""
@@ -457,20 +551,38 @@ def _(spark, d):
     return spark.createDataFrame([(i, int(n)) for i, n in enumerate(took)], "rhs int, iterations int")
 
 
+KNEES = {0: 0.05, 1: 0.1}
+
+
+def _quality(spark, tod, knees, bands, realisations=3, grid=(32, 64)):
+    """(method, band, rms, bias, variance) of maps of a Gaussian sky with noise of the spectrum that the weights model, over realisations."""
+    pix = P.pointed(tod).select("pix").distinct()
+    sky = cut(pix.select("pix", SIM.gaussian_sky(F.col("pix"), *grid, amplitude=3.0).alias("i")))
+    truth = np.array([r["i"] for r in sky.orderBy("pix").collect()])
+    out: dict = {}
+    for seed in range(realisations):
+        sim = cut(SIM.make_tod(tod, sky, 1, knees, seed=10 * seed + 1))
+        for lam in bands:
+            r = S.make_map(sim, K.Stationary({k: K.kernel(f, lam) for k, f in knees.items()}), strict=False, max_iter=300)
+            out.setdefault((f"band_{lam}", lam), []).append(r.solution.x)
+            r.op.close()
+        out.setdefault(("coadd", 0), []).append(P.coadd(sim).orderBy("pix").toArrow().column("i").to_numpy())
+    rows = []
+    for (name, lam), maps in out.items():
+        m = np.stack(maps, axis=1) - truth[:, None]
+        m = m - m.mean(axis=0)  # the offset is not determined
+        rows.append((name, lam, float(np.sqrt((m**2).mean())), float(m.mean(axis=1).std()), float(S.variance_by_pixel(m).mean())))
+    return rows
+
+
 @query("map_quality_by_band")
 def _(spark, d):
-    """Error of maps against the true sky by band width, with correlated noise, and of plain co-addition."""
-    base = WL.tod_w0(spark, d)
-    white = X.hash_gauss(11, F.col("interval_id"), F.col("t"))
-    drift = F.sum(X.hash_gauss(23, F.col("interval_id"), F.col("t"))).over(W.partitionBy("interval_id").orderBy("t")) * 0.5
-    tod = base.withColumn("d", WL.sky(F.col("pix")) + white + drift)
-    rows = []
-    for lam in (4, 16, 64, 128):
-        r = S.make_map(tod, K.Stationary({0: K.kernel(0.05, lam), 1: K.kernel(0.1, lam)}))
-        truth = 10 + 3 * np.sin(r.op.pixels * 0.37) + 2 * np.cos(r.op.pixels * 0.11)
-        rows.append((f"band_{lam}", S.map_rms(r.solution.x, truth), S.bias(r.solution.x, truth)))
-    x = P.coadd(tod).orderBy("pix").toArrow().column("i").to_numpy()
-    return spark.createDataFrame([*rows, ("coadd", S.map_rms(x, truth), S.bias(x, truth))], "method string, rms double, bias double")
+    return spark.createDataFrame(_quality(spark, WL.tod_w0(spark, d), KNEES, (4, 16, 64, 128)), "method string, band int, rms double, systematic double, variance double")
+
+
+@query("map_quality_w2")
+def _(spark, d):
+    return spark.createDataFrame(_quality(spark, WL.tod_w2(spark, d), {0: 0.05}, (16, 128, 512), 1, (64, 128)), "method string, band int, rms double, systematic double, variance double")
 
 
 @query("template_marginalised_w0")
@@ -487,15 +599,162 @@ def _(spark, d):
 
 @query("mode_filter_w0")
 def _(spark, d):
-    """Modes below a cut dropped in A and b alike leave a noise-free sky unbiased up to its offset."""
+    """Modes below a cut dropped in A and b alike leave a noise-free sky unbiased up to its offset; dropped in the data alone they bias it."""
     tod = WL.tod_w0(spark, d).withColumn("d", WL.sky(F.col("pix")))
-    rows = []
-    for cut in (0.0, 0.01):
-        m = K.Stationary({k: K.kernel(f, 128, f_cut=cut, kind="gauss") for k, f in ((0, 0.05), (1, 0.1))}, check=False)
+    rows, full = [], model_w0()
+    for f_cut in (0.0, 0.01, 0.05):
+        m = K.Stationary({k: K.kernel(f, 128, f_cut=f_cut, kind="gauss") for k, f in KNEES.items()}, check=False)
         r = S.make_map(tod, m, strict=False, max_iter=200)
         truth = 10 + 3 * np.sin(r.op.pixels * 0.37) + 2 * np.cos(r.op.pixels * 0.11)
-        rows.append((cut, S.map_rms(r.solution.x, truth), r.solution.iterations))
-    return spark.createDataFrame(rows, "f_cut double, rms double, iterations int")
+        rows.append(("both", f_cut, S.map_rms(r.solution.x, truth), r.solution.iterations))
+        whole = S.make_map(tod, full, b=r.op.rhs(), strict=False, max_iter=200)
+        rows.append(("data_only", f_cut, S.map_rms(whole.solution.x, truth), whole.solution.iterations))
+        r.op.close(), whole.op.close()
+    return spark.createDataFrame(rows, "filtered string, f_cut double, rms double, iterations int")
+
+
+@query("refreshed_space_w0")
+def _(spark, d):
+    """A coarse space joined over three runs: its size and the iterations of the next solve."""
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    bd, b, rows = precond.BlockDiagonal(op.diagonal_blocks()), op.rhs(), []
+    z = np.empty((op.n, 0))
+    for k in range(3):
+        _, w, h = krylov.gmres(op.apply, bd, np.random.default_rng(k).standard_normal(op.n), 1e-6, 100)
+        z = precond.update(z, op.apply, bd, krylov.ritz(w, h), 0.3, 12)
+        s = krylov.cg(op.apply, precond.two_level(bd, precond.Coarse(z, op.apply_many(z))), b, strict=False)
+        rows.append((k, z.shape[1], s.iterations, s.true_residual))
+    op.close()
+    return spark.createDataFrame(rows, "run int, dim int, iterations int, true_residual double")
+
+
+# ---- what must hold, as rows that SQL can state ----
+
+
+def holds(name: str, *facts: str):
+    """A query of (fact, ok) rows; its SQL says that each holds."""
+    return query(name, "SELECT * FROM (VALUES " + ", ".join(f"('{f}', true)" for f in facts) + ") v(fact, ok)")
+
+
+def _facts(spark, **facts) -> DataFrame:
+    return spark.createDataFrame([(k, bool(v)) for k, v in facts.items()], "fact string, ok boolean")
+
+
+def _w0_system(spark, d):
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    return op, op.rhs(), precond.BlockDiagonal(op.diagonal_blocks())
+
+
+@holds("history_holds_w0", "from_one", "to_tolerance", "true_residual_agrees", "apriori_not_more", "aposteriori_not_more", "gain_is_quotient", "iterations_to_is_last", "plateau_within_run")
+def _(spark, d):
+    op = Y.NormalOperator(WL.tod_w0(spark, d), model_w0())
+    runs = _both(op)
+    h = [r.solution.history for r in runs]
+    n = [r.solution.iterations for r in runs]
+    op.close()
+    return _facts(spark, from_one=all(x[0][1] == 1 for x in h), to_tolerance=all(x[-1][1] <= 1e-6 < x[-2][1] for x in h), true_residual_agrees=all(abs(r.solution.true_residual - r.solution.history[-1][1]) < 1e-9 for r in runs), apriori_not_more=n[1] <= n[0], aposteriori_not_more=n[2] <= n[0], gain_is_quotient=S.iteration_gain(runs[0], runs[2]) == n[0] / n[2], iterations_to_is_last=all(S.iterations_to(x, 1e-6) == k for x, k in zip(h, n)), plateau_within_run=all(0 <= S.plateau(x) <= k for x, k in zip(h, n)))
+
+
+@holds("krylov_holds_w0", "basis_orthonormal", "arnoldi_relation", "gmres_tolerance", "ritz_residuals", "cg_ritz_in_spectrum", "az_without_a_pass", "selection_below_threshold")
+def _(spark, d):
+    op, b, bd = _w0_system(spark, d)
+    a = S.dense(op)
+    m = np.stack([bd(c) for c in a.T], axis=1)
+    w, h = krylov.arnoldi(lambda v: m @ v, b, 12)
+    k = h.shape[1]
+    r = krylov.ritz(w, h)
+    g = krylov.gmres(op.apply, bd, b, 1e-8, 100)[0]
+    c = krylov.ritz_from_cg(krylov.cg(op.apply, bd, b, tol=1e-8, keep_basis=True))
+    v = S.spectrum(a, bd)
+    real = np.abs(r.values.imag) < 1e-12
+    left = np.linalg.norm(m @ r.vectors[:, real].real - r.vectors[:, real].real * r.values[real].real, axis=0)
+    az = precond.az_from_arnoldi(lambda x: np.linalg.solve(np.stack([bd(e) for e in np.eye(op.n)], axis=1), x), w, h, np.eye(k))
+    z = precond.select(r, dim=4)
+    op.close()
+    return _facts(spark, basis_orthonormal=np.allclose(w.T @ w, np.eye(w.shape[1])), arnoldi_relation=np.allclose(m @ w[:, :k], w[:, : h.shape[0]] @ h), gmres_tolerance=g.converged and g.history[-1][1] <= 1e-8, ritz_residuals=np.allclose(left, r.error[real], atol=1e-8), cg_ritz_in_spectrum=c.values.min() >= v.min() - 1e-8 and c.values.max() <= v.max() + 1e-8, az_without_a_pass=np.allclose(az, a @ w[:, :k]), selection_below_threshold=z.shape[1] >= 4 and np.allclose(z.T @ z, np.eye(z.shape[1])))
+
+
+@holds("spectrum_holds_w0", "a_positive", "kappa_falls", "forms_share_spectrum", "coarse_values_at_one", "bound_on_error", "standard_near_one")
+def _(spark, d):
+    op, b, bd = _w0_system(spark, d)
+    a = S.dense(op)
+    c = precond.Coarse(z := precond.a_priori(op.hits()[1]), a @ z)
+    va, vb = S.spectrum(a), S.spectrum(a, bd)
+    v1, v2 = (S.spectrum(a, precond.two_level(bd, c, k)) for k in ("def1", "def2"))
+    ka, kb, k1 = map(S.condition_number, (va, vb, v1))
+    ref, kappa = np.linalg.solve(a, b), kb
+    x = [krylov.cg(lambda v: a @ v, bd, b, tol=0, max_iter=j, strict=False).x for j in (2, 5, 8)]
+    e = [S.a_norm_error(a, y, ref) for y in x]
+    rate = (math.sqrt(kappa) - 1) / (math.sqrt(kappa) + 1)
+    op.close()
+    return _facts(spark, a_positive=va.min() > 0, kappa_falls=k1 < kb <= ka, forms_share_spectrum=np.allclose(v1, v2, atol=1e-7), coarse_values_at_one=(np.abs(v1 - 1) < 1e-7).sum() >= z.shape[1] - c.rank_dropped, bound_on_error=all(y <= 2 * rate**j * S.a_norm_error(a, 0 * ref, ref) * 1.0001 for y, j in zip(e, (2, 5, 8))), standard_near_one=(np.abs(vb - 1) < 0.5).mean() > 0.5)
+
+
+@holds("many_rhs_holds_w0", "equal_to_single", "one_build_serves_all", "amortised_grows")
+def _(spark, d):
+    op, b, bd = _w0_system(spark, d)
+    m, c = S.build(op, "apriori", 10)
+    bs = op.apply_many(np.random.default_rng(3).standard_normal((op.n, 4)))
+    xs, took = S.solve_many(op, m, bs, 1e-10)
+    one = [krylov.cg(op.apply, m, bs[:, k], tol=1e-10) for k in range(4)]
+    runs = [S.Run("bd", one[0], 0, 1.0, 10.0, op), S.Run("apriori", one[1], 10, 4.0, 5.0, op)]
+    by = [S.speedups(*runs, n) for n in (1, 10, 100)]
+    op.close()
+    return _facts(spark, equal_to_single=all(np.allclose(xs[:, k], one[k].x, atol=1e-6) for k in range(4)), one_build_serves_all=all(abs(t - s.iterations) <= 1 for t, s in zip(took, one)), amortised_grows=by[0]["speedup_total"] == by[0]["speedup_amortised"] < by[1]["speedup_amortised"] < by[2]["speedup_amortised"] < by[0]["speedup_solve"])
+
+
+@holds("variants_hold_w0", "same_map", "start_has_coarse_part", "similar_iterations", "refreshed_space_helps")
+def _(spark, d):
+    op, b, bd = _w0_system(spark, d)
+    r = [S.make_map(None, None, prec="apriori", rank=10, variant=v, op=op, b=b, tol=1e-10) for v in ("def1", "def2")]
+    x0 = precond.def2_start(b, r[1].coarse)
+    plain = krylov.cg(op.apply, bd, b).iterations
+    z = np.empty((op.n, 0))
+    for k in range(2):
+        _, w, h = krylov.gmres(op.apply, bd, np.random.default_rng(k).standard_normal(op.n), 1e-6, 100)
+        z = precond.update(z, op.apply, bd, krylov.ritz(w, h), 0.3, 12)
+    fresh = krylov.cg(op.apply, precond.two_level(bd, precond.Coarse(z, op.apply_many(z))), b).iterations
+    out = _facts(spark, same_map=np.allclose(r[0].solution.x, r[1].solution.x, atol=1e-6), start_has_coarse_part=np.allclose(r[1].coarse.z.T @ (b - op.apply(x0)), 0, atol=1e-7), similar_iterations=abs(r[0].solution.iterations - r[1].solution.iterations) <= 3, refreshed_space_helps=fresh <= plain and z.shape[1] <= 12)
+    op.close()
+    return out
+
+
+@holds("simulation_holds", "same_under_partitions", "spectrum_matches", "sky_is_the_same", "noise_free_is_exact", "wider_band_is_better", "weights_beat_coadd")
+def _(spark, d):
+    tod = WL.tod_w0(spark, d)
+    one, two = (SIM.noise(t, KNEES, length=n).orderBy("interval_id", "t").toPandas() for t, n in ((tod, 1 << 20), (tod.repartition(3, "t"), 100)))
+    # a long interval's averaged periodogram against P(f)
+    line = spark.range(1 << 16).select(F.lit(0).cast("long").alias("interval_id"), F.col("id").alias("t"), F.lit(0).alias("noise_id"))
+    y = np.array([r["n"] for r in SIM.noise(line, {0: 0.05}).orderBy("t").select("n").collect()]).reshape(-1, 1024)
+    p = (np.abs(np.fft.rfft(y * np.hanning(1024), axis=1)) ** 2).mean(axis=0) / (np.hanning(1024) ** 2).sum()
+    f = np.arange(513) / 1024
+    band = slice(16, 500)
+    want = 1 + (0.05 / f[band]) ** 2
+    rows = {r[0]: r[2] for r in _quality(spark, tod, KNEES, (4, 64), 2)}
+    sky = [cut(tod.select("pix").distinct().repartition(k).select("pix", SIM.gaussian_sky(F.col("pix"), 32, 64).alias("i"))).orderBy("pix").toPandas().i.to_numpy() for k in (1, 5)]
+    free = SIM.make_tod(tod, tod.select("pix").distinct().withColumn("i", WL.sky(F.col("pix"))))
+    exact = S.make_map(free, model_w0(), tol=1e-12)
+    truth = 10 + 3 * np.sin(exact.op.pixels * 0.37) + 2 * np.cos(exact.op.pixels * 0.11)
+    return _facts(spark, same_under_partitions=np.allclose(one.n, two.n, atol=1e-9), spectrum_matches=abs(np.mean(p[band] / want) - 1) < 0.05 and np.abs(np.log(p[band] / want)).mean() < 0.2, sky_is_the_same=np.allclose(*sky), noise_free_is_exact=np.allclose(exact.solution.x, truth, atol=1e-6), wider_band_is_better=rows["band_64"] < rows["band_4"], weights_beat_coadd=rows["band_64"] < rows["coadd"])
+
+
+@holds("filters_hold_w0", "consistent_is_unbiased", "data_only_is_biased", "templates_are_removed", "hits_split_exactly", "growing_window_rejected")
+def _(spark, d):
+    tod = WL.tod_w0(spark, d).withColumn("d", WL.sky(F.col("pix")))
+    m = K.Stationary({k: K.kernel(f, 128, f_cut=0.05) for k, f in KNEES.items()}, check=False)
+    r = S.make_map(tod, m, strict=False, max_iter=300, tol=1e-9)
+    truth = 10 + 3 * np.sin(r.op.pixels * 0.37) + 2 * np.cos(r.op.pixels * 0.11)
+    biased = S.make_map(tod, model_w0(), b=r.op.rhs(), strict=False, max_iter=300)
+    line = lambda n: np.stack((np.ones(n), np.linspace(-1, 1, n)))
+    t = S.make_map(tod.withColumn("d", F.col("d") + 50 * F.col("interval_id") + 0.1 * F.col("t")), K.TemplateMarginalised(model_w0(), line), strict=False, max_iter=300, tol=1e-9)
+    split = Y.NormalOperator(tod, model_w0(), length=100)
+    try:
+        K.check_positive(K.kernel(0.02, 100, kind="cut") * np.exp(2 * (np.arange(101) / 100) ** 2))
+        rejected = False
+    except ValueError:
+        rejected = True
+    same = np.array_equal(split.hits()[1], r.op.hits()[1])
+    return _facts(spark, consistent_is_unbiased=S.map_rms(r.solution.x, truth) < 1e-4, data_only_is_biased=S.map_rms(biased.solution.x, truth) > 1e-2, templates_are_removed=S.map_rms(t.solution.x, truth) < 1e-3, hits_split_exactly=same, growing_window_rejected=rejected)
 
 
 # ---- generated scans and table-valued functions ----
