@@ -2,11 +2,12 @@
 
 A sentence's log-odds is a bias plus the sum of its distinct words' weights; a word's weight is the sum over hashed features
 (the word and its prefixes). Only document labels train it; the sentence scores then locate what offends. The model is fitted
-on a bounded sample of labelled rows (``most_rows`` of each label, by hash order); every text is scored whole.
+on a bounded sample of labelled rows (``most_rows`` and ``most_bytes`` of whole texts of each label, by hash order); every text is scored whole.
 
 Edge cases: null and empty texts score as a bag of no sentence (the noisy-or of nothing, 0); with no labelled row, or
-one label only, the model has no weight and scores are 0; rows with null labels are not learnt from; repeated
-labels of a document count as often as they occur; extra columns are kept by ``reject`` and ignored elsewhere."""
+one label only, the model has no weight and scores are 0; rows with null labels are not learnt from; equal
+labels of a document are one row of the fit, though each counts in the labels' shares; documents that share an id are learnt from together, or not at all where they pass
+``most_bytes``; extra columns are kept by ``reject`` and ignored elsewhere."""
 
 from __future__ import annotations
 
@@ -158,8 +159,9 @@ def fit(rows: list[tuple[bytes | None, int]], counts: tuple[int, int] | None = N
     return Model(w, b)
 
 
-def train(docs: DataFrame, labels: DataFrame, most_rows: int = 2000, exclude=None) -> Model:
-    """Fit on at most ``most_rows`` documents of each label, the first by hash; ``exclude`` names rows not to learn from."""
+def train(docs: DataFrame, labels: DataFrame, most_rows: int = 2000, exclude=None, most_bytes: int = 64 << 20) -> Model:
+    """Fit on at most ``most_rows`` documents and ``most_bytes`` of text of each label, the first by hash whose texts still fit whole; ``exclude`` names
+    rows not to learn from."""
     lab = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where("toxic in (0, 1) and doc_id is not null")
     if exclude is not None:
         lab = lab.where(~exclude)
@@ -169,9 +171,22 @@ def train(docs: DataFrame, labels: DataFrame, most_rows: int = 2000, exclude=Non
         picked += [(r.doc_id, y) for r in lab.where(F.col("toxic") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_rows).collect()]
     if not picked:
         return Model()
-    chosen = docs.sparkSession.createDataFrame(picked, "doc_id long, toxic int").dropDuplicates()
-    # the chosen ids are at most 2 * most_rows by construction, so that side can be broadcast at any corpus size
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", F.col("text").cast("binary").alias("text"), "toxic").collect()
+    picked = list(dict.fromkeys(picked))
+    spark, text = docs.sparkSession, F.col("text").cast("string")
+
+    def of(ids: list[tuple[int, int]], *columns) -> DataFrame:
+        """The rows of the chosen ids, at most 2 * most_rows by construction, so that side can be broadcast at any corpus size."""
+        return docs.select(F.col("doc_id").cast("long").alias("doc_id"), *columns).join(F.broadcast(spark.createDataFrame(ids, "doc_id long, toxic int")), "doc_id")
+
+    size = {(r.doc_id, r.toxic): r.size for r in of(picked, (F.coalesce(F.octet_length(text), F.lit(0)) + 16).cast("long").alias("n")).groupBy("doc_id", "toxic").agg(F.sum("n").alias("size")).collect()}
+    room, fitting = {0: most_bytes, 1: most_bytes}, []
+    for key in picked:
+        if key in size and size[key] <= room[key[1]]:
+            room[key[1]] -= size[key]
+            fitting.append(key)
+    if not fitting:
+        return Model()
+    rows = of(fitting, text.cast("binary").alias("text")).collect()
     return fit([(bytes(r.text) if r.text is not None else None, r.toxic) for r in sorted(rows, key=lambda r: (r.doc_id, r.toxic))], (seen.get(0, 0), seen.get(1, 0)))
 
 

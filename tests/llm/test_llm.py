@@ -476,6 +476,22 @@ def test_toxicity_gradient_by_differences():
         assert np.isclose(g[i], (toxicity.gradient(z + step, doc, y, cost)[1] - toxicity.gradient(z - step, doc, y, cost)[1]) / 2e-6, atol=1e-6)
 
 
+def test_toxicity_fits_whole_texts_within_bounds(spark, monkeypatch):
+    rows = [(i, f"text {i} " * 10, i % 2) for i in range(40)] + [(100, "long " * 4000, 1), (101, "again " * 200, 0), (101, "again " * 300, 0)]
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, y) for i, _, y in rows] + [(5, 1), (7, 1), (500, 0)], "doc_id long, toxic int")
+    got = []
+    monkeypatch.setattr(toxicity, "fit", lambda rows, counts: got.append((rows, counts)))
+    toxicity.train(docs, labels)
+    toxicity.train(docs, labels, most_bytes=6000)
+    toxicity.train(docs, labels, most_bytes=900)
+    (every, counts), (some, same), (few, _) = got
+    assert sorted(every) == sorted((t.encode(), y) for _, t, y in rows) and counts == same == (23, 23)
+    assert sorted(some) == sorted((t.encode(), y) for i, t, y in rows if i != 100)
+    assert 8 <= len(few) < 40 and set(few) <= set(every) and all(sum(len(t) + 16 for t, y in few if y == k) <= 900 for k in (0, 1))
+    assert toxicity.train(docs, labels, most_bytes=10).weight is None
+
+
 def test_toxicity_scores_by_hand(spark, odd):
     """Every score is the noisy-or of its sentences' logistic scores, words counted once a sentence."""
     model = toxicity.Model(np.random.default_rng(3).standard_normal(1 << toxicity.BITS) * 0.3, -2.0)
