@@ -775,13 +775,6 @@ def _(spark, d):
     return rounded(tables.small_map(WL.tod_w4(spark, d).asTable().withSinglePartition(), F.lit(0.1), F.lit(8)))
 
 
-def _stream(name, sql):
-    def add(fn):
-        return query(name, sql)(lambda s, d: fn(s, d))
-
-    return add
-
-
 query("stream_hitmap", "SELECT user_id AS pix, count(*) AS hits FROM events GROUP BY user_id")(lambda s, d: _streams().hit_map(s, d))
 query("stream_coadd", "SELECT user_id AS pix, count(*) AS hits, round(avg(value), 4) + 0.0 AS i FROM events GROUP BY user_id")(lambda s, d: _streams().coadd(s, d))
 query("stream_daily", "SELECT date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS day, count(*) AS n FROM events GROUP BY 1")(lambda s, d: _streams().daily(s, d))
@@ -790,6 +783,9 @@ query("stream_daily", "SELECT date_diff('day', DATE '2024-01-01', CAST(ts AS DAT
 query("stream_sessions", """WITH a AS (SELECT user_id AS pix, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 2 HOUR THEN 0 ELSE 1 END AS first FROM events),
 b AS (SELECT pix, ts, sum(first) OVER (PARTITION BY pix ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM a)
 SELECT pix, epoch_us(min(ts)) AS start_us, count(*) AS n FROM b GROUP BY pix, k HAVING max(ts) + INTERVAL 3 HOUR <= (SELECT max(ts) FROM events)""")(lambda s, d: _streams().sessions(s, d))
+query("stream_interval_close", """SELECT date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS day, count(*) AS n, round(sum(value), 4) + 0.0 AS s FROM events GROUP BY 1
+HAVING CAST(max(CAST(ts AS DATE)) AS TIMESTAMP) + INTERVAL 25 HOUR <= (SELECT max(ts) FROM events)""")(lambda s, d: _streams().interval_close(s, d))
+query("stream_unique_hits", "SELECT user_id AS pix, count(*) AS hits FROM events GROUP BY user_id")(lambda s, d: _streams().unique_hits(s, d))
 query("stream_near_pointing", "SELECT a.event_id AS sample_id, b.event_id AS pointing_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts BETWEEN a.ts - INTERVAL 10 MINUTE AND a.ts + INTERVAL 10 MINUTE")(lambda s, d: _streams().near_pairs(s, d))
 
 
