@@ -204,7 +204,7 @@ def _assemble(path: str, tail):
 
 def _assembled(docs: DataFrame, path: str, tail, schema: str, block_bytes: int) -> DataFrame:
     spark = docs.sparkSession
-    buckets = C.partition_keys(spark, C.shuffle_width(spark))
+    buckets = C.partition_keys(spark, C.exchange_width(docs))
     keyed = C.keyed_docs(docs)
     words = keyed.mapInArrow(C.task(_words(path, buckets, block_bytes)), _SCHEMA).repartition(len(buckets), "bucket").mapInArrow(C.task(_encode(path)), _SCHEMA)
     skeleton = keyed.mapInArrow(C.task(_skeleton(path, block_bytes)), _SCHEMA)

@@ -31,6 +31,17 @@ def shuffle_width(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+#: Bytes of text of which a partition of an exchange of texts' contents gets the rows, at most and on average: a Python worker holds them at once.
+PART_BYTES = 64 << 20
+
+
+def exchange_width(docs: DataFrame, row_bytes: int = 0) -> int:
+    """Partitions of an exchange of what the texts of ``docs`` hold, besides ``row_bytes`` for each row: as the cluster's operator sized them, or more
+    where these would be larger than PART_BYTES."""
+    size = docs.agg(F.sum(F.coalesce(F.octet_length(F.col("text").cast("string")), F.lit(0)).cast("long") + row_bytes)).first()[0] or 0
+    return max(shuffle_width(docs.sparkSession), -(-size // PART_BYTES))
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share. Without one a local session (as in tests) gets a folder of its own; a cluster's raises."""
     sc = spark.sparkContext
@@ -69,7 +80,7 @@ def partition_keys(spark: SparkSession, width: int) -> list[int]:
     lo, step = 0, 32 * width
     while len(found) < width:
         ids = spark.range(lo, lo + step, 1, 1).select(F.col("id").cast("int").alias("id"))
-        for i, p in ids.select("id", F.pmod(F.hash("id"), F.lit(width)).alias("p")).collect():
+        for p, i in ids.groupBy(F.pmod(F.hash("id"), F.lit(width)).alias("p")).agg(F.min("id")).collect():  # one row a partition
             found.setdefault(p, i)
         lo += step
     return [found[p] for p in range(width)]

@@ -236,7 +236,7 @@ def _confirmer(width: int, percent: int):
 def _components(keyed: DataFrame, width: int, percent: int) -> DataFrame:
     """(doc_id, n, component) of every row of (doc_id, text), where rows that share a doc_id share the text."""
     spark = keyed.sparkSession
-    parts = C.shuffle_width(spark)
+    parts = C.exchange_width(keyed, 24 * PARTS)
     described = C.cut(keyed.mapInArrow(C.task(_describe(width)), "doc_id long, n long, k1 long, k2 long, sig binary"))
     classes = described.where("n > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.first("sig").alias("sig"))
     reps = C.cut(classes)

@@ -177,7 +177,7 @@ def _finder(batches):
 def repeated_windows(docs: DataFrame, width: int = 20, block_bytes: int = 6 << 20) -> DataFrame:
     """(doc_id, start, n): runs of n consecutive window starts whose windows occur earlier in the corpus; the ids of ``docs`` are those of its different rows."""
     spark = docs.sparkSession
-    buckets = C.partition_keys(spark, C.shuffle_width(spark))
+    buckets = C.partition_keys(spark, C.exchange_width(docs))
     sent = C.keyed_docs(docs).mapInArrow(C.task(_sender(width, buckets, block_bytes)), "bucket int, anchor binary, doc binary, start binary, n binary, off binary, window binary")
     return sent.repartition(len(buckets), "bucket").mapInArrow(C.task(_finder), "doc_id long, start long, n long")
 

@@ -78,6 +78,17 @@ def test_blocks_of_large_groups(spark, monkeypatch):
     assert {r.component_id for r in got} == {0}
 
 
+def test_exchange_width_changes_no_result(spark, odd, monkeypatch):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text").unionByName(odd.select("doc_id", "text"))
+    ways = (lambda: substring_dedup.deduplicate(docs, 20), lambda: near_dup.near_duplicates(docs), lambda: byte_bpe.digests(docs))
+    plain = [sorted(map(str, w().collect())) for w in ways]
+    assert C.exchange_width(docs) == 4 and C.exchange_width(odd.limit(0)) == 4
+    monkeypatch.setattr(C, "PART_BYTES", 40_000)
+    size = sum(len((r.text or "").encode()) for r in docs.collect())
+    assert C.exchange_width(docs) == -(-size // 40_000) > 4 and C.exchange_width(docs, 100) == -(-(size + 100 * docs.count()) // 40_000)
+    assert [sorted(map(str, w().collect())) for w in ways] == plain
+
+
 def test_connected(spark):
     edges = [(i + 1, i) for i in range(1, 40)] + [(100, 50), (100, 70), (7, 7)]
     got = {r.node: r.root for r in C.connected(spark, spark.createDataFrame(edges, "u long, v long")).collect()}
