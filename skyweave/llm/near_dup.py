@@ -6,7 +6,8 @@ at most ``2 * CHUNKS - 1`` components differ in at most one component of some ch
 differs in 12.8 components on average; 27 is 4.6 standard deviations above.
 
 1. Texts with equal shingle sets collapse to their smallest doc_id, so groups of copies cost one row each.
-2. Keys travel as packed blobs; buckets keep the keys that several documents share, and equal member lists collapse.
+2. Keys travel as packed blobs; buckets keep the keys that several documents share, and equal member lists collapse. Keys with
+   very many members are counted first, by mergeable counters of fixed size, and dealt in blocks without a bucket.
 3. Members of a key are clustered by signature distance without listing pairs: each member is compared with those
    not yet reached. Only tree edges leave; star contraction joins them across keys.
 4. The full shingle sets of each cluster meet once, links are confirmed exactly (integer arithmetic) by the same
@@ -31,6 +32,8 @@ PARTS, CHUNKS = 64, 14
 RADIUS = 2 * CHUNKS - 1
 #: Members of a key, and documents of a cluster, that one side of a comparison holds at most.
 KEY_BLOCK, CLUSTER_BLOCK = 4096, 2048
+#: Members from which a key is hot at any size, and counters by which a task finds such keys.
+HOT_KEY, COUNTERS = 1 << 16, 1 << 20
 _rng = np.random.default_rng(20240229)
 _MUL = _rng.integers(1, 1 << 63, PARTS, dtype=np.uint64) * C.U64(2) + C.U64(1)
 _ADD = _rng.integers(0, 1 << 63, PARTS, dtype=np.uint64)
@@ -62,6 +65,16 @@ def chunk_keys(sig: np.ndarray) -> np.ndarray:
     return np.stack(out, axis=1)
 
 
+def fewer(keys: np.ndarray, counts: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Counts by key, sorted; where there are more than ``most``, all less the next largest, so that a key loses at most a ``most``-th of the total."""
+    k, at = np.unique(keys, return_inverse=True)
+    n = np.bincount(at, counts, len(k)).astype(np.int64)
+    if len(k) > most:
+        n -= np.partition(n, len(n) - most - 1)[len(n) - most - 1]
+        k, n = k[n > 0], n[n > 0]
+    return k, n
+
+
 def spread(n: int, near) -> list[tuple[int, int]]:
     """Tree edges of the graph on 0..n-1 whose neighbours of i among candidates c are c[near(i, c)]."""
     left, edges = np.arange(n), []
@@ -95,65 +108,137 @@ def _describe(width: int):
     return run
 
 
-def _key_sender(buckets: list[int]):
+def _keys(batches):
+    """(keys, representatives) of (rep, sig) rows, 4096 rows at a time."""
+    for batch in batches:
+        rep = C.ids(batch, "rep")
+        sig = np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint16).reshape(-1, PARTS)
+        for lo in range(0, len(rep), 4096):
+            keys = chunk_keys(sig[lo : lo + 4096])
+            yield keys.ravel(), np.repeat(rep[lo : lo + 4096], keys.shape[1])
+
+
+def _frequent(most: int, share: float):
+    """Counts of a task's keys, of which each loses at most a ``most``-th of all, but those below ``share`` of all."""
+
     def run(batches):
-        for batch in batches:
-            rep = C.ids(batch, "rep")
-            if not len(rep):
-                continue
-            sig = np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint16).reshape(-1, PARTS)
-            for lo in range(0, len(rep), 4096):
-                keys = chunk_keys(sig[lo : lo + 4096])
-                who = np.repeat(rep[lo : lo + 4096], keys.shape[1])
-                keys = keys.ravel()
-                to = (keys >> C.U64(32)) % C.U64(len(buckets))
-                order = np.argsort(to, kind="stable")
-                edges = np.searchsorted(to[order], np.arange(len(buckets) + 1, dtype=C.U64))
-                rows = [(buckets[b], keys[o].tobytes(), who[o].tobytes()) for b in range(len(buckets)) if len(o := order[edges[b] : edges[b + 1]])]
-                yield pa.record_batch([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())], names=["bucket", "keys", "reps"])
+        keys, n = np.empty(0, C.U64), np.empty(0, np.int64)
+        held, waiting, seen = [], 0, 0
+
+        def merged():
+            new = np.concatenate(held)
+            return fewer(np.concatenate((keys, new)), np.concatenate((n, np.ones(len(new), np.int64))), most)
+
+        for k, _ in _keys(batches):
+            held.append(k)
+            waiting += len(k)
+            seen += len(k)
+            if waiting >= most:
+                keys, n = merged()
+                held, waiting = [], 0
+        if held:
+            keys, n = merged()
+        take = n >= share * seen
+        yield pa.record_batch([pa.array(keys[take].view(np.int64)), pa.array(n[take])], names=["key", "n"])
 
     return run
 
 
-def _grouper(batches):
+def hot_keys(reps: DataFrame, rows: int, least: int, block: int, most: int = COUNTERS) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted keys, and into how many blocks their members go: every key of at least ``least`` members, or 4 / ``most`` of all where that is more, and none
+    of less than half as many, so at most ``most`` / 2 keys. A task's counts lose a quarter of that bound by ``most`` counters and one by ``share``."""
+    total = rows * PARTS
+    least = max(least, -(-4 * total // most))
+    if total < least:
+        return np.empty(0, C.U64), np.empty(0, np.int64)
+    counts = reps.select("rep", "sig").mapInArrow(C.task(_frequent(most, least / (4 * total)), 10_000), "key long, n long")
+    found = counts.groupBy("key").agg(F.sum("n").alias("n")).where(F.col("n") >= least / 2).toArrow()
+    keys, n = found["key"].to_numpy().view(C.U64), found["n"].to_numpy()
+    order = np.argsort(keys)
+    return keys[order], np.maximum(-(-(n[order] + least // 2) // block), 2)
+
+
+def _hot_sender(hot: np.ndarray, blocks: np.ndarray):
+    """(gid, rep) of the members of hot keys: one row for each pair of blocks that the member's own is in."""
+
+    def run(batches):
+        for keys, who in _keys(batches):
+            take = np.isin(keys, hot)
+            keys, who = keys[take], who[take]
+            m = blocks[np.searchsorted(hot, keys)]
+            ends = np.cumsum(m - 1)
+            for part in np.split(np.arange(len(keys)), np.flatnonzero(np.diff(ends // 500_000, prepend=0))):
+                each = m[part] - 1
+                at = np.repeat(part, each)
+                own = (C.mix(who[at].view(C.U64)) % m[at].astype(C.U64)).astype(np.int64)
+                other = np.arange(len(at)) - np.repeat(np.cumsum(each) - each, each)
+                other += other >= own
+                pair = (np.minimum(own, other) << 32 | np.maximum(own, other)).astype(C.U64)
+                yield pa.record_batch([pa.array(C.mix(keys[at] + C.mix(pair + C.U64(1))).view(np.int64)), pa.array(who[at])], names=["gid", "rep"])
+
+    return run
+
+
+def _key_sender(buckets: list[int], hot: np.ndarray):
+    """Every other key and its member, packed by bucket."""
+
+    def run(batches):
+        for keys, who in _keys(batches):
+            if len(hot):
+                cold = ~np.isin(keys, hot)
+                keys, who = keys[cold], who[cold]
+            to = (keys >> C.U64(32)) % C.U64(len(buckets))
+            order = np.argsort(to, kind="stable")
+            edges = np.searchsorted(to[order], np.arange(len(buckets) + 1, dtype=C.U64))
+            rows = [(buckets[b], keys[o].tobytes(), who[o].tobytes()) for b in range(len(buckets)) if len(o := order[edges[b] : edges[b + 1]])]
+            yield pa.record_batch([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())], names=["bucket", "keys", "reps"])
+
+    return run
+
+
+def _grouper(block: int):
     """(gid, rep) of the keys that several representatives share; gid hashes the member list, or the key and a pair of
     blocks where a key has more than a block of members."""
-    ks, rs = [], []
-    for batch in batches:
-        ks += [np.frombuffer(b, C.U64) for b in batch.column(1).to_pylist()]
-        rs += [np.frombuffer(b, np.int64) for b in batch.column(2).to_pylist()]
-    if not ks:
-        return
-    k, r = np.concatenate(ks), np.concatenate(rs)
-    ks.clear(), rs.clear()
-    order = np.lexsort((r, k))
-    k, r = k[order], r[order]
-    at = np.flatnonzero(np.concatenate(([True], k[1:] != k[:-1])))
-    n = np.diff(np.concatenate((at, [len(k)])))
-    several = n > 1
-    if not several.any():
-        return
-    take = np.repeat(several, n)
-    k, r, n = k[take], r[take], n[several]
-    at = np.cumsum(n) - n
-    mixed = C.mix(r.view(C.U64))
-    gid = np.add.reduceat(mixed, at) ^ C.mix(np.add.reduceat(C.mix(mixed + C.U64(5)), at))
-    small = n <= KEY_BLOCK
-    each = np.repeat(small, n)
-    gids, reps = [np.repeat(gid, n)[each].view(np.int64)], [r[each]]
-    for i in np.flatnonzero(~small).tolist():
-        who = r[at[i] : at[i] + n[i]]
-        m = -(-len(who) // KEY_BLOCK)
-        parts = np.array_split(who, m)
-        for a in range(m):
-            for b in range(a + 1, m):
-                both = np.concatenate((parts[a], parts[b]))
-                gids.append(np.full(len(both), xxhash.xxh3_64_intdigest(f"{k[at[i]]}/{a}/{b}") - (1 << 63), np.int64))
-                reps.append(both)
-    gids, reps = np.concatenate(gids), np.concatenate(reps)
-    first = np.unique(np.stack((gids, reps), axis=1), axis=0)
-    for lo in range(0, len(first), 500_000):
-        yield pa.record_batch([pa.array(first[lo : lo + 500_000, 0]), pa.array(first[lo : lo + 500_000, 1])], names=["gid", "rep"])
+
+    def run(batches):
+        ks, rs = [], []
+        for batch in batches:
+            ks += [np.frombuffer(b, C.U64) for b in batch.column(1).to_pylist()]
+            rs += [np.frombuffer(b, np.int64) for b in batch.column(2).to_pylist()]
+        if not ks:
+            return
+        k, r = np.concatenate(ks), np.concatenate(rs)
+        ks.clear(), rs.clear()
+        order = np.lexsort((r, k))
+        k, r = k[order], r[order]
+        at = np.flatnonzero(np.concatenate(([True], k[1:] != k[:-1])))
+        n = np.diff(np.concatenate((at, [len(k)])))
+        several = n > 1
+        if not several.any():
+            return
+        take = np.repeat(several, n)
+        k, r, n = k[take], r[take], n[several]
+        at = np.cumsum(n) - n
+        mixed = C.mix(r.view(C.U64))
+        gid = np.add.reduceat(mixed, at) ^ C.mix(np.add.reduceat(C.mix(mixed + C.U64(5)), at))
+        small = n <= block
+        each = np.repeat(small, n)
+        gids, reps = [np.repeat(gid, n)[each].view(np.int64)], [r[each]]
+        for i in np.flatnonzero(~small).tolist():
+            who = r[at[i] : at[i] + n[i]]
+            m = -(-len(who) // block)
+            parts = np.array_split(who, m)
+            for a in range(m):
+                for b in range(a + 1, m):
+                    both = np.concatenate((parts[a], parts[b]))
+                    gids.append(np.full(len(both), xxhash.xxh3_64_intdigest(f"{k[at[i]]}/{a}/{b}") - (1 << 63), np.int64))
+                    reps.append(both)
+        gids, reps = np.concatenate(gids), np.concatenate(reps)
+        first = np.unique(np.stack((gids, reps), axis=1), axis=0)
+        for lo in range(0, len(first), 500_000):
+            yield pa.record_batch([pa.array(first[lo : lo + 500_000, 0]), pa.array(first[lo : lo + 500_000, 1])], names=["gid", "rep"])
+
+    return run
 
 
 def _by_group(batches, names: list[str]):
@@ -233,20 +318,24 @@ def _confirmer(width: int, percent: int):
     return lambda batches: run(as_bytes(batches))
 
 
-def _components(keyed: DataFrame, width: int, percent: int) -> DataFrame:
-    """(doc_id, n, component) of every row of (doc_id, text), where rows that share a doc_id share the text."""
+def _components(keyed: DataFrame, width: int, percent: int, least: int = HOT_KEY, block: int = KEY_BLOCK) -> DataFrame:
+    """(doc_id, n, component) of every row of (doc_id, text), where rows that share a doc_id share the text; no result depends on ``least`` and ``block``."""
     spark = keyed.sparkSession
     parts = C.exchange_width(keyed, 24 * PARTS)
     described = C.cut(keyed.mapInArrow(C.task(_describe(width)), "doc_id long, n long, k1 long, k2 long, sig binary"))
     classes = described.where("n > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.first("sig").alias("sig"))
     reps = C.cut(classes)
     buckets = C.partition_keys(spark, parts)
-    groups = reps.select("rep", "sig").mapInArrow(C.task(_key_sender(buckets), 10_000), "bucket int, keys binary, reps binary").repartition(parts, "bucket").mapInArrow(C.task(_grouper), "gid long, rep long")
+    many = reps.count()
+    hot, blocks = hot_keys(reps, many, least, block)
+    groups = reps.select("rep", "sig").mapInArrow(C.task(_key_sender(buckets, hot), 10_000), "bucket int, keys binary, reps binary").repartition(parts, "bucket").mapInArrow(C.task(_grouper(block)), "gid long, rep long")
+    if len(hot):
+        groups = groups.unionByName(reps.select("rep", "sig").mapInArrow(C.task(_hot_sender(hot, blocks), 10_000), "gid long, rep long"))
     groups = groups.distinct().join(reps.select("rep", "sig"), "rep").select("gid", "rep", "sig")
     candidates = groups.repartition(parts, "gid").sortWithinPartitions("gid", "rep").mapInArrow(C.task(_near_signatures, 10_000), "u long, v long")
     clusters = C.connected(spark, candidates)
     sizes = clusters.groupBy("root").agg(F.count("*").alias("n"), F.ceil(F.count("*") / CLUSTER_BLOCK).cast("int").alias("m"))
-    member = C.join_counted(clusters, sizes, "root", reps.count()).withColumn("b", F.pmod(F.xxhash64("node"), F.col("m")).cast("int"))
+    member = C.join_counted(clusters, sizes, "root", many).withColumn("b", F.pmod(F.xxhash64("node"), F.col("m")).cast("int"))
     # one row per task; a cluster of m > 1 blocks has a task for each pair of them
     tasks = member.select("node", F.explode(F.when(F.col("m") == 1, F.array(F.xxhash64("root", F.lit(0), F.lit(0)))).otherwise(F.expr("transform(filter(sequence(0, m - 1), j -> j != b), j -> xxhash64(root, least(j, b), greatest(j, b)))"))).alias("task"))
     reptexts = keyed.join(clusters.select(F.col("node").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])

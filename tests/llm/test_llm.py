@@ -49,6 +49,32 @@ def test_near_dup_edges(spark, odd):
     assert near_dup.near_duplicates(odd.limit(0)).count() == 0
 
 
+def test_near_dup_hot_keys_change_nothing(spark):
+    rng = random.Random(8)
+    base = [str(rng.randrange(10**6)) for _ in range(90)]
+    docs = [(i, " ".join(w if rng.random() > 0.01 else str(rng.randrange(10**6)) for w in base)) for i in range(60)]
+    docs += [(100 + i, " ".join(str(rng.randrange(10**6)) for _ in range(40))) for i in range(20)]
+    keyed = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    want = sorted(near_dup._components(keyed, 4, 80).collect())
+    assert len({r.component for r in want}) < 40
+    for least, block in ((8, 4), (20, 30), (8, 4096)):
+        assert sorted(near_dup._components(keyed, 4, 80, least, block).collect()) == want
+
+
+def test_hot_keys_are_all_found(spark):
+    rng = np.random.default_rng(3)
+    sig = rng.integers(0, 1 << 16, (900, near_dup.PARTS), dtype=np.uint16)
+    sig[:, : near_dup._CUT[3]] = sig[0, : near_dup._CUT[3]]  # every row shares the keys of three chunks
+    sig[:300, near_dup._CUT[5] : near_dup._CUT[6]] = 7
+    reps = spark.createDataFrame([(i, bytearray(s.tobytes())) for i, s in enumerate(sig)], "rep long, sig binary").repartition(5)
+    key, n = np.unique(near_dup.chunk_keys(sig), return_counts=True)
+    for least, most in ((200, 1 << 20), (200, 1500), (600, 1500)):
+        found, blocks = near_dup.hot_keys(reps, 900, least, 50, most)
+        bound = max(least, -(-4 * 900 * near_dup.PARTS // most))
+        assert set(key[n >= bound]) <= set(found) <= set(key[n >= bound / 2]) and len(found) <= most / 2
+        assert all(b >= n[np.searchsorted(key, k)] / 50 for k, b in zip(found, blocks))
+
+
 def test_near_dup_against_brute_force(spark):
     rng = random.Random(4)
     docs = []
