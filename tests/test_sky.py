@@ -40,6 +40,18 @@ def test_growing_window_is_rejected():
     K.check_positive(K.kernel(0.02, 100))
 
 
+@pytest.mark.parametrize("f_cut", [0.01, 0.05])
+def test_weights_without_low_modes_are_positive(f_cut):
+    from skyweave import registry
+
+    n = 4000
+    for noise_id, w in registry.cut_model(f_cut).kernels.items():
+        slow = np.stack([np.cos(math.pi * m * (np.arange(n) + 0.5) / n) for m in range(1, 400)])
+        assert ((K.weight(slow, w) * slow).sum(axis=1) > 0).all()
+        with pytest.raises(ValueError):
+            K.check_positive(K.kernel(registry.KNEES[noise_id], 128, f_cut=f_cut))
+
+
 def test_band_rules():
     assert K.min_lossless_lambda(1 / (100 * math.pi)) == 100
     assert K.white_equivalent_lambda(1 / (100 * math.pi)) == 100
@@ -92,6 +104,32 @@ def test_algebra(w0):
     assert precond.Coarse(doubled, a @ doubled).rank_dropped == 1
 
 
+@pytest.mark.parametrize("nstokes, length", [(1, 1 << 20), (1, 10), (3, 10)])
+def test_formed_matrix_equals_products(spark, w0, nstokes, length):
+    """One pass gives the matrix of the products, with halos, cut slots and polarised samples."""
+    _, model, _ = w0
+    tod = WL.tod_w0(spark, SF, nstokes == 3)
+    tod = P.pixel_cut(tod)[0] if nstokes == 3 else tod
+    op = NormalOperator(tod, model, nstokes, length)
+    x = np.random.default_rng(0).standard_normal((op.n, 3))
+    want = op.apply_many(x)
+    assert op.form(1).a is None and np.allclose(op.form().apply_many(x), want, atol=1e-9) and np.allclose(op.a, op.a.T)
+    assert op.tasks <= spark.sparkContext.defaultParallelism
+
+
+def test_a_priori_span(w0):
+    """More intervals than pixels: independent columns give the same preconditioner, merged ones equal merged hits."""
+    _, _, op = w0
+    h = op.hits()[1]
+    assert np.allclose(op.hits_gram(), h @ h.T) and np.array_equal(op.hits_merged(3), precond.merge_columns(h, 3))
+    z, bd, a = precond.a_priori(h), precond.BlockDiagonal(op.diagonal_blocks()), S.dense(op)
+    u = precond.a_priori_span(op.hits_gram(), op.hits_merged(1)[:, 0])
+    r = np.random.default_rng(0).standard_normal(op.n)
+    one, two = (precond.two_level(bd, precond.Coarse(y, a @ y))(r) for y in (z, u))
+    assert u.shape[1] == np.linalg.matrix_rank(z) and np.allclose(one, two, atol=1e-7)
+    op.a = None
+
+
 def test_solvers_agree(w0):
     tod, model, op = w0
     b = op.rhs()
