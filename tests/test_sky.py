@@ -117,6 +117,18 @@ def test_formed_matrix_equals_products(spark, w0, nstokes, length):
     assert op.tasks <= spark.sparkContext.defaultParallelism
 
 
+@pytest.mark.parametrize("k", [1, 3])
+def test_spectrum_of_a_block_preconditioner(k, monkeypatch):
+    """Real by a symmetric form, equal to that of the product; other solvers are not called."""
+    rng = np.random.default_rng(k)
+    x = rng.standard_normal((12, 12))
+    a = x @ x.T + np.eye(12)
+    bd = precond.BlockDiagonal(np.stack([a[i : i + k, i : i + k] for i in range(0, 12, k)]))
+    want = np.sort(np.linalg.eigvals(bd(a)).real)
+    monkeypatch.setattr(np.linalg, "eigvals", None)
+    assert np.allclose(S.spectrum(a, bd), want) and np.allclose(S.spectrum(a), np.linalg.eigvalsh(a))
+
+
 def test_a_priori_span(w0):
     """More intervals than pixels: independent columns give the same preconditioner, merged ones equal merged hits."""
     _, _, op = w0
