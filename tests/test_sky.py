@@ -3,6 +3,7 @@ import math
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from skyweave.functions import kernels as K
@@ -129,6 +130,30 @@ def test_spectrum_of_a_block_preconditioner(k, monkeypatch):
     assert np.allclose(S.spectrum(a, bd), want) and np.allclose(S.spectrum(a), np.linalg.eigvalsh(a))
 
 
+def test_explicit_matrix_by_blocks(spark, w0, monkeypatch):
+    """Cells over chunk ends and cut slots equal the formed matrix; pairs are no rows."""
+    from skyweave import registry
+    from skyweave.operators import system
+
+    tod, model, _ = w0
+    monkeypatch.setattr(P, "band_pairs", None)
+    gone = tod.withColumn("pix", F.when(F.col("pix") % 7 == 0, F.lit(-1).cast("long")).otherwise(F.col("pix")))
+    op = NormalOperator(gone, model).form()
+    at, a = {p: i for i, p in enumerate(op.pixels.tolist())}, np.zeros((op.n, op.n))
+    got = system.explicit(gone, registry.kernel_rows(spark, model.kernels), 16, 20).collect()
+    for r in got:
+        a[at[r.p], at[r.q]] += r.v
+    assert np.allclose(a, op.a, atol=1e-9) and len({(r.p, r.q) for r in got}) == len(got)
+
+
+def test_same_noise_is_compared_by_tasks(spark):
+    from skyweave import registry
+
+    rows = [(k, t, float(k + t)) for k in range(2) for t in range(50)]
+    one, far, less = (spark.createDataFrame(r, "interval_id long, t long, n double") for r in (rows, [(*rows[0][:2], 0.1), *rows[1:]], rows[1:]))
+    assert registry.same_noise(one, one.repartition(3)) and not registry.same_noise(one, far) and not registry.same_noise(one, less) and not registry.same_noise(less, one)
+
+
 def test_a_priori_span(w0):
     """More intervals than pixels: independent columns give the same preconditioner, merged ones equal merged hits."""
     _, _, op = w0
