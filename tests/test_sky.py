@@ -326,7 +326,16 @@ def test_blocks_and_maps_are_written_and_read(spark, w0, tmp_path):
 SMALL = ["white_weight_w0", "band_rules", "pixel_cut_slots_w3", "pixel_cut_split_w3", "zs_polarised", "map_w4_fourier", "map_w5_full_block", "flagship_map_w0", "map_w0_apriori", "hit_map_w0", "hit_map_w2", "tod_index_w1", "noise_weight_lagjoin_w0", "noise_weight_fir_w0", "noise_weight_fft_w0", "rhs_w0", "system_matrix_w0", "az_w0", "bd_inverse_pol", "coadd_pol", "zs_merged_r10", "asof_pointing", "interval_assign", "pixel_cut_anti_w3", "map_rebin_cube", "stream_coadd", "stream_daily", "kernel_apodized", "unbiased_noise_free", "scan_source", "udtf_kernel_lags", "udtf_small_map_w4", "stream_sessions", "stream_near_pointing", "stream_interval_close", "stream_unique_hits"]
 
 
-@pytest.mark.parametrize("name", SMALL)
+FROM_TABLES = ["apodized_spectrum", "deflection_freq", "inverse_psd_table", "kappa_bound", "kernel_hardcut", "psd_table"]
+
+
+@pytest.mark.parametrize("name", ["apodisation_study", "band_rules", "kernel_apodized", "scan_source", "udtf_kernel_lags", *FROM_TABLES])
+def test_query_reads_a_table(spark, name):
+    plan = entry.queries()[name](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+    assert "parquet" in plan
+
+
+@pytest.mark.parametrize("name", SMALL + FROM_TABLES)
 def test_query_equals_sql(spark, name):
     con = duckdb.connect()
     for t in TABLES:
