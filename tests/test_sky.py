@@ -167,6 +167,33 @@ def test_a_priori_span(w0):
     op.a = None
 
 
+@pytest.mark.parametrize("nstokes", [1, 3])
+def test_blocks_side_by_side_give_the_same_products(spark, nstokes):
+    """Blocks of many lengths, with blind slots and halos, weighted together; and the matrix of short ones by lags."""
+    rng = np.random.default_rng(5)
+    rows = [(i, t, int(rng.integers(0, 9)) if t % 17 else -1, float(rng.random() * 3), float(rng.random()), i % 2) for i, n in enumerate((40, 41, 60, 150, 333, 900)) for t in range(n)]
+    tod = spark.createDataFrame(rows, "interval_id long, t long, pix long, phi double, d double, noise_id int")
+    model = K.Stationary({0: K.kernel(0.1, 16), 1: K.kernel(0.05, 16)})
+    op = NormalOperator(tod, model, nstokes, 128)
+    x = rng.standard_normal((op.n, 2))
+    both = op.apply_many(x)  # block by block
+    assert np.allclose(np.stack([op.apply(c) for c in x.T], axis=1), both)
+    assert op.groups.count() < op.blocks.count()
+    assert np.allclose(op.form().a @ x, both)
+    op.close()
+
+
+def test_other_models_share_blocks(w0):
+    wide, narrow = K.Stationary({0: K.kernel(0.05, 128), 1: K.kernel(0.1, 128)}), K.Stationary({0: K.kernel(0.05, 32), 1: K.kernel(0.1, 32)})
+    op, own = NormalOperator(w0[0], wide, 1, 64), NormalOperator(w0[0], narrow, 1, 64)
+    some = op.other(narrow)
+    assert np.allclose(some.rhs(), own.rhs()) and np.allclose(some.form().a, own.form().a) and op.a is None
+    assert np.allclose(some.diagonal_blocks(), own.diagonal_blocks())
+    with pytest.raises(ValueError):
+        own.other(wide)
+    op.close(), own.close()
+
+
 def test_solvers_agree(w0):
     tod, model, op = w0
     b = op.rhs()
