@@ -332,6 +332,14 @@ def test_simulated_samples(spark):
     assert np.allclose(f[1:] ** 2, 1 + (0.1 / (np.arange(1, 513) / 1024)) ** 2)
 
 
+def test_scaling_packs_each_number_of_circles_once(spark, w0):
+    tod, model, _ = w0
+    asked = []
+    rows = S.scalings(spark, lambda n: asked.append(n) or tod.where(f"interval_id < {n}"), model, [4, 4], [1, 2], {"bd": {}, "apriori": {"rank": 2}})
+    assert asked == [4] and [r[:3] for r in rows] == [("bd", 4, 1), ("bd", 4, 2), ("apriori", 4, 1), ("apriori", 4, 2)]
+    assert rows[0][3] == tod.where("interval_id < 4").count() and rows[0][4] == rows[1][4] and rows[2][4] == rows[3][4]
+
+
 def test_scaling_and_breakdown(spark, w0):
     tod, model, op = w0
     rows = S.scaling(spark, lambda n: tod.where(f"interval_id < {n}"), model, [2, 4], [1, 2])
