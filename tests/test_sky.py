@@ -183,6 +183,32 @@ def test_blocks_side_by_side_give_the_same_products(spark, nstokes):
     op.close()
 
 
+def test_packing_takes_samples_in_any_order(spark):
+    """Samples come in order mostly; where they don't, tasks sort them, and no row is sorted by the exchange's own plan (before: a sort of every list)."""
+    from skyweave.operators import system
+
+    rng = np.random.default_rng(2)
+    rows = [(i, t, int(rng.integers(-1, 5)), float(rng.random()), float(rng.random()), i % 2) for i, n in enumerate((7, 130, 64)) for t in range(n)]
+    schema = "interval_id long, t long, pix long, phi double, d double, noise_id int"
+    one, two = (system.pack(spark.createDataFrame([rows[k] for k in order], schema).coalesce(1), 16, 64) for order in (range(len(rows)), rng.permutation(len(rows)).tolist()))
+    assert [tuple(r) for r in one.orderBy("interval_id", "chunk").collect()] == [tuple(r) for r in two.orderBy("interval_id", "chunk").collect()]
+    assert "sort_array" not in one._jdf.queryExecution().toString()
+
+
+def test_hits_come_from_grouped_blocks(spark):
+    """Hits, the matrix and products need no more than the grouped blocks, and of these no data (before: the blocks' lists)."""
+    rng = np.random.default_rng(6)
+    rows = [(10 * i, t, int(rng.integers(0, 9)) if t % 17 else -1, float(rng.random() * 3), float(rng.random()), i % 2) for i, n in enumerate((40, 41, 150)) for t in range(n)]
+    op = NormalOperator(spark.createDataFrame(rows, "interval_id long, t long, pix long, phi double, d double, noise_id int"), K.Stationary({0: K.kernel(0.1, 16), 1: K.kernel(0.05, 16)}), 3, 64)
+    want = np.array([[sum(r[0] == i and r[2] == p for r in rows) for i in (0, 10, 20)] for p in op.pixels])
+    x = rng.standard_normal((op.n, 2))
+    both = op.apply_many(x)
+    op.groups = op.groups.drop("d")
+    op.work = None
+    assert np.array_equal(op.hits()[1], want) and np.array_equal(op.hits_merged(2), precond.merge_columns(want, 2)) and np.allclose(op.hits_gram(), want @ want.T)
+    assert np.allclose(op.apply(x[:, 0]), both[:, 0]) and np.allclose(op.form().a @ x, both)
+
+
 def test_other_models_share_blocks(w0):
     wide, narrow = K.Stationary({0: K.kernel(0.05, 128), 1: K.kernel(0.1, 128)}), K.Stationary({0: K.kernel(0.05, 32), 1: K.kernel(0.1, 32)})
     op, own = NormalOperator(w0[0], wide, 1, 64), NormalOperator(w0[0], narrow, 1, 64)
