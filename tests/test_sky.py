@@ -209,6 +209,20 @@ def test_hits_come_from_grouped_blocks(spark):
     assert np.allclose(op.apply(x[:, 0]), both[:, 0]) and np.allclose(op.form().a @ x, both)
 
 
+def test_cells_round_without_decimals(spark):
+    """Cells of circles equal those of rounding to 9 digits, also where a point lies on an edge; Spark's round makes a decimal number of each (as before)."""
+    grid = spark.range(3 * 366 * 64).select((F.col("id") % 366 + 1).alias("doy"), F.floor(F.col("id") / 366).alias("k"))
+    angle, lon0 = F.col("doy") * (2 * math.pi / 366), F.col("k") * (2 * math.pi / 192)
+    for radius, rows, cols in ((30.0, 32, 64), (7.5, 64, 128)):
+        cell = WL.circle_pixel(angle, lon0, radius, rows, cols)
+        r = math.radians(radius)
+        turn = (lon0 + F.atan2(F.sin(angle) * math.sin(r), F.lit(math.cos(r)))) / (2 * math.pi)
+        turn = turn - F.floor(F.round(turn, 9))
+        want = F.floor(F.round((F.lit(math.sin(r)) * F.cos(angle) + 1) / 2 * rows, 9)) * cols + F.pmod(F.floor(F.round(turn * cols, 9)), F.lit(cols))
+        assert grid.where(cell != want).count() == 0
+        assert "round(" not in grid.select(cell)._jdf.queryExecution().toString()
+
+
 def test_other_models_share_blocks(w0):
     wide, narrow = K.Stationary({0: K.kernel(0.05, 128), 1: K.kernel(0.1, 128)}), K.Stationary({0: K.kernel(0.05, 32), 1: K.kernel(0.1, 32)})
     op, own = NormalOperator(w0[0], wide, 1, 64), NormalOperator(w0[0], narrow, 1, 64)
