@@ -209,6 +209,16 @@ def test_hits_come_from_grouped_blocks(spark):
     assert np.allclose(op.apply(x[:, 0]), both[:, 0]) and np.allclose(op.form().a @ x, both)
 
 
+def test_whole_scan_is_placed_without_a_table(spark, monkeypatch):
+    """Samples of W2 as one interval keep their places in the total order; no table of all of them is written for that (before: one)."""
+    from skyweave.plans import lineage
+
+    monkeypatch.setattr(lineage, "cut", lambda df: pytest.fail("a table was written"))
+    got = WL.tod_w2(spark, SF).select("t", "d").orderBy("t").toPandas()
+    sql = f"SELECT o_totalprice AS d FROM '{SF}/orders.parquet' ORDER BY o_custkey % 32, year(o_orderdate), dayofyear(o_orderdate), o_orderkey"
+    assert got["t"].tolist() == list(range(len(got))) and got["d"].tolist() == duckdb.sql(sql).df()["d"].tolist()
+
+
 def test_cells_round_without_decimals(spark):
     """Cells of circles equal those of rounding to 9 digits, also where a point lies on an edge; Spark's round makes a decimal number of each (as before)."""
     grid = spark.range(3 * 366 * 64).select((F.col("id") % 366 + 1).alias("doy"), F.floor(F.col("id") / 366).alias("k"))
