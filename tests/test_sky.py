@@ -7,9 +7,10 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from skyweave.functions import kernels as K
-from skyweave.operators import krylov, precond
+from skyweave.operators import arrange, krylov, precond
 from skyweave.operators import pointing as P
 from skyweave.operators import solve as S
+from skyweave.operators import system
 from skyweave.operators.system import DistributedOperator, NormalOperator
 from skyweave.plans import strategy
 from skyweave.sources import workloads as WL
@@ -505,3 +506,46 @@ def test_late_samples_by_batch(spark, tmp_path):
         stream = spark.readStream.schema("sample_id long, ts timestamp, b int").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
         got = sorted(map(tuple, maps.late_samples(stream, str(tmp_path / "out")).select("batch", "n", "late").collect()))
         assert got[:3] == [(0, 3, 0), (1, 3, 1), (2, 4, 2)] and sum(r[1] for r in got) == 10
+
+
+def _block_rows(blocks):
+    return sorted(tuple(tuple(x) if isinstance(x, list) else x for x in r) for r in blocks.collect())
+
+
+@pytest.mark.parametrize("halo,length", [(256, 1 << 20), (16, 40), (None, 1 << 20)])
+def test_circles_in_order_by_their_tasks_are_the_blocks_of_sorted_ones(spark, monkeypatch, halo, length):
+    want = _block_rows(system.pack(WL.tod_w3(spark, SF), halo, length))
+    monkeypatch.setattr(arrange, "SENT", 1000)
+    monkeypatch.setattr(arrange, "DEALT", 500)
+    scan = WL.unplaced_w3(spark, SF)
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(key)
+    with scan.planned():
+        got = _block_rows(scan.pack(halo, length, 3))
+    assert got == want and spark.conf.get(key) == before
+    monkeypatch.setattr(arrange, "LONGEST", 10)  # Spark sorts longer ones
+    assert _block_rows(scan.pack(halo, length, 3)) == want
+
+
+def test_order_of_samples_with_ties_and_nulls(spark):
+    rng = np.random.default_rng(8)
+    columns = [rng.integers(-3, 3, 500), rng.integers(-5, 5, 500), rng.integers(0, 4, 500), rng.integers(0, 3, 500) / 4.0]
+    for some in (columns, [columns[0] * (1 << 60), *columns[1:]]):
+        assert np.array_equal(*(np.stack(some)[:, order] for order in (arrange.arranged(some), np.lexsort(some[::-1]))))
+    rows = spark.createDataFrame([(1, 5, 7, 1.0), (1, 5, None, 2.0), (1, 5, -(1 << 40), 3.0), (1, 4, 9, None), (2, 0, 0, 4.0)], "interval_id long, day int, k long, d double")
+    scan = arrange.Unplaced(rows, ("day", "k", "d"), lambda i, c: (np.arange(len(i)) * 0, np.zeros(len(i)), c[-1], i % 2), lambda: None)
+    (_, a), (_, b) = sorted((r["interval_id"], r["d"]) for r in scan.pack(4, 100, 2).collect())
+    assert math.isnan(a[0]) and a[1:] == [2.0, 3.0, 1.0] and b == [4.0]
+    with pytest.raises(Exception, match="no interval or no day"):
+        arrange.Unplaced(rows.withColumn("day", F.lit(None).cast("int")), ("day", "k", "d"), scan.place, scan.tod).pack(4, 100, 2).collect()
+
+
+@pytest.mark.parametrize("nstokes", [1, 3])
+def test_several_dense_columns_are_taken_by_grouped_blocks(spark, nstokes):
+    rows = [(i, t, (3 * t + i) % 7, 0.3 * t * (i + 1), float(t), i % 2) for i in range(5) for t in range(60)]
+    op = NormalOperator(spark.createDataFrame(rows, "interval_id long, t long, pix long, phi double, d double, noise_id int"), K.Stationary({0: K.kernel(0.1, 16), 1: K.kernel(0.05, 16)}), nstokes, 32)
+    x = np.random.default_rng(2).standard_normal((op.n, 3))
+    want = np.stack([op.apply(c) for c in x.T], axis=1)
+    assert np.allclose(op.apply_many(x, sparse=True), want, atol=1e-9) and np.allclose(op.form().a @ x, want, atol=1e-9)
+    op.a, op.blocks = None, None  # the blocks themselves are not read again
+    assert np.allclose(op.apply_many(x), want, atol=1e-9) and op.intervals().tolist() == [0, 1, 2, 3, 4]
