@@ -549,3 +549,29 @@ def test_several_dense_columns_are_taken_by_grouped_blocks(spark, nstokes):
     assert np.allclose(op.apply_many(x, sparse=True), want, atol=1e-9) and np.allclose(op.form().a @ x, want, atol=1e-9)
     op.a, op.blocks = None, None  # the blocks themselves are not read again
     assert np.allclose(op.apply_many(x), want, atol=1e-9) and op.intervals().tolist() == [0, 1, 2, 3, 4]
+
+
+@pytest.mark.parametrize("nstokes, length, model", [(1, 1 << 20, "band"), (1, 10, "band"), (3, 10, "band"), (1, 1 << 20, "modes")])
+def test_matrix_in_bands(spark, monkeypatch, nstokes, length, model):
+    """A matrix that is not for the driver is made and kept by tasks; products, solution and spectra are those of the matrix on the driver."""
+    model = K.Stationary({k: K.kernel(0.05 * (k + 1), 16) for k in (0, 1)}) if model == "band" else K.Circulant({0: 0.1, 1: 0.05}, lowest=0.5)
+    tod = WL.tod_w0(spark, SF, nstokes == 3)
+    tod = P.pixel_cut(tod)[0] if nstokes == 3 else tod
+    op = NormalOperator(tod, model, nstokes, length)
+    b, bd = op.rhs(), precond.BlockDiagonal(op.diagonal_blocks())
+    z = precond.a_priori(op.hits_merged(3), nstokes)
+    z = np.concatenate((z, z[:, :1]), axis=1)  # one column is dropped
+    monkeypatch.setattr(system, "BAND", 8 * nstokes * op.n * 2)
+    monkeypatch.setattr(S, "DENSE", 1)
+    bands = S.dense(op)
+    assert isinstance(bands, system.Bands) and op.a is None and S.dense(op) is bands
+    want = op.form().a
+    eye = np.eye(op.n)
+    cells = bands.whole([np.tril, lambda a: a])
+    assert np.allclose(cells[0], np.tril(want).ravel(), atol=1e-9) and np.allclose(bands @ eye, want, atol=1e-9) and np.allclose(b @ bands, b @ want) and np.allclose(bands @ b, want @ b)
+    c = precond.Coarse(z, bands @ z)
+    forms = [None, bd, precond.two_level(bd, c), precond.two_level(bd, c, "def2")]
+    got = S.spectra(bands, forms)
+    assert all(np.allclose(v, S.spectrum(want, f), atol=1e-8) for v, f in zip(got, forms))
+    assert (np.abs(got[2] - 1) < 1e-8).sum() >= 3 and np.allclose(S.solved(bands, b), np.linalg.solve(want, b))
+    op.close()
