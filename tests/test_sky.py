@@ -575,3 +575,25 @@ def test_matrix_in_bands(spark, monkeypatch, nstokes, length, model):
     assert all(np.allclose(v, S.spectrum(want, f), atol=1e-8) for v, f in zip(got, forms))
     assert (np.abs(got[2] - 1) < 1e-8).sum() >= 3 and np.allclose(S.solved(bands, b), np.linalg.solve(want, b))
     op.close()
+
+
+def test_matrix_beyond_a_task_is_refused(spark, w0, monkeypatch):
+    _, model, _ = w0
+    op = NormalOperator(WL.tod_w0(spark, SF), model)
+    monkeypatch.setattr(S, "DENSE", 1)
+    monkeypatch.setattr(system, "ROOM", 8 * op.n * op.n - 1)
+    with pytest.raises(ValueError, match="more than the"):
+        S.direct(op)
+    op.close()
+
+
+def test_direct_map_and_spectra_by_tasks(spark, monkeypatch):
+    """The queries give the same rows where their matrix is not for the driver, which then has no array of that size."""
+    want = {q: [tuple(r) for r in entry.queries()[q](spark, SF).collect()] for q in ("map_w0_direct", "spectrum_w0")}
+    monkeypatch.setattr(S, "DENSE", 1)
+    monkeypatch.setattr(NormalOperator, "_formed", None)
+    for q, rows in want.items():
+        got = [tuple(r) for r in entry.queries()[q](spark, SF).collect()]
+        assert len(got) == len(rows) and all(g[:-2] == w[:-2] and np.allclose(g[-2:], w[-2:], rtol=1e-6, atol=1e-6) for g, w in zip(got, rows))
+    for q in ("krylov_holds_w0", "spectrum_holds_w0"):
+        assert all(r["ok"] for r in entry.queries()[q](spark, SF).collect()), q
